@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pointloom.llm import chat, mixing
+from pointloom.llm import chat, linededup, mixing, simhash
 from pointloom.llm.common import table
 
 
@@ -10,9 +10,17 @@ def op2_mix_sources(spark, sf_dir):
     return mixing.mix_report(table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
 
 
+def op3_simhash_groups(spark, sf_dir):
+    return simhash.simhash_report(table(spark, sf_dir, "documents"))
+
+
 def op5_chat_format(spark, sf_dir):
     return chat.chat_report(table(spark, sf_dir, "conversations"))
 
 
-QUERIES = {f.__name__: f for f in (op2_mix_sources, op5_chat_format)}
-ORACLES = {"op2_mix_sources": mixing.ORACLE, "op5_chat_format": chat.ORACLE}
+def op9_line_dedup(spark, sf_dir):
+    return linededup.line_report(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op2_mix_sources, op3_simhash_groups, op5_chat_format, op9_line_dedup)}
+ORACLES = {"op2_mix_sources": mixing.ORACLE, "op5_chat_format": chat.ORACLE, "op9_line_dedup": linededup.ORACLE}
