@@ -1,15 +1,9 @@
 """Byte-level BPE encoding by a global shuffle of distinct words, and decoding by the token-byte table.
 
 A word is a maximal run of white space with the run of other characters after it, cut so that no match of the
-tokenizer's pattern crosses a cut; each word's tokens therefore depend on the word alone. Documents are read in chunks; a
-chunk is a dictionary of its distinct words and the positions of its documents as dictionary indexes:
-
-1. dictionary rows (word, chunk, index) are shuffled by word; each distinct word of the corpus is encoded once and
-   its ids go back to every chunk that holds it. A word occurs once a chunk, so a frequent word is no hot key.
-2. ids and packed positions meet by chunk, and the documents are put together again by position.
-
-The dictionary and the positions of a chunk come from two reads of the same scan; both carry a checksum, and a chunk
-whose reads differ (a source that is not stable) stops the job instead of giving wrong ids.
+tokenizer's pattern crosses a cut; each word's tokens therefore depend on the word alone. Words are taken out of the
+documents with their positions, each distinct word of the corpus is encoded once after a shuffle by word, the ids go back
+to the texts that hold it and are put together again by position (:mod:`pointloom.llm.wordshuffle`).
 
 Defined cases: null and empty texts have no tokens (digests of the empty string); a null doc_id and repeated rows are
 kept as they are; special tokens' strings are ordinary text; an empty table gives an empty result; extra columns
@@ -21,15 +15,14 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-import xxhash
-import zstandard
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-CHUNK_CHARS = 16_000_000
+from pointloom.llm.wordshuffle import BLOCK, assembled, by_bucket, by_chunk, merge_blocks, n_buckets, pack, position_rows, source, unpack, word_blocks
+
 #: White space as the tokenizer's pattern sees it: Python's, without the separators 1C-1F.
 _SPACE = "[^\\S\\x1c-\\x1f]"
 _WORD = re.compile(f"{_SPACE}*[\\S\\x1c-\\x1f]+|{_SPACE}+")
@@ -59,131 +52,60 @@ def word_keys(text: str) -> list:
     return keys
 
 
-def word_of(key) -> str:
-    return key[0] if type(key) is tuple else key if key[:1] == "\n" else " " + key
-
-
-class _Codes(dict):
-    def __missing__(self, key):
-        self[key] = code = len(self)
-        return code
-
-
-def _chunks(batches):
-    """(chunk, codes by word key, ids, ends, codes) for every chunk of the task's documents."""
-    task, seq = 0, 0
-    table, ids, ends, codes, chars, total = _Codes(), [], [], [], 0, 0
-    for b in batches:
-        for doc, text, task in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist(), strict=True):
-            text = text.as_py() or ""
-            own = np.array(list(map(table.__getitem__, word_keys(text))), np.uint32)
-            ids.append(doc)
-            codes.append(own)
-            total += len(own)
-            ends.append(total)
-            chars += len(text)
-            if chars >= CHUNK_CHARS:
-                yield (task << 32) + seq, table, ids, ends, np.concatenate(codes)
-                seq += 1
-                table, ids, ends, codes, chars, total = _Codes(), [], [], [], 0, 0
-    if ids:
-        yield (task << 32) + seq, table, ids, ends, np.concatenate(codes)
-
-
-def _sum(ids, codes) -> int:
-    h = xxhash.xxh3_64(repr(ids).encode())
-    h.update(codes.tobytes())
-    return h.intdigest() >> 1
+def word_of(key) -> bytes:
+    return (key[0] if type(key) is tuple else key if key[:1] == "\n" else " " + key).encode()
 
 
-def _dictionary(batches):
-    for chunk, table, ids, _, codes in _chunks(batches):
-        check, words = _sum(ids, codes), list(map(word_of, table))
-        for lo in range(0, len(words), 50_000):
-            part = words[lo : lo + 50_000]
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(part), pa.array(np.full(len(part), chunk)), pa.array(np.arange(lo, lo + len(part), dtype=np.int32)), pa.array(np.full(len(part), check))],
-                ["word", "chunk", "at", "sum"],
-            )
-
+def _encoder(ranks, pattern):
+    """Each distinct word of a bucket is encoded once; every block gets its words' ids."""
+    held = []
 
-def _positions(batches):
-    for chunk, _, ids, ends, codes in _chunks(batches):
-        planes = codes.view(np.uint8).reshape(-1, 4).T.tobytes()
-        yield pa.RecordBatch.from_arrays(
-            [pa.array([chunk]), pa.array([-1], pa.int32()), pa.array([_sum(ids, codes)]), pa.array([zstandard.compress(planes, 3)], pa.binary()), pa.array([ids], pa.list_(pa.int64())), pa.array([np.array(ends, np.int64).tobytes()], pa.binary())],
-            ["chunk", "at", "sum", "data", "ids", "ends"],
-        )
+    def answer(bucket, words, totals, own):
+        if not held:
+            held.append(tokenizer(ranks.value, pattern)[0])
+        ids = [held[0].encode_ordinary(w.decode()) for w in words]
+        size = np.fromiter(map(len, ids), np.int64, len(ids))
+        flat, start = np.fromiter(chain.from_iterable(ids), np.int64, int(size.sum())), np.cumsum(size) - size
+        for codes in own:
+            yield pack(size[codes].astype(np.uint32), flat[_ranges(start[codes], size[codes])].astype(np.uint32))
 
+    return merge_blocks(answer)
 
-def _encoder(ranks, pattern):
-    def run(batches):
-        enc, _ = tokenizer(ranks.value, pattern)
-        last, ids = None, b""
-        for b in batches:
-            out = []
-            for word in b.column(0).to_pylist():
-                if word != last:  # rows come in word order
-                    last, ids = word, np.array(enc.encode_ordinary(word), np.uint32).tobytes()
-                out.append(ids)
-            yield pa.RecordBatch.from_arrays([b.column(1), b.column(2), b.column(3), pa.array(out, pa.binary())], ["chunk", "at", "sum", "data"])
 
-    return run
+def _ranges(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The numbers start, start + 1, ... of each range, one range after the other."""
+    return np.repeat(start - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
 
 
-def _assembler(finish):
-    """Rows in order of (chunk, at): a chunk's positions, then the ids of its words -> finish(doc ids, token arrays)."""
-
-    def done(head, words):
-        check, planes, ids, ends = head
-        n_codes = int(ends[-1]) if len(ends) else 0
-        codes = np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(4, n_codes).T).view(np.uint32).ravel()
-        flat = np.frombuffer(b"".join(words), np.uint32)
-        size = np.fromiter(map(len, words), np.int64, len(words)) // 4
-        start = np.cumsum(size) - size
-        each = size[codes]
-        upto = np.cumsum(each)
-        lows = 0
-        for lo in range(0, len(ids), 512):  # some documents at a time, so that the gathered ids stay small
-            hi = min(lo + 512, len(ids))
-            a, b = (int(ends[lo - 1]) if lo else 0), int(ends[hi - 1])
-            c, e = codes[a:b], each[a:b]
-            gather = np.repeat(start[c] - (np.cumsum(e) - e), e) + np.arange(int(e.sum()))
-            tokens = flat[gather]
-            cuts = [0, *((int(upto[x - 1]) if x else 0) - lows for x in ends[lo:hi].tolist())]
-            yield finish(ids[lo:hi], [tokens[x:y] for x, y in zip(cuts[:-1], cuts[1:], strict=True)])
-            lows = int(upto[b - 1]) if b else 0
+def _assembler(finish, step: int = 512):
+    """Task function: a chunk's positions and its words' ids -> finish(doc ids, token arrays), some documents at a time."""
 
     def run(batches):
-        now, head, words = None, None, []
-        for b in batches:
-            cols = [b.column(k) for k in range(6)]
-            chunk, at, check = (c.to_numpy(zero_copy_only=False) for c in cols[:3])
-            for k in range(b.num_rows):
-                if at[k] == -1:
-                    if head:
-                        yield from done(head, words)
-                    now, words = chunk[k], []
-                    head = (check[k], zstandard.decompress(cols[3][k].as_py()), cols[4][k].as_py(), np.frombuffer(cols[5][k].as_py(), np.int64))
-                elif chunk[k] != now or at[k] != len(words) or check[k] != head[0]:
-                    raise RuntimeError("two reads of the documents differ; write them to a table first")
-                else:
-                    words.append(cols[3][k].as_py())
-        if head:
-            yield from done(head, words)
+        for _, ids, ends, codes, n_words, answers in assembled(batches):
+            parts = [unpack(x) for x in answers]
+            size = np.concatenate([p[0] for p in parts]).astype(np.int64) if parts else np.zeros(0, np.int64)
+            flat = np.concatenate([p[1] for p in parts]) if parts else np.zeros(0, np.uint32)
+            if len(size) != n_words:
+                raise RuntimeError("two reads of the documents differ; write them to a table first")
+            start = np.cumsum(size) - size
+            for lo in range(0, len(ids), step):
+                hi = min(lo + step, len(ids))
+                first = int(ends[lo - 1]) if lo else 0
+                own = codes[first : int(ends[hi - 1])]
+                tokens = flat[_ranges(start[own], size[own])]
+                upto = np.concatenate(([0], np.cumsum(size[own])))
+                cuts = [0, *upto[ends[lo:hi] - first].tolist()]
+                yield finish(ids[lo:hi], [tokens[x:y] for x, y in zip(cuts[:-1], cuts[1:], strict=True)])
 
     return run
 
 
 def _assembled(docs: DataFrame, ranks, pattern: str, finish, schema: str) -> DataFrame:
-    # the scan's own partition number: unlike the task's, it is the same in both reads
-    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.spark_partition_id())
-    words = rows.mapInArrow(_dictionary, "word string, chunk long, at int, sum long").repartition("word").sortWithinPartitions("word")
-    ids = words.mapInArrow(_encoder(ranks, pattern), "chunk long, at int, sum long, data binary")
-    none = {"ids": F.lit(None).cast("array<bigint>"), "ends": F.lit(None).cast("binary")}
-    packed = rows.mapInArrow(_positions, "chunk long, at int, sum long, data binary, ids array<bigint>, ends binary")
-    both = ids.withColumns(none).unionByName(packed).repartition("chunk").sortWithinPartitions("chunk", "at")
-    return both.mapInArrow(_assembler(finish), schema)
+    rows, n = source(docs), n_buckets(docs)
+    blocks = by_bucket(rows.mapInArrow(word_blocks(word_keys, word_of, n), BLOCK))
+    answers = blocks.mapInArrow(_encoder(ranks, pattern), BLOCK)
+    positions = rows.mapInArrow(position_rows(word_keys, word_of, n), BLOCK)
+    return by_chunk(answers, positions).mapInArrow(_assembler(finish), schema)
 
 
 def _sent(docs: DataFrame, path: str):

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from pointloom.llm import bpe, chat, egojoin, linededup, mixing, quality, secrets, simhash, topk
+from pointloom.llm import bpe, chat, egojoin, linededup, lm, mixing, quality, secrets, simhash, topk
 from pointloom.llm.common import table
 
 #: A parameter of the byte-level BPE operator.
@@ -35,6 +35,10 @@ def op6_bpe(spark, sf_dir):
     return bpe.bpe_report(table(spark, sf_dir, "documents"), public_tokenizers.path(VOCABULARY), public_tokenizers.PATTERN)
 
 
+def op7_lm_score(spark, sf_dir):
+    return lm.lm_report(table(spark, sf_dir, "documents"))
+
+
 def op8_secret_scan(spark, sf_dir):
     return secrets.secret_report(table(spark, sf_dir, "documents"))
 
@@ -50,7 +54,7 @@ def op10_topk_search(spark, sf_dir):
 QUERIES = {
     f.__name__: f
     for f in (
-        op1_quality, op2_mix_sources, op3_simhash_groups, op4_embedding_dedup, op5_chat_format, op6_bpe, op8_secret_scan, op9_line_dedup, op10_topk_search,
+        op1_quality, op2_mix_sources, op3_simhash_groups, op4_embedding_dedup, op5_chat_format, op6_bpe, op7_lm_score, op8_secret_scan, op9_line_dedup, op10_topk_search,
     )
 }
 ORACLES = {
