@@ -174,6 +174,7 @@ def _deal(uni: Unigrams, parts: int, n_train: int):
         sums = (size, np.add.reduceat((token_c > 0).astype(np.int64), starts), np.add.reduceat(uni.base(c)[codes], starts))
         yield -1 - chunk % parts, chunk, pickle.dumps((ids, *sums))
         # words by number: rank 0 is the starting context
+        codes = codes.astype(np.int64)
         order = np.argsort(gid)
         rank = np.empty(len(gid), np.int64)
         rank[order] = np.arange(1, len(gid) + 1)

@@ -23,7 +23,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-CHUNK_CHARS, CHUNK_DOCS = 24_000_000, 1 << 17
+CHUNK_CHARS, CHUNK_DOCS = 8_000_000, 1 << 17
 #: Buckets for each shuffle partition of the session.
 BUCKETS = 4
 BLOCK = "bucket int, chunk long, data binary"
@@ -78,7 +78,7 @@ def chunks(batches, keys, word_of, buckets: int):
     for b in batches:
         for doc, text, task in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist(), strict=True):
             text = text.as_py() or ""
-            own = np.array(list(map(table.__getitem__, keys(text))), np.int64)
+            own = np.array(list(map(table.__getitem__, keys(text))), np.uint32)
             ids.append(doc)
             codes.append(own)
             total += len(own)
@@ -157,4 +157,4 @@ def assembled(batches):
             raise RuntimeError("two reads of the documents differ; write them to a table first")
         ids, data, n_words = pickle.loads(head["data"])
         ends, codes = unpack(data)
-        yield chunk, ids, ends, codes.astype(np.int64), n_words, [r["data"] for r in rows]
+        yield chunk, ids, ends, codes, n_words, [r["data"] for r in rows]
