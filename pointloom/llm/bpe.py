@@ -21,6 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from pointloom.llm.common import lean
 from pointloom.llm.wordshuffle import BLOCK, assembled, by_bucket, by_chunk, merge_blocks, n_buckets, pack, position_rows, source, unpack, word_blocks
 
 #: White space as the tokenizer's pattern sees it: Python's, without the separators 1C-1F.
@@ -102,10 +103,10 @@ def _assembler(finish, step: int = 512):
 
 def _assembled(docs: DataFrame, ranks, pattern: str, finish, schema: str) -> DataFrame:
     rows, n = source(docs), n_buckets(docs)
-    blocks = by_bucket(rows.mapInArrow(word_blocks(word_keys, word_of, n), BLOCK))
-    answers = blocks.mapInArrow(_encoder(ranks, pattern), BLOCK)
-    positions = rows.mapInArrow(position_rows(word_keys, word_of, n), BLOCK)
-    return by_chunk(answers, positions).mapInArrow(_assembler(finish), schema)
+    blocks = by_bucket(rows.mapInArrow(lean(word_blocks(word_keys, word_of, n)), BLOCK))
+    answers = blocks.mapInArrow(lean(_encoder(ranks, pattern)), BLOCK)
+    positions = rows.mapInArrow(lean(position_rows(word_keys, word_of, n)), BLOCK)
+    return by_chunk(answers, positions).mapInArrow(lean(_assembler(finish)), schema)
 
 
 def _sent(docs: DataFrame, path: str):
@@ -132,7 +133,7 @@ def decode(encoded: DataFrame, path: str) -> DataFrame:
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([b"".join(map(table.__getitem__, x.as_py() or ())) for x in b.column(1)], pa.binary())], ["doc_id", "bytes"])
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, bytes binary")
+    return encoded.select("doc_id", "ids").mapInArrow(lean(run), "doc_id long, bytes binary")
 
 
 def bpe_report(docs: DataFrame, path: str, pattern: str) -> DataFrame:

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -48,3 +50,18 @@ def join_lookup(df: DataFrame, lookup: DataFrame, on: str, how: str = "left", li
     """Join a (materialised) lookup table: broadcast when it has at most ``limit`` rows, else a shuffled join."""
     small = lookup.limit(limit + 1).count() <= limit
     return df.join(F.broadcast(lookup) if small else lookup, on, how)
+
+
+def lean(run):
+    """A task function that gives its memory back at its end: Python workers are reused and would keep it."""
+
+    def task(batches):
+        pa.set_memory_pool(pa.system_memory_pool())
+        try:
+            yield from run(batches)
+        finally:
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+            if trim is not None:
+                trim(0)
+
+    return task

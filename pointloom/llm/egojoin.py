@@ -23,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pointloom.llm.common import materialize
+from pointloom.llm.common import lean, materialize
 from pointloom.llm.components import connected_components, unite
 from pointloom.llm.vectors import block, dimensions, usable
 
@@ -179,11 +179,11 @@ def _links(vectors: DataFrame, dim: int, cosine: float) -> DataFrame:
             c = np.floor(_unit(block(b.column(2))) @ axes / eps).astype(np.int32)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(list(c), pa.list_(pa.int32()))], ["vec", "n", "v", "cell"])
 
-    placed = vectors.select("vec", "n", F.col("v").cast("array<double>")).mapInArrow(cells, "vec long, n long, v array<double>, cell array<int>")
+    placed = vectors.select("vec", "n", F.col("v").cast("array<double>")).mapInArrow(lean(cells), "vec long, n long, v array<double>, cell array<int>")
     key = [F.col("cell")[c] for c in range(k)]
     parts = max(1, -(-total // length))
     ordered = placed.repartitionByRange(parts, *key, "vec").sortWithinPartitions(*key, "vec").select("vec", "n", "v")
-    intervals = materialize(ordered.mapInArrow(_intervals(axes, length), "place long, lo array<double>, hi array<double>, ids binary, n binary, v binary"))
+    intervals = materialize(ordered.mapInArrow(lean(_intervals(axes, length)), "place long, lo array<double>, hi array<double>, ids binary, n binary, v binary"))
     # at most MAX_INTERVALS boxes and one more a partition
     directory = sorted((r["place"], r["lo"], r["hi"]) for r in intervals.select("place", "lo", "hi").collect())
     sent = spark.sparkContext.broadcast((np.array([x[0] for x in directory]), np.array([x[1] for x in directory]), np.array([x[2] for x in directory])))
@@ -197,10 +197,10 @@ def _links(vectors: DataFrame, dim: int, cosine: float) -> DataFrame:
                     row = b.slice(k_, 1)
                     yield pa.RecordBatch.from_arrays([pa.array([min(mine, other)], pa.int32()), pa.array([max(mine, other)], pa.int32()), pa.array([mine], pa.int32()), *row.columns[1:]], ["i", "j", "mine", "ids", "n", "v"])
 
-    dealt = intervals.select("place", "ids", "n", "v").mapInArrow(deal, "i int, j int, mine int, ids binary, n binary, v binary")
+    dealt = intervals.select("place", "ids", "n", "v").mapInArrow(lean(deal), "i int, j int, mine int, ids binary, n binary, v binary")
     pairs = max(1, min(len(directory) * (len(directory) + 1) // 2, int(spark.conf.get("spark.sql.shuffle.partitions"))))
     dealt = dealt.repartition(pairs, "i", "j").sortWithinPartitions("i", "j", "mine")
-    return dealt.mapInArrow(_pair_join(cosine, axes, dim), "vec long, n_links long, root long")
+    return dealt.mapInArrow(lean(_pair_join(cosine, axes, dim)), "vec long, n_links long, root long")
 
 
 def near_duplicates(embeddings: DataFrame, cosine: float = COSINE) -> DataFrame:

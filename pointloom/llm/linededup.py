@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from pointloom.llm.common import materialize
+from pointloom.llm.common import lean, materialize
 
 MIN_CHARS = 10
 SHARD_KEYS = 1 << 18
@@ -138,7 +138,7 @@ def repeated_lines(docs: DataFrame) -> DataFrame:
                 ["h1", "h2", "least", "most", "n"],
             )
 
-    lines = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "h1 long, h2 long, least long, most long, n long")
+    lines = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), "h1 long, h2 long, least long, most long, n long")
     return lines.groupBy("h1", "h2").agg(F.min("least").alias("least"), F.max("most").alias("most"), F.sum("n").alias("n_docs")).where("least < most").drop("most")
 
 
@@ -180,21 +180,22 @@ def _rounds(shards: DataFrame, limit: int) -> list[tuple[int, int]]:
     return rounds
 
 
-def mark(docs: DataFrame, round_bytes: int = ROUND_BYTES, shard_keys: int = SHARD_KEYS) -> DataFrame:
-    """``docs`` with ``__drop``: a byte for every line, 1 where it goes. Null where nothing was looked up."""
+def probed(docs: DataFrame, finish, schema, round_bytes: int = ROUND_BYTES, shard_keys: int = SHARD_KEYS) -> DataFrame:
+    """``docs`` with ``__id``, ``__text`` and ``__drop`` (a byte for every line, 1 where it goes; null where nothing was looked
+    up), handed to ``finish(batch)`` in the task that makes the last probe."""
     shards, bits = build_shards(repeated_lines(docs), shard_keys)
     spark, rounds = docs.sparkSession, _rounds(shards, round_bytes)
     out = docs.withColumn("__id", F.col("doc_id").cast("long")).withColumn("__text", F.col("text").cast("string")).withColumn("__drop", F.lit(None).cast("binary"))
     for k, (lo, hi) in enumerate(rounds):
         rows = shards.where(F.col("shard").between(lo, hi)).collect()
         sent = spark.sparkContext.broadcast({r["shard"]: ([bytes(x) for x in r["levels"]], bytes(r["fingerprints"]), bytes(r["least"]), bytes(r["counts"]), bytes(r["twins"])) for r in rows})
-        out = out.mapInArrow(_prober(sent, bits), out.schema)
-        if k + 1 < len(rounds):
-            out = materialize(out)
-    return out
+        if k + 1 == len(rounds):
+            return out.mapInArrow(lean(_prober(sent, bits, finish)), schema)
+        out = materialize(out.mapInArrow(lean(_prober(sent, bits)), out.schema))
+    return out.mapInArrow(lean(lambda batches: map(finish, batches)), schema)
 
 
-def _prober(sent, bits):
+def _prober(sent, bits, finish=lambda b: b):
     def run(batches):
         shards = {k: Shard(*x) for k, x in sent.value.items()}
         for b in batches:
@@ -219,7 +220,7 @@ def _prober(sent, bits):
                         flags[place[x][0]][place[x][1]] = 1
             drop = pa.array([bytes(f) for f in flags], pa.binary())
             columns = [drop if n == "__drop" else b.column(i) for i, n in enumerate(names)]
-            yield pa.RecordBatch.from_arrays(columns, names)
+            yield finish(pa.RecordBatch.from_arrays(columns, names))
 
     return run
 
@@ -231,40 +232,37 @@ def _kept(raw: bytes, drop: bytes | None) -> bytes:
 
 
 def line_report(docs: DataFrame) -> DataFrame:
-    def run(batches):
-        for b in batches:
-            n, gone, sha = [], [], []
-            for text, drop in zip(b.column(1), b.column(2), strict=True):
-                raw, drop = (text.as_py() or "").encode(), drop.as_py()
-                n.append(raw.count(b"\n") + 1)
-                gone.append(drop.count(1) if drop else 0)
-                sha.append(hashlib.sha256(_kept(raw, drop)).hexdigest())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha, pa.string())], ["doc_id", "n_lines", "n_dropped", "kept_sha256"])
+    def finish(b):
+        n, gone, sha = [], [], []
+        for text, drop in zip(b.column("__text"), b.column("__drop"), strict=True):
+            raw, drop = (text.as_py() or "").encode(), drop.as_py()
+            n.append(raw.count(b"\n") + 1)
+            gone.append(drop.count(1) if drop else 0)
+            sha.append(hashlib.sha256(_kept(raw, drop)).hexdigest())
+        return pa.RecordBatch.from_arrays([b.column("__id"), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha, pa.string())], ["doc_id", "n_lines", "n_dropped", "kept_sha256"])
 
-    marked = mark(docs.select("doc_id", "text"))
-    return marked.select("__id", "__text", "__drop").mapInArrow(run, "doc_id long, n_lines long, n_dropped long, kept_sha256 string")
+    return probed(docs.select("doc_id", "text"), finish, "doc_id long, n_lines long, n_dropped long, kept_sha256 string")
 
 
 def dedup(docs: DataFrame) -> DataFrame:
     """``docs`` without the repeated lines; every row stays."""
     schema = docs.schema
 
-    def run(batches):
-        for b in batches:
-            names = b.schema.names
-            text, drop = b.column(names.index("text")), b.column(names.index("__drop"))
-            new = [t if t is None or not d or 1 not in d else _kept(t.encode(), d).decode() for t, d in zip(text.to_pylist(), drop.to_pylist(), strict=True)]
-            columns = []
-            for f in schema.names:
-                old = b.column(names.index(f))
-                if f == "text":
-                    old = pa.array(new, old.type)
-                elif f == "n_chars":
-                    old = pa.array([n if t is None else len(t) for t, n in zip(new, old.to_pylist(), strict=True)], old.type)
-                columns.append(old)
-            yield pa.RecordBatch.from_arrays(columns, schema.names)
-
-    return mark(docs).mapInArrow(run, T.StructType([T.StructField(f.name, f.dataType, True) for f in schema]))
+    def finish(b):
+        names = b.schema.names
+        text, drop = b.column(names.index("text")), b.column(names.index("__drop"))
+        new = [t if t is None or not d or 1 not in d else _kept(t.encode(), d).decode() for t, d in zip(text.to_pylist(), drop.to_pylist(), strict=True)]
+        columns = []
+        for f in schema.names:
+            old = b.column(names.index(f))
+            if f == "text":
+                old = pa.array(new, old.type)
+            elif f == "n_chars":
+                old = pa.array([n if t is None else len(t) for t, n in zip(new, old.to_pylist(), strict=True)], old.type)
+            columns.append(old)
+        return pa.RecordBatch.from_arrays(columns, schema.names)
+
+    return probed(docs, finish, T.StructType([T.StructField(f.name, f.dataType, True) for f in schema]))
 
 
 ORACLE = r"""

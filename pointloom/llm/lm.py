@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
-from pointloom.llm.common import materialize
+from pointloom.llm.common import lean, materialize
 from pointloom.llm.wordshuffle import BLOCK, assembled, by_bucket, by_chunk, merge_blocks, n_buckets, pack, position_rows, source, unpack, word_blocks
 
 CUT = 5
@@ -354,15 +354,15 @@ def lm_report(docs: DataFrame) -> DataFrame:
     spark = docs.sparkSession
     width, n = int(spark.conf.get("spark.sql.shuffle.partitions")), n_buckets(docs)
     rows = source(docs)
-    words = by_bucket(rows.mapInArrow(word_blocks(keys, word_of, n, _training_counts), BLOCK))
-    counted = materialize(words.mapInArrow(_numbered(n), BLOCK))
+    words = by_bucket(rows.mapInArrow(lean(word_blocks(keys, word_of, n, _training_counts)), BLOCK))
+    counted = materialize(words.mapInArrow(lean(_numbered(n)), BLOCK))
     # one small row a task
     stats = sum((unpack(bytes(r["data"]))[0] for r in counted.where("bucket = -2").select("data").collect()), np.zeros(CUT + 3, np.int64))
     uni = Unigrams(np.concatenate(([0], stats[1 : CUT + 2])), int(stats[CUT + 2]), int(stats[0]))
     n_train = docs.where(~F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2, F.lit(False))).count()
 
-    positions = rows.mapInArrow(position_rows(keys, word_of, n), BLOCK)
-    blocks = by_chunk(counted.where("bucket >= 0"), positions).mapInArrow(_deal(uni, BUCKETS * width, n_train), BLOCK)
+    positions = rows.mapInArrow(lean(position_rows(keys, word_of, n)), BLOCK)
+    blocks = by_chunk(counted.where("bucket >= 0"), positions).mapInArrow(lean(_deal(uni, BUCKETS * width, n_train)), BLOCK)
     # two jobs read the same shuffled blocks: an RDD keeps its shuffle, a plan would be run again
     dealt = blocks.repartition(width, "bucket").sortWithinPartitions("bucket").rdd
     counts, hot = np.zeros(CUT + 2, np.int64), {}
@@ -371,4 +371,4 @@ def lm_report(docs: DataFrame) -> DataFrame:
         for name, s in part_hot.items():
             hot[name] = hot.get(name, 0) + s
     parts = spark.createDataFrame(dealt.mapPartitions(_evaluate(uni, discounts(counts), hot)), "chunk long, sums boolean, data binary")
-    return parts.repartition("chunk").sortWithinPartitions("chunk", F.col("sums").desc()).mapInArrow(_finish(uni), SCHEMA)
+    return parts.repartition("chunk").sortWithinPartitions("chunk", F.col("sums").desc()).mapInArrow(lean(_finish(uni)), SCHEMA)

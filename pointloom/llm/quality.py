@@ -21,6 +21,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from pointloom.llm.common import lean
+
 MAX_TRAIN = 20_000
 THRESHOLD = 0.7
 TREES, DEPTH, BINS, RATE, L2 = 60, 4, 64, 0.2, 1.0
@@ -122,7 +124,7 @@ def train(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN) -> For
             x = matrix(b.column(0).to_pylist())
             yield pa.RecordBatch.from_arrays([b.column(1), pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), N_STATS).cast(pa.list_(pa.float32()))], ["y", "x"])
 
-    rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(sample), "doc_id").select("text", F.col("quality").cast("int")).mapInArrow(run, "y int, x array<float>")
+    rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(sample), "doc_id").select("text", F.col("quality").cast("int")).mapInArrow(lean(run), "y int, x array<float>")
     got = rows.toArrow()
     x = np.array(got.column("x").to_pylist(), np.float32).reshape(-1, N_STATS)
     y = np.array(got.column("y").to_pylist(), np.float64)
@@ -145,10 +147,10 @@ def _scorer(model: Forest, at: int, keep: bool):
 def quality_report(docs: DataFrame, labels: DataFrame) -> DataFrame:
     model = train(docs, labels)
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), held_out(F.col("doc_id")).alias("held_out"))
-    return rows.mapInArrow(_scorer(model, 1, False), "doc_id long, held_out boolean, score double, predicted int")
+    return rows.mapInArrow(lean(_scorer(model, 1, False)), "doc_id long, held_out boolean, score double, predicted int")
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of ``docs`` whose text is predicted to be of quality 1."""
     nullable = T.StructType([T.StructField(f.name, f.dataType, True) for f in docs.schema])
-    return docs.mapInArrow(_scorer(train(docs, labels), docs.columns.index("text"), True), nullable)
+    return docs.mapInArrow(lean(_scorer(train(docs, labels), docs.columns.index("text"), True)), nullable)

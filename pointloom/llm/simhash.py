@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pointloom.llm.common import materialize
+from pointloom.llm.common import lean, materialize
 from pointloom.llm.components import connected_components, unite
 
 SHINGLE, SEED, MAX_BITS = 4, 42, 4
@@ -56,7 +56,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
             fp = np.fromiter((fingerprint(t.as_py()) for t in b.column(1)), np.int64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp)], ["doc_id", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), "doc_id long, fp long")
 
 
 def trie_links(fp: np.ndarray, budget: int = MAX_BITS, chunk: int = 1 << 15) -> np.ndarray:
@@ -180,7 +180,7 @@ def links(prints: DataFrame, budget: int = MAX_BITS) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(a).view(np.int64)), pa.array(np.concatenate(b).view(np.int64))], ["a", "b"])
 
     dealt = keyed.select("fp", "block", "value", "sub").repartition("block", "value", "sub").sortWithinPartitions("block", "value", "sub")
-    return dealt.mapInArrow(run, "a long, b long")
+    return dealt.mapInArrow(lean(run), "a long, b long")
 
 
 def groups(docs: DataFrame, budget: int = MAX_BITS) -> DataFrame:

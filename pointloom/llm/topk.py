@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pointloom.llm.common import materialize
+from pointloom.llm.common import lean, materialize
 from pointloom.llm.vectors import block, dimensions, usable
 
 K, SCALE = 10, 1024
@@ -139,7 +139,7 @@ def top_k(embeddings: DataFrame, every: int = 100, k: int = K, scale: int = SCAL
                 continue
             seed = retrieve(qid, q, head_id, head_v, np.full(len(q), NONE), k).score[:, -1]
             sent = spark.sparkContext.broadcast((qid, q, seed))
-            out = own.mapInArrow(_searcher(sent, k, scale), "query_id long, vec_id long, score long")
+            out = own.mapInArrow(lean(_searcher(sent, k, scale)), "query_id long, vec_id long, score long")
             found = out if found is None else found.union(out)
     if found is None:
         found = rows.where("false").select(F.col("vec_id").alias("query_id"), "vec_id", F.lit(0).cast("long").alias("score"))
