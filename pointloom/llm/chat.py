@@ -33,10 +33,10 @@ LOSS_ROLES = ("assistant",)
 _TURNS = "array<struct<role:string,text:string>>"
 #: Known JSON layouts: field paths -> SQL over ``j`` (the record's JSON text) that gives the canonical turns.
 LAYOUTS = {
-    "OBJECT<prompt, response>": "array(struct('user' AS role, get_json_object(j, '$.prompt') AS text), struct('assistant', get_json_object(j, '$.response')))",
-    "OBJECT<completion, prompt>": "array(struct('user' AS role, get_json_object(j, '$.prompt') AS text), struct('assistant', get_json_object(j, '$.completion')))",
-    "OBJECT<instruction, output>": "array(struct('user' AS role, get_json_object(j, '$.instruction') AS text), struct('assistant', get_json_object(j, '$.output')))",
-    "OBJECT<input, instruction, output>": "array(struct('user' AS role, concat_ws('\\n', get_json_object(j, '$.instruction'), nullif(get_json_object(j, '$.input'), '')) AS text), struct('assistant', get_json_object(j, '$.output')))",
+    "OBJECT<prompt, response>": "array(struct('user' AS role, get_json_object(j, '$.prompt') AS text), struct('assistant' AS role, get_json_object(j, '$.response') AS text))",
+    "OBJECT<completion, prompt>": "array(struct('user' AS role, get_json_object(j, '$.prompt') AS text), struct('assistant' AS role, get_json_object(j, '$.completion') AS text))",
+    "OBJECT<instruction, output>": "array(struct('user' AS role, get_json_object(j, '$.instruction') AS text), struct('assistant' AS role, get_json_object(j, '$.output') AS text))",
+    "OBJECT<input, instruction, output>": "array(struct('user' AS role, concat_ws('\\n', get_json_object(j, '$.instruction'), nullif(get_json_object(j, '$.input'), '')) AS text), struct('assistant' AS role, get_json_object(j, '$.output') AS text))",
     "OBJECT<messages: ARRAY<OBJECT<content, role>>>": "transform(from_json(j, 'messages array<struct<role:string,content:string>>').messages, m -> struct(m.role AS role, m.content AS text))",
     "OBJECT<conversations: ARRAY<OBJECT<from, value>>>": "transform(from_json(j, 'conversations array<struct<`from`:string,value:string>>').conversations, m -> struct(CASE m.`from` WHEN 'human' THEN 'user' WHEN 'gpt' THEN 'assistant' ELSE m.`from` END AS role, m.value AS text))",
 }

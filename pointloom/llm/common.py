@@ -52,6 +52,14 @@ def join_lookup(df: DataFrame, lookup: DataFrame, on: str, how: str = "left", li
     return df.join(F.broadcast(lookup) if small else lookup, on, how)
 
 
+def own_prefix(df: DataFrame) -> str:
+    """A prefix that none of the frame's columns has, for columns that are added for a while."""
+    prefix = "__"
+    while any(c.startswith(prefix) for c in df.columns):
+        prefix += "_"
+    return prefix
+
+
 def lean(run):
     """A task function that gives its memory back at its end: Python workers are reused and would keep it."""
 

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from pointloom.llm.common import lean, materialize
+from pointloom.llm.common import lean, materialize, own_prefix
 
 MIN_CHARS = 10
 SHARD_KEYS = 1 << 18
@@ -181,26 +181,28 @@ def _rounds(shards: DataFrame, limit: int) -> list[tuple[int, int]]:
 
 
 def probed(docs: DataFrame, finish, schema, round_bytes: int = ROUND_BYTES, shard_keys: int = SHARD_KEYS) -> DataFrame:
-    """``docs`` with ``__id``, ``__text`` and ``__drop`` (a byte for every line, 1 where it goes; null where nothing was looked
-    up), handed to ``finish(batch)`` in the task that makes the last probe."""
+    """``docs`` with an id, a text and a mask (a byte for every line, 1 where it goes; null where nothing was looked up), handed to
+    ``finish(batch, names of the three)`` in the task that makes the last probe."""
+    names = [own_prefix(docs) + c for c in ("id", "text", "drop")]
     shards, bits = build_shards(repeated_lines(docs), shard_keys)
     spark, rounds = docs.sparkSession, _rounds(shards, round_bytes)
-    out = docs.withColumn("__id", F.col("doc_id").cast("long")).withColumn("__text", F.col("text").cast("string")).withColumn("__drop", F.lit(None).cast("binary"))
+    out = docs.withColumns(dict(zip(names, (F.col("doc_id").cast("long"), F.col("text").cast("string"), F.lit(None).cast("binary")), strict=True)))
     for k, (lo, hi) in enumerate(rounds):
         rows = shards.where(F.col("shard").between(lo, hi)).collect()
         sent = spark.sparkContext.broadcast({r["shard"]: ([bytes(x) for x in r["levels"]], bytes(r["fingerprints"]), bytes(r["least"]), bytes(r["counts"]), bytes(r["twins"])) for r in rows})
         if k + 1 == len(rounds):
-            return out.mapInArrow(lean(_prober(sent, bits, finish)), schema)
-        out = materialize(out.mapInArrow(lean(_prober(sent, bits)), out.schema))
-    return out.mapInArrow(lean(lambda batches: map(finish, batches)), schema)
+            return out.mapInArrow(lean(_prober(sent, bits, names, finish)), schema)
+        out = materialize(out.mapInArrow(lean(_prober(sent, bits, names)), out.schema))
+    return out.mapInArrow(lean(lambda batches: (finish(b, names) for b in batches)), schema)
 
 
-def _prober(sent, bits, finish=lambda b: b):
+def _prober(sent, bits, own, finish=lambda b, own: b):
     def run(batches):
         shards = {k: Shard(*x) for k, x in sent.value.items()}
         for b in batches:
             names = b.schema.names
-            ids, texts, drops = _ids(b.column(names.index("__id"))), b.column(names.index("__text")), b.column(names.index("__drop"))
+            ids, texts, drops = (b.column(names.index(c)) for c in own)
+            ids = _ids(ids)
             keys, place, flags = [], [], []
             for k, text in enumerate(texts):
                 raw = (text.as_py() or "").encode()
@@ -219,8 +221,8 @@ def _prober(sent, bits, finish=lambda b: b):
                     for x in mine[known & (least != ids[owner[mine]])].tolist():
                         flags[place[x][0]][place[x][1]] = 1
             drop = pa.array([bytes(f) for f in flags], pa.binary())
-            columns = [drop if n == "__drop" else b.column(i) for i, n in enumerate(names)]
-            yield finish(pa.RecordBatch.from_arrays(columns, names))
+            columns = [drop if n == own[2] else b.column(i) for i, n in enumerate(names)]
+            yield finish(pa.RecordBatch.from_arrays(columns, names), own)
 
     return run
 
@@ -232,14 +234,14 @@ def _kept(raw: bytes, drop: bytes | None) -> bytes:
 
 
 def line_report(docs: DataFrame) -> DataFrame:
-    def finish(b):
+    def finish(b, own):
         n, gone, sha = [], [], []
-        for text, drop in zip(b.column("__text"), b.column("__drop"), strict=True):
+        for text, drop in zip(b.column(own[1]), b.column(own[2]), strict=True):
             raw, drop = (text.as_py() or "").encode(), drop.as_py()
             n.append(raw.count(b"\n") + 1)
             gone.append(drop.count(1) if drop else 0)
             sha.append(hashlib.sha256(_kept(raw, drop)).hexdigest())
-        return pa.RecordBatch.from_arrays([b.column("__id"), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha, pa.string())], ["doc_id", "n_lines", "n_dropped", "kept_sha256"])
+        return pa.RecordBatch.from_arrays([b.column(own[0]), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha, pa.string())], ["doc_id", "n_lines", "n_dropped", "kept_sha256"])
 
     return probed(docs.select("doc_id", "text"), finish, "doc_id long, n_lines long, n_dropped long, kept_sha256 string")
 
@@ -248,9 +250,9 @@ def dedup(docs: DataFrame) -> DataFrame:
     """``docs`` without the repeated lines; every row stays."""
     schema = docs.schema
 
-    def finish(b):
+    def finish(b, own):
         names = b.schema.names
-        text, drop = b.column(names.index("text")), b.column(names.index("__drop"))
+        text, drop = b.column(names.index("text")), b.column(names.index(own[2]))
         new = [t if t is None or not d or 1 not in d else _kept(t.encode(), d).decode() for t, d in zip(text.to_pylist(), drop.to_pylist(), strict=True)]
         columns = []
         for f in schema.names:

@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from pointloom.llm.common import WORD_RE, join_lookup, materialize
+from pointloom.llm.common import WORD_RE, join_lookup, materialize, own_prefix
 
 WEIGHTS = (5, 2, 1)
 BUDGET = 1.5
@@ -96,11 +96,10 @@ def mix_plan(sizes: DataFrame, weights=WEIGHTS, budget: float = BUDGET, max_epoc
     return materialize(targets.join(lower, "src", "left").join(cut, "src", "left").select("src", "source_size", "target", "whole", "rest", "cut_bucket", "cut_in"))
 
 
-def copies_of(h: Column) -> Column:
+def copies_of(h: Column, plan=F.col) -> Column:
     """Repetitions of a document under its source's plan row."""
-    bucket = F.substring(h, 1, BUCKET_DIGITS)
-    more = F.col("cut_bucket").isNotNull() & ((bucket < F.col("cut_bucket")) | F.coalesce(h <= F.col("cut_in"), F.lit(False))) & (F.col("rest") > 0)
-    return F.col("whole") + more.cast("int")
+    before = (F.substring(h, 1, BUCKET_DIGITS) < plan("cut_bucket")) | F.coalesce(h <= plan("cut_in"), F.lit(False))
+    return plan("whole") + (plan("cut_bucket").isNotNull() & before & (plan("rest") > 0)).cast("int")
 
 
 def mix_report(docs: DataFrame, seed: int = 17, **options) -> DataFrame:
@@ -113,15 +112,12 @@ def mix_report(docs: DataFrame, seed: int = 17, **options) -> DataFrame:
 def mix(docs: DataFrame, seed: int = 17, **options) -> DataFrame:
     """The mixed corpus: the rows of ``docs``, each as often as the mix takes it."""
     plan = mix_plan(materialize(sized(docs, seed)), **options)
-    keyed = docs.withColumn("__src", source_key(F.col("source"))).withColumn("__h", order_hash(F.col("doc_id"), seed))
-    names = {c: f"__plan_{c}" for c in plan.columns if c != "src"}
-    plan = plan.select(F.col("src").alias("__src"), F.struct(*names).alias("__plan"))
-    joined = join_lookup(keyed, plan, "__src")
-    p = F.col("__plan")
-    bucket = F.substring("__h", 1, BUCKET_DIGITS)
-    more = p["cut_bucket"].isNotNull() & ((bucket < p["cut_bucket"]) | F.coalesce(F.col("__h") <= p["cut_in"], F.lit(False))) & (p["rest"] > 0)
-    times = p["whole"] + more.cast("int")
-    return joined.withColumn("__copy", F.explode(F.when(times > 0, F.sequence(F.lit(1), times)).otherwise(F.array().cast("array<int>")))).select(*[docs[c] for c in docs.columns])
+    src, h, row, copy = (own_prefix(docs) + c for c in ("src", "h", "plan", "copy"))
+    keyed = docs.withColumns({src: source_key(F.col("source")), h: order_hash(F.col("doc_id"), seed)})
+    plan = plan.select(F.col("src").alias(src), F.struct(*[c for c in plan.columns if c != "src"]).alias(row))
+    times = copies_of(F.col(h), lambda c: F.col(row)[c])
+    repeated = F.explode(F.when(times > 0, F.sequence(F.lit(1), times)).otherwise(F.array().cast("array<int>")))
+    return join_lookup(keyed, plan, src).withColumn(copy, repeated).select(*[docs[c] for c in docs.columns])
 
 
 ORACLE = r"""

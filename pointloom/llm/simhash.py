@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pointloom.llm.common import lean, materialize
+from pointloom.llm.common import join_lookup, lean, materialize
 from pointloom.llm.components import connected_components, unite
 
 SHINGLE, SEED, MAX_BITS = 4, 42, 4
@@ -201,5 +201,5 @@ def simhash_report(docs: DataFrame) -> DataFrame:
 
 def keep_one(docs: DataFrame, budget: int = MAX_BITS) -> DataFrame:
     """The rows of ``docs`` that stay: of every group those of its smallest doc_id (one row if ids are unique)."""
-    named = groups(docs, budget).where("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(named, docs["doc_id"] == named["__gone"], "left_anti")
+    gone = groups(docs, budget).where("doc_id is not null and doc_id <> component_id").select("doc_id").distinct()
+    return join_lookup(docs, materialize(gone), "doc_id", "left_anti")

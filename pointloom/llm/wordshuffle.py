@@ -39,7 +39,7 @@ class Codes(dict):
 
 def pack(*arrays: np.ndarray) -> bytes:
     """Arrays as compressed byte planes; small numbers in wide types cost little."""
-    return zstandard.compress(pickle.dumps([(a.dtype.str, np.ascontiguousarray(a.reshape(-1).view(np.uint8).reshape(len(a), -1).T).tobytes()) for a in arrays]), 3)
+    return zstandard.compress(pickle.dumps([(a.dtype.str, np.ascontiguousarray(a.reshape(-1).view(np.uint8).reshape(len(a), a.dtype.itemsize).T).tobytes()) for a in arrays]), 3)
 
 
 def unpack(data: bytes) -> list[np.ndarray]:
