@@ -9,18 +9,23 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Row, SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udf, pandas_udf, udtf
 
 from pointloom.functions.fixed import KEYS, PRIME
 
 
-@arrow_udf("double")
+def _row(*names: str) -> T.StructType:
+    return T.StructType([T.StructField(n, T.IntegerType()) for n in names])
+
+
+@arrow_udf(T.DoubleType())
 def gelu(x: pa.Array) -> pa.Array:
     v = x.to_numpy(zero_copy_only=False)
     return pa.array(0.5 * v * (1 + np.tanh(math.sqrt(2 / math.pi) * (v + 0.044715 * v**3))))
 
 
-@arrow_udf("long")
+@arrow_udf(T.LongType())
 def morton_key(i: pa.Array, j: pa.Array, k: pa.Array) -> pa.Array:
     """Bits of three lattice coordinates (up to 21 bits each) interleaved, first axis lowest."""
     out = np.zeros(len(i), np.int64)
@@ -31,7 +36,7 @@ def morton_key(i: pa.Array, j: pa.Array, k: pa.Array) -> pa.Array:
     return pa.array(out)
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def chamfer_agg(x: pd.Series, y: pd.Series, z: pd.Series, is_true: pd.Series) -> float:
     p, t = np.stack([x, y, z], 1), is_true.to_numpy(bool)
     if not t.any() or t.all():
@@ -40,12 +45,12 @@ def chamfer_agg(x: pd.Series, y: pd.Series, z: pd.Series, is_true: pd.Series) ->
     return float(d.min(1).mean() + d.min(0).mean())
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def vector_sum(v: pd.Series) -> list:
     return np.sum(np.stack(v.to_list()), axis=0).tolist()
 
 
-@udtf(returnType="slot int, i int, j int, k int")
+@udtf(returnType=_row("slot", "i", "j", "k"))
 class Slots:
     """All slots of a patch of edge a with their offsets."""
 
@@ -54,14 +59,14 @@ class Slots:
             yield s, s % a, s // a % a, s // (a * a)
 
 
-@udtf(returnType="run int, way int, shot int")
+@udtf(returnType=_row("run", "way", "shot"))
 class Episodes:
     def eval(self, way: int, shot: int, runs: int) -> Iterator:
         for r in range(1, runs + 1):
             yield r, way, shot
 
 
-@udtf(returnType="sample_id long, rank int, point_no long")
+@udtf(returnType=T.StructType([T.StructField("sample_id", T.LongType()), T.StructField("rank", T.IntegerType()), T.StructField("point_no", T.LongType())]))
 class FpsPoints:
     """Centres of each partition of a table (sample_id, point_no, x, y, z): use with PARTITION BY sample_id."""
 

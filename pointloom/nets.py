@@ -72,15 +72,21 @@ def shape(a: Var, dims) -> Var:
     return Var(a.value.reshape(dims), ((a, lambda g: g.reshape(a.value.shape)),))
 
 
-def take(a: Var, index) -> Var:
-    """Rows of ``a`` by number; repeated rows add up their gradients."""
+def sum_by(values: np.ndarray, group: np.ndarray, n: int) -> np.ndarray:
+    """Sums of the rows of each group."""
+    out = np.zeros((n, *values.shape[1:]), values.dtype)
+    if len(group):
+        if (group[1:] < group[:-1]).any():
+            order = np.argsort(group, kind="stable")
+            values, group = values[order], group[order]
+        at = np.flatnonzero(np.concatenate(([True], group[1:] != group[:-1])))
+        out[group[at]] = np.add.reduceat(values, at, axis=0)
+    return out
 
-    def back(g):
-        out = np.zeros_like(a.value)
-        np.add.at(out, index, g)
-        return out
 
-    return Var(a.value[index], ((a, back),))
+def take(a: Var, index) -> Var:
+    """Rows of ``a`` by number; repeated rows add up their gradients."""
+    return Var(a.value[index], ((a, lambda g: sum_by(g, np.asarray(index), len(a.value))),))
 
 
 def slot_linear(x: Var, w: Var, slot: np.ndarray) -> Var:
@@ -121,8 +127,7 @@ def stack_rows(parts: list[Var]) -> Var:
 
 def mean_by(a: Var, group: np.ndarray, n: int) -> Var:
     count = np.bincount(group, minlength=n).astype(a.value.dtype)
-    out = np.zeros((n, *a.value.shape[1:]), a.value.dtype)
-    np.add.at(out, group, a.value)
+    out = sum_by(a.value, group, n)
     w = 1 / np.maximum(count, 1)
     return Var(out * w.reshape(-1, *[1] * (out.ndim - 1)), ((a, lambda g: (g * w.reshape(-1, *[1] * (g.ndim - 1)))[group]),))
 
@@ -332,10 +337,14 @@ def reconstruct(t: Tokens, hidden: np.ndarray, p: dict[str, Var], cfg: ModelConf
 def nearest(a: np.ndarray, b: np.ndarray, ga: np.ndarray, gb: np.ndarray, n: int) -> np.ndarray:
     """For each row of ``a`` the nearest row of ``b`` in the same group."""
     out = np.zeros(len(a), np.int64)
+    oa, ob = np.argsort(ga, kind="stable"), np.argsort(gb, kind="stable")
+    ca, cb = (np.searchsorted(g[o], np.arange(n + 1)) for g, o in ((ga, oa), (gb, ob)))
     for g in range(n):
-        i, j = np.flatnonzero(ga == g), np.flatnonzero(gb == g)
+        i, j = oa[ca[g] : ca[g + 1]], ob[cb[g] : cb[g + 1]]
         if len(i) and len(j):
-            out[i] = j[((a[i][:, None] - b[j][None]) ** 2).sum(-1).argmin(1)]
+            x, y = a[i], b[j]
+            # the first part is the same for all candidates
+            out[i] = j[((y * y).sum(1)[None] - 2 * x @ y.T).argmin(1)]
     return out
 
 
@@ -443,11 +452,11 @@ def voxel_tokens(clouds: list[np.ndarray], cfg: ModelConfig) -> Tokens:
         cell = key // cfg.patch
         wide = -(-cfg.grid // cfg.patch)
         cells, owner = np.unique((cell[:, 0] * wide + cell[:, 1]) * wide + cell[:, 2], return_inverse=True)
+        order = np.argsort(owner, kind="stable")
+        key, attr, owner = key[order], attr[order], owner[order]
         slot = (key % cfg.patch) @ np.array([1, cfg.patch, cfg.patch**2])
         n = np.bincount(owner, minlength=len(cells))[:, None]
-        centre = np.zeros((len(cells), 3))
-        np.add.at(centre, owner, attr[:, :3])
-        centre = (centre / np.maximum(n, 1))[owner]
+        centre = (sum_by(attr[:, :3], owner, len(cells)) / np.maximum(n, 1))[owner]
         corner = np.stack([cells // (wide * wide), cells // wide % wide, cells % wide], 1) * cfg.patch / cfg.grid
         parts.append((np.full(len(cells), s), corner, owner + base, slot, np.hstack([attr, attr[:, :3] - centre, centre])))
         base += len(cells)

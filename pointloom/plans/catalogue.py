@@ -841,14 +841,14 @@ def unlabelled_docs_anti(spark, sf_dir):
     return relops.drop(load(spark, sf_dir, "documents").select("doc_id", "lang"), load(spark, sf_dir, "labels"), "doc_id")
 
 
-@query("""SELECT p.event_id, (SELECT arg_max(c.event_id, (c.ts, c.event_id)) FROM events c WHERE c.user_id = p.user_id AND c.event_type = 'click' AND c.ts <= p.ts) AS last_click
+@query("""SELECT p.event_id, coalesce((SELECT arg_max(c.event_id, (c.ts, c.event_id)) FROM events c WHERE c.user_id = p.user_id AND c.event_type = 'click' AND c.ts <= p.ts), -1) AS last_click
   FROM events p WHERE p.event_type = 'purchase'""")
 def asof_event_points(spark, sf_dir):
     ev = load(spark, sf_dir, "events").select("event_id", "user_id", "event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
     clicks = ev.where("event_type = 'click'").select("user_id", "t", F.col("event_id").alias("click"))
     # of clicks at one time the largest number counts
     clicks = clicks.groupBy("user_id", "t").agg(F.max("click").alias("click"))
-    return relops.asof(ev.where("event_type = 'purchase'"), clicks, "user_id", "t", "click").select("event_id", F.col("asof_value").alias("last_click"))
+    return relops.asof(ev.where("event_type = 'purchase'"), clicks, "user_id", "t", "click").select("event_id", F.coalesce("asof_value", F.lit(-1)).alias("last_click"))
 
 
 @query("""SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'purchase' AND b.event_type = 'click'

@@ -39,7 +39,7 @@ def spark_gradients(batch: DataFrame, params: dict[str, np.ndarray], loss_of, la
         for b in batches:
             for lo in range(0, b.num_rows, per_task):
                 part = b.slice(lo, per_task)
-                labels = part.column(part.schema.names.index(label)).to_numpy() if label else None
+                labels = part.column(part.schema.names.index(label)).to_numpy(zero_copy_only=False) if label else None
                 value, grad, _ = nets.gradients(lambda p, part=part, labels=labels: loss_of(_clouds(part), labels, p), sent.value)
                 k = part.num_rows
                 n, loss = n + k, loss + value * k
