@@ -15,6 +15,9 @@ WORD_RE = "[^\\x20\\x09-\\x0D]+"
 #: A lookup table of at most this many rows may be broadcast; beyond it the join is left to AQE.
 BROADCAST_ROWS = 100_000
 
+#: Rows of a scratch file where the number of rows is bounded beforehand.
+FILE_ROWS = 250_000
+
 _local_scratch: list[str] = []
 
 
@@ -32,13 +35,16 @@ def scratch_root(spark: SparkSession) -> str:
     return _local_scratch[0]
 
 
-def materialize(df: DataFrame) -> DataFrame:
+def materialize(df: DataFrame, most_rows: int | None = None) -> DataFrame:
     """Write ``df`` once to the shared folder and read it back: lineage is cut, and no task is run twice.
 
+    Where a bound of the rows is known, a file holds up to ``FILE_ROWS`` of them, so small tables are no heap of tiny files.
     The files go when the driver's JVM ends (Hadoop's delete-on-exit), so plans made from them stay valid.
     """
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/pointloom-{uuid.uuid4().hex}"
+    if most_rows is not None:
+        df = df.coalesce(max(1, -(-most_rows // FILE_ROWS)))
     df.write.option("compression", "zstd").parquet(path)
     jvm = spark._jvm
     hpath = jvm.org.apache.hadoop.fs.Path(path)

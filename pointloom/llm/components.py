@@ -39,20 +39,21 @@ def _flatten(edges: DataFrame) -> DataFrame:
     return tied.union(least.select("a", F.col("m").alias("b"))).distinct()
 
 
-def connected_components(edges: DataFrame) -> DataFrame:
+def connected_components(edges: DataFrame, most_edges: int | None = None) -> DataFrame:
     """(vertex, root) for every vertex that has an edge; root is the smallest vertex of its component.
 
     ``edges`` has two long columns; loops, repeats and both directions are allowed. The two steps are repeated until
     the edges are stars around the roots, in rounds that grow with the logarithm of the input. Only a row count and
     a checksum reach the driver. Minima are combined before they are shuffled, and the joins are plain equi-joins,
-    so a hub with very many neighbours is split by adaptive execution.
+    so a hub with very many neighbours is split by adaptive execution. ``most_edges``: a bound of the number of rows, if known.
     """
     a, b = edges.columns
     now = edges.where(F.col(a) != F.col(b)).select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).distinct()
-    now, seen = materialize(now), None
+    now, seen = materialize(now, most_edges), None
     while True:
         sign = tuple(now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
         if sign == seen or sign[0] == 0:
             return now.select(F.col("a").alias("vertex"), F.col("b").alias("root")).union(now.select("b", "b").distinct())
         seen = sign
-        now = materialize(_flatten(_toward_min(now)))
+        # a step gives at most an edge for each that it gets and one more a vertex
+        now = materialize(_flatten(_toward_min(now)), 3 * sign[0])

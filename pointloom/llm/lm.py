@@ -349,26 +349,97 @@ def _finish(uni: Unigrams):
 SCHEMA = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
+class Model:
+    """The fitted model of a corpus: discounts, sums of hot contexts, and the shuffled blocks that the tables are made of."""
+
+    def __init__(self, docs: DataFrame):
+        spark = docs.sparkSession
+        self.spark, self.n = spark, n_buckets(docs)
+        self.width = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        rows = source(docs)
+        self.words = by_bucket(rows.mapInArrow(lean(word_blocks(keys, word_of, self.n, _training_counts)), BLOCK))
+        counted = materialize(self.words.mapInArrow(lean(_numbered(self.n)), BLOCK))
+        # one small row a task
+        stats = sum((unpack(bytes(r["data"]))[0] for r in counted.where("bucket = -2").select("data").collect()), np.zeros(CUT + 3, np.int64))
+        self.uni = Unigrams(np.concatenate(([0], stats[1 : CUT + 2])), int(stats[CUT + 2]), int(stats[0]))
+        n_train = docs.where(~F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2, F.lit(False))).count()
+        positions = rows.mapInArrow(lean(position_rows(keys, word_of, self.n)), BLOCK)
+        blocks = by_chunk(counted.where("bucket >= 0"), positions).mapInArrow(lean(_deal(self.uni, BUCKETS * self.width, n_train)), BLOCK)
+        self.blocks = blocks.repartition(self.width, "bucket").sortWithinPartitions("bucket")
+        # two jobs read the same shuffled blocks: an RDD keeps its shuffle, a plan would be run again
+        self.dealt = self.blocks.rdd
+        counts, self.hot = np.zeros(CUT + 2, np.int64), {}
+        for part_n, part_hot in self.dealt.mapPartitions(_count(self.uni)).collect():
+            counts += part_n
+            for name, sums in part_hot.items():
+                self.hot[name] = self.hot.get(name, 0) + sums
+        self.d = discounts(counts)
+
+
 def lm_report(docs: DataFrame) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row."""
-    spark = docs.sparkSession
-    width, n = int(spark.conf.get("spark.sql.shuffle.partitions")), n_buckets(docs)
-    rows = source(docs)
-    words = by_bucket(rows.mapInArrow(lean(word_blocks(keys, word_of, n, _training_counts)), BLOCK))
-    counted = materialize(words.mapInArrow(lean(_numbered(n)), BLOCK))
-    # one small row a task
-    stats = sum((unpack(bytes(r["data"]))[0] for r in counted.where("bucket = -2").select("data").collect()), np.zeros(CUT + 3, np.int64))
-    uni = Unigrams(np.concatenate(([0], stats[1 : CUT + 2])), int(stats[CUT + 2]), int(stats[0]))
-    n_train = docs.where(~F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2, F.lit(False))).count()
-
-    positions = rows.mapInArrow(lean(position_rows(keys, word_of, n)), BLOCK)
-    blocks = by_chunk(counted.where("bucket >= 0"), positions).mapInArrow(lean(_deal(uni, BUCKETS * width, n_train)), BLOCK)
-    # two jobs read the same shuffled blocks: an RDD keeps its shuffle, a plan would be run again
-    dealt = blocks.repartition(width, "bucket").sortWithinPartitions("bucket").rdd
-    counts, hot = np.zeros(CUT + 2, np.int64), {}
-    for part_n, part_hot in dealt.mapPartitions(_count(uni)).collect():
-        counts += part_n
-        for name, s in part_hot.items():
-            hot[name] = hot.get(name, 0) + s
-    parts = spark.createDataFrame(dealt.mapPartitions(_evaluate(uni, discounts(counts), hot)), "chunk long, sums boolean, data binary")
-    return parts.repartition("chunk").sortWithinPartitions("chunk", F.col("sums").desc()).mapInArrow(lean(_finish(uni)), SCHEMA)
+    m = Model(docs)
+    parts = m.spark.createDataFrame(m.dealt.mapPartitions(_evaluate(m.uni, m.d, m.hot)), "chunk long, sums boolean, data binary")
+    return parts.repartition("chunk").sortWithinPartitions("chunk", F.col("sums").desc()).mapInArrow(lean(_finish(m.uni)), SCHEMA)
+
+
+def _word_rows(uni: Unigrams, buckets: int):
+    def run(batches):
+        made = []
+
+        def answer(bucket, words, totals, own):
+            made.append((bucket, words, totals))
+            return [b""] * len(own)
+
+        for _ in merge_blocks(answer)(batches):
+            while made:
+                bucket, words, totals = made.pop()
+                known = np.flatnonzero(totals > 0)
+                gid = known * buckets + bucket + 1
+                c = totals[known]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(c), bucket, np.int32)), pa.array(gid), pa.array([words[k].decode() for k in known.tolist()], pa.string()), pa.array(c), pa.array(np.log10(uni.p(c)))], ["bucket", "id", "word", "count", "log10_p"])
+
+    return run
+
+
+def _table_rows(uni: Unigrams, d: np.ndarray, hot: dict, contexts: bool):
+    def run(batches):
+        for bucket, blocks in _blocks(r for b in batches for r in b.to_pylist()):
+            if bucket < 0:
+                continue
+            h, w, r, c, is_hot = _Merged([a for _, a in blocks]).train
+            names, sums = context_sums(h[~is_hot], r[~is_hot], uni.p(c[~is_hot]))
+            alpha, keep = backoff(sums, d)
+            if contexts:
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(names), bucket, np.int32)), pa.array(names), pa.array(sums[:, 0].astype(np.int64)), pa.array(np.log10(alpha))], ["bucket", "id", "count", "log10_backoff"])
+                continue
+            count, kept = np.zeros(len(h)), np.zeros(len(h))
+            at = np.searchsorted(names, h[~is_hot])
+            count[~is_hot], kept[~is_hot] = sums[at, 0], keep[at]
+            for k in np.flatnonzero(is_hot).tolist():
+                _, one = backoff(hot[int(h[k])][None], d)
+                count[k], kept[k] = hot[int(h[k])][0], one[0]
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), bucket, np.int32)), pa.array(h), pa.array(w), pa.array(r), pa.array(pair_logs(r, c, count, np.ones(len(h)), kept, d, uni))], ["bucket", "context", "word", "count", "log10_p"])
+
+    return run
+
+
+def model_tables(docs: DataFrame) -> dict[str, DataFrame]:
+    """The model as tables, each with a ``bucket`` to partition it by: ``words`` (id, word, count, log10_p), ``pairs`` (context,
+    word, count, log10_p), ``backoffs`` (id of the context, count, log10_backoff). The end token is the empty word; context 0
+    starts a text; a context that is not listed has backoff 1; the unknown word has the probability that words leave."""
+    m = Model(docs)
+    words = m.words.mapInArrow(lean(_word_rows(m.uni, m.n)), "bucket int, id long, word string, count long, log10_p double")
+    pairs = m.blocks.mapInArrow(lean(_table_rows(m.uni, m.d, m.hot, False)), "bucket int, context long, word long, count long, log10_p double")
+    backoffs = m.blocks.mapInArrow(lean(_table_rows(m.uni, m.d, m.hot, True)), "bucket int, id long, count long, log10_backoff double")
+    if m.hot:
+        # at most 1 / HOT rows
+        alpha, _ = backoff(np.array(list(m.hot.values())), m.d)
+        rows = [(-1, int(h), int(s[0]), float(np.log10(a))) for (h, s), a in zip(m.hot.items(), alpha, strict=True)]
+        backoffs = backoffs.union(m.spark.createDataFrame(rows, backoffs.schema))
+    return {"words": words, "pairs": pairs, "backoffs": backoffs}
+
+
+def write_tables(docs: DataFrame, path: str) -> None:
+    for name, df in model_tables(docs).items():
+        df.write.mode("overwrite").partitionBy("bucket").parquet(f"{path}/{name}")

@@ -74,7 +74,7 @@ def water_fill(sizes: DataFrame, weights=WEIGHTS, budget: float = BUDGET, max_ep
 def mix_plan(sizes: DataFrame, weights=WEIGHTS, budget: float = BUDGET, max_epochs: float = MAX_EPOCHS) -> DataFrame:
     """One row a source: source_size, target, whole repetitions, and the last hash that gets one repetition more."""
     bucketed = sizes.withColumn("bucket", F.substring("h", 1, BUCKET_DIGITS))
-    buckets = materialize(bucketed.groupBy("src", "source", "bucket").agg(F.sum("size").alias("words")))
+    buckets = materialize(bucketed.groupBy("src", "source", "bucket").agg(F.sum("size").alias("words")), sizes.count())
     targets = water_fill(buckets.groupBy("src", "source").agg(F.sum("words").alias("source_size")), weights, budget, max_epochs)
     targets = materialize(
         targets.withColumn("whole", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("int"))

@@ -186,8 +186,10 @@ def links(prints: DataFrame, budget: int = MAX_BITS) -> DataFrame:
 def groups(docs: DataFrame, budget: int = MAX_BITS) -> DataFrame:
     """doc_id, fp, component_id of every row of ``docs``."""
     prints = materialize(fingerprints(docs))
-    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
-    roots = materialize(connected_components(links(distinct.select("fp"), budget)))
+    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), prints.count())
+    n = distinct.count()
+    # a group gives fewer links than it has members, and a fingerprint is in one group a block
+    roots = materialize(connected_components(links(distinct.select("fp"), budget), (budget + 1) * n), n)
     tied = distinct.join(roots.withColumnRenamed("vertex", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     smallest = tied.groupBy("root").agg(F.min("least").alias("component_id"))
     by_print = tied.select("fp", "root").join(smallest, "root").select("fp", "component_id")

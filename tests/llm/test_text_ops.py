@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import math
 import os
 import random
 import re
@@ -247,6 +248,27 @@ def test_lm_matches_plain_katz(spark, monkeypatch, empty):
     assert lm.lm_report(empty).collect() == []
 
 
+def test_lm_tables_give_the_scores(spark, monkeypatch, tmp_path):
+    monkeypatch.setattr(lm, "HOT", 0.05)
+    rng = random.Random(9)
+    rows = [(k, " ".join(f"w{int(rng.paretovariate(0.7))}" for _ in range(rng.randint(0, 40))), "s") for k in range(120)]
+    df = frame(spark, rows)
+    lm.write_tables(df, str(tmp_path))
+    words, pairs, backoffs = (spark.read.parquet(f"{tmp_path}/{t}").collect() for t in ("words", "pairs", "backoffs"))
+    number, uni = {r.word: r.id for r in words}, {r.id: 10**r.log10_p for r in words}
+    pair, back = {(r.context, r.word): 10**r.log10_p for r in pairs}, {r.id: 10**r.log10_backoff for r in backoffs}
+    unknown = 1 - sum(uni.values())
+
+    def p(h, w):
+        return pair[h, w] if (h, w) in pair else back.get(h, 1.0) * uni.get(w, unknown)
+
+    for h in list(back)[:30]:
+        assert sum(p(h, w) for w in uni) + back[h] * unknown == pytest.approx(1.0, abs=1e-9)
+    for r in lm.lm_report(df).collect():
+        ids = [number.get(w, -1) for w in WORD.findall(lower(rows[r.doc_id][1]))] + [number[""]]
+        assert r.score == pytest.approx(sum(math.log10(p(h, w)) for h, w in zip([0, *ids], ids)), rel=1e-9)
+
+
 def test_lm_without_training_rows(spark):
     held = next(i for i in range(100) if not lm.trains(i))
     r = lm.lm_report(frame(spark, [(held, "a b", "s")])).first()
