@@ -616,6 +616,29 @@ def project_views(spark, sf_dir):
     return baselines.project_views(lineitem_clouds(spark, sf_dir))
 
 
+_FORMATS = ("csv", "json", "orc", "parquet")
+
+
+@query(f"WITH {sql_points('region')} SELECT f AS format, count(*) AS n, {sql_sum_fx(ATTRIBUTES)} FROM pts, (VALUES {', '.join(f'({chr(39)}{f}{chr(39)})' for f in _FORMATS)}) t(f) GROUP BY f")
+def roundtrip_formats(spark, sf_dir):
+    """The clouds written to each format in a shared folder and read back by the declared schema."""
+    import tempfile
+    import uuid
+
+    from pointloom.schema import POINTS, validate
+
+    pts = validate(lineitem_clouds(spark, sf_dir, "region"))
+    root = f"{spark.conf.get('spark.checkpoint.dir', None) or 'file://' + tempfile.gettempdir()}/pointloom-{uuid.uuid4().hex}"
+    hroot = spark._jvm.org.apache.hadoop.fs.Path(root)
+    hroot.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(hroot)
+    out = None
+    for f in _FORMATS:
+        pts.write.format(f).save(f"{root}/{f}")
+        part = spark.read.schema(POINTS).format(f).load(f"{root}/{f}").agg(F.count("*").alias("n"), *sum_fx(ATTRIBUTES)).select(F.lit(f).alias("format"), "*")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 # costs -----------------------------------------------------------------------------------------------------------------
 
 _G = f"greatest(1, n_points // {measure.CNT_DENSITY})"
@@ -673,13 +696,23 @@ def fewshot_episodes(spark, sf_dir):
     return out
 
 
-@query()
+_EPISODES = ORACLES["fewshot_episodes"].removesuffix("SELECT * FROM ep").rstrip()
+
+
+@query(f"""{_EPISODES}, f AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings),
+  cen AS (SELECT run, way, shot, label, i, avg(e[i]) AS m FROM ep JOIN f ON vec_id = sample_id, range(1, 65) t(i) WHERE role = 'support' GROUP BY ALL),
+  d AS (SELECT q.run, q.way, q.shot, q.sample_id, q.label, c.label AS pred, sum((e[i] - m) * (e[i] - m)) AS d FROM ep q JOIN f ON vec_id = q.sample_id JOIN cen c ON c.run = q.run AND c.way = q.way AND c.shot = q.shot WHERE role = 'query' GROUP BY ALL),
+  p AS (SELECT run, way, shot, sample_id, label, arg_min(pred, (d, pred)) AS pred FROM d GROUP BY ALL),
+  a AS (SELECT run, way, shot, floor(count(*) FILTER (WHERE label = pred) / count(*) * 1000000 + 0.5::DOUBLE) AS acc FROM p GROUP BY ALL)
+  SELECT way::INT AS way, shot::INT AS shot, count(*) AS n_runs, floor(avg(acc) + 0.5::DOUBLE)::BIGINT AS mean_fx, floor(stddev_samp(acc) / sqrt(count(*)::DOUBLE) + 0.5::DOUBLE)::BIGINT AS se_fx FROM a GROUP BY way, shot""")
 def fewshot_centroid_accuracy(spark, sf_dir):
     """Mean and standard error over ten runs; the label carries no signal, so this is a control near chance."""
     from pointloom.train import centroid_episodes
 
     feats = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("sample_id"), F.col("embedding").cast("array<double>").alias("f"))
-    return measure.mean_se(centroid_episodes(fewshot_episodes(spark, sf_dir), feats), ["way", "shot"], "accuracy")
+    runs = centroid_episodes(fewshot_episodes(spark, sf_dir), feats).withColumn("acc", F.floor(F.col("accuracy") * 1000000 + 0.5).cast("double"))
+    out = measure.mean_se(runs, ["way", "shot"], "acc")
+    return out.select("way", "shot", "n_runs", *[F.floor(F.col(c) + 0.5).cast("long").alias(f"{c}_fx") for c in ("mean", "se")])
 
 
 _VOTES = f"(SELECT sample_id, copy, floor(sum({sql_fx6('x')})::BIGINT / count(*) / 200000)::INT AS cx, floor(sum({sql_fx6('z')})::BIGINT / count(*) / 200000)::INT AS cz FROM {_PERTURBED} GROUP BY ALL)"
@@ -720,7 +753,7 @@ def language_predictions(spark, sf_dir):
 
 
 @query(f"{_PRED_SQL} SELECT count(*) AS n, count(*) FILTER (WHERE label = pred) AS n_right, floor(count(*) FILTER (WHERE label = pred) / count(*) * 1000000 + 0.5::DOUBLE)::BIGINT AS acc_fx FROM pred")
-def accuracy_top1(spark, sf_dir):
+def accuracy_topk(spark, sf_dir):
     return measure.accuracy(language_predictions(spark, sf_dir))
 
 

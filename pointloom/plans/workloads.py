@@ -268,9 +268,20 @@ def vote_finetuned(spark, sf_dir):
 
 def supervised_pointnet(spark, sf_dir):
     d = shape_samples(spark, sf_dir, background=False)
-    return _trace(spark, train.supervised_points(d.where(~F.col("is_test")), 10, steps=6)[1])
+    return _trace(spark, train.supervised(d.where(~F.col("is_test")), 10, steps=6)[1])
 
 
-LEARNED = {f.__name__: f for f in (pretrain_tiny, pretrain_fixed_token_tiny, finetune_tiny, linear_probe_lang, segment_tiny, vote_finetuned, supervised_pointnet, w02_build_corpus, w05_fewshot, w10_stream_tokens)}
+def supervised_hierarchical(spark, sf_dir):
+    d = shape_samples(spark, sf_dir, background=False)
+    return _trace(spark, train.supervised(d.where(~F.col("is_test")), 10, train.hierarchical_logits, steps=4)[1])
+
+
+def supervised_edge_graph(spark, sf_dir):
+    """On part clouds of some thirty points: the neighbour graph of a cloud is quadratic in its points."""
+    d = shape_samples(spark, sf_dir, "part", False)
+    return _trace(spark, train.supervised(d.where(~F.col("is_test")), 10, train.edge_logits, steps=4)[1])
+
+
+LEARNED = {f.__name__: f for f in (pretrain_tiny, pretrain_fixed_token_tiny, finetune_tiny, linear_probe_lang, segment_tiny, vote_finetuned, supervised_pointnet, supervised_hierarchical, supervised_edge_graph, w02_build_corpus, w05_fewshot, w10_stream_tokens)}
 #: Longer runs; called by bench/workloads.py, not by the driver's queries.
 EXPERIMENTS = {f.__name__: f for f in (w01_tokenizer_cost, w02_build_corpus, w03_cross_table, w04_model_scaling, w05_fewshot, w06_cad_voting, w07_part_segmentation, w08a_mask_ratio, w08b_augmentation, w08c_attributes_losses, w08d_corpus_size, w09_ragged_vs_fixed, w10_stream_tokens)}

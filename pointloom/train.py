@@ -235,14 +235,15 @@ def segment_predict(clouds: DataFrame, params, cfg: ModelConfig) -> DataFrame:
     return clouds.select("sample_id", "category", "zones", *"xyzrgb").mapInArrow(run, "category int, sample_id long, label int, pred int")
 
 
-def supervised_points(clouds: DataFrame, classes: int, width: int = 32, steps: int = 8, lr: float = 1e-2, seed: int = 0):
-    """Supervised baseline: a shared layer on every point, the cloud's maximum, and a linear head; (parameters, losses)."""
-    rng = np.random.default_rng(seed)
+def supervised(clouds: DataFrame, classes: int, form=None, width: int = 32, steps: int = 8, lr: float = 1e-2, seed: int = 0):
+    """Supervised baselines from scratch; (parameters, losses). ``form``: :func:`points_logits` (a shared layer on every point, the
+    cloud's maximum, a linear head), :func:`hierarchical_logits` or :func:`edge_logits`."""
+    rng, form = np.random.default_rng(seed), form or points_logits
     params = {"p1.w": rng.normal(0, 0.4, (6, width)), "p1.b": np.zeros(width), "p2.w": rng.normal(0, 0.2, (width, width)), "p2.b": np.zeros(width), "class.w": np.zeros((width, classes)), "class.b": np.zeros(classes)}
     opt, losses = nets.AdamW(lr), []
 
     def loss_of(batch, labels, p):
-        return nets.cross_entropy(points_logits(batch, p), labels.astype(np.int64)), {}
+        return nets.cross_entropy(form(batch, p), labels.astype(np.int64)), {}
 
     for step in range(steps):
         loss, grad = spark_gradients(clouds, params, loss_of, "label")

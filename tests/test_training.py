@@ -133,3 +133,40 @@ def test_sql_functions(spark):
     c = spark.sql("SELECT chamfer_agg(x, y, z, t) c FROM VALUES (0D, 0D, 0D, true), (1D, 0D, 0D, false), (0D, 2D, 0D, false) v(x, y, z, t)").first().c
     assert c == pytest.approx(3.5)
     assert spark.sql("SELECT count(*) n FROM episode(5, 10, 3)").first().n == 3
+
+
+def test_image_files_are_lifted(spark, tmp_path):
+    from pointloom.sources import images
+
+    rng = np.random.default_rng(0)
+    pics = {7: rng.integers(0, 256, (3, 5, 3)), 8: rng.integers(0, 256, (2, 2, 3))}
+    for k, rgb in pics.items():
+        (tmp_path / f"{k}.ppm").write_bytes(images.encode_ppm(rgb))
+    rows = {r.sample_id: r for r in images.lift_images(images.read_ppm(spark, f"file://{tmp_path}")).collect()}
+    assert {k: r.n for k, r in rows.items()} == {7: 15, 8: 4}
+    assert rows[7].r == pytest.approx((pics[7][:, :, 0] / 255).ravel().tolist())
+    assert rows[8].z[0] > rows[8].z[2] and rows[8].x[0] < rows[8].x[1]
+    lum = (pics[8] / 255) @ np.array([0.299, 0.587, 0.114])
+    assert rows[8].y == pytest.approx([lum.mean()] * 4)
+
+
+def test_stream_with_stream_and_with_table(spark, tmp_path):
+    import datetime as dt
+
+    from pointloom.streaming import windows
+
+    t0 = dt.datetime(2024, 1, 1, 12)
+    rows = [(1, t0, 5, "click"), (2, t0 + dt.timedelta(minutes=30), 5, "purchase"), (3, t0 + dt.timedelta(hours=3), 5, "purchase"), (4, t0, 6, "click")]
+    spark.createDataFrame(rows, "event_id long, ts timestamp, user_id long, event_type string").coalesce(1).write.parquet(str(tmp_path / "e"))
+    ev = spark.readStream.schema("event_id long, ts timestamp, user_id long, event_type string").parquet(str(tmp_path / "e")).withWatermark("ts", "1 hour")
+    near = windows.within(ev.where("event_type = 'purchase'"), ev.where("event_type = 'click'"), "user_id")
+    dim = spark.createDataFrame([(5, "five")], "user_id long, name string")
+    for name, df, want in (("near", near.select("event_id", "b_event_id"), [(2, 1)]), ("dim", windows.with_dimension(ev, dim, "user_id").select("event_id", "name"), [(1, "five"), (2, "five"), (3, "five"), (4, None)])):
+        q = df.writeStream.format("memory").queryName(name).trigger(availableNow=True).option("checkpointLocation", str(tmp_path / name)).start()
+        q.awaitTermination()
+        assert sorted(map(tuple, spark.table(name).collect())) == want
+
+
+def test_wide_model_sizes_are_constructible():
+    small = sum(int(np.prod(s)) for s in nets.S.shapes().values())
+    assert small == nets.S.n_params() > 20_000_000
