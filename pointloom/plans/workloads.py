@@ -18,7 +18,8 @@ FIXED = replace(nets.TINY, group=8)
 
 
 def report(spark: SparkSession, rows: list[tuple]) -> DataFrame:
-    return spark.createDataFrame([(*r[:3], float(r[3]), float(r[4]) if len(r) > 4 and r[4] is not None else None) for r in rows], ARMS)
+    number = lambda r, k: float(r[k]) if len(r) > k and r[k] is not None else None
+    return spark.createDataFrame([(*r[:3], number(r, 3), number(r, 4)) for r in rows], ARMS)
 
 
 def document_clouds(spark: SparkSession, sf_dir: str, points: int | None = None) -> DataFrame:
