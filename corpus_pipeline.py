@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from pointloom.llm import bpe, linededup, mixing, quality, simhash
+from pointloom.llm import bpe, linededup, mixing, neardup, quality
 from pointloom.llm.common import materialize, table
 from pointloom.llm.queries import VOCABULARY
 
@@ -21,8 +21,8 @@ def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of every near-duplicate group stays. Documents whose text is empty by now form one group."""
-    return simhash.keep_one(docs)
+    """One document of every group stays that pairs of five-word similarity 0.8 or more link. Texts that are empty by now form one group."""
+    return neardup.keep_one(docs)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
