@@ -3,12 +3,16 @@
 Unit vectors with cosine >= t are at most ``eps = sqrt(2 - 2t)`` apart. Vectors are rotated to principal axes (fitted on
 a bounded sample; the rotation decides only what is skipped, never what is linked), ordered by their grid cells of side
 ``eps`` on the leading axes, and cut into intervals of that order. An interval keeps the box of its vectors on the leading
-axes. Interval pairs are found by descending a tree of boxes, and inside a pair the two sequences are halved again and
-again; wherever two boxes are provably more than ``eps`` apart, the whole block of pairs is skipped. What is left is
-compared by matrix products: single precision finds candidates with a margin, double precision decides.
+axes, with the length of what is left beside these axes as one more coordinate. Interval pairs are found by descending a tree
+of boxes, and inside a pair the two sequences are halved again and again; wherever two boxes are provably more than
+``eps`` apart, the whole block of pairs is skipped. What is left is compared by matrix products: single precision finds
+candidates with a margin, double precision decides.
 
-Equal vectors are one vertex with a count. A task returns each vector's number of links and a spanning forest of its
-links, never all pairs. Components are joined over all tasks.
+Intervals are joined in tiles, which are runs of the order: a task joins two tiles, so an interval is sent once a tile that
+holds a partner of it, and not once a partner. Vectors are sent in the type that they came in.
+
+Equal vectors (by a 128-bit hash) are one vertex with a count. A task returns each vertex's number of links and a spanning
+forest of its links, never all pairs. Components are joined over all tasks.
 
 Defined cases: vectors that are null, empty, zero or hold null or non-finite components link with nothing (n_links 0,
 their own component); vectors of different lengths do not link; rows that repeat a vector link with each other; rows
@@ -17,24 +21,30 @@ that repeat an id and a vector count as rows; an empty table gives an empty resu
 
 from __future__ import annotations
 
+from itertools import groupby
+
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pointloom.llm.common import lean, materialize
+from pointloom.llm.common import join_lookup, lean, materialize
 from pointloom.llm.components import connected_components, unite
 from pointloom.llm.vectors import block, dimensions, usable
 
 COSINE = 0.95
 AXES = 8
 SAMPLE = 4096
-#: Vectors in an interval, and the most intervals that the directory of boxes may hold: the interval grows instead.
-INTERVAL, MAX_INTERVALS = 8192, 20_000
+#: Bytes of an interval (as doubles), and the most intervals that the directory of boxes may hold: the interval grows instead.
+INTERVAL_BYTES, MAX_INTERVALS = 4 << 20, 100_000
+#: Bytes of a tile (as doubles).
+TILE_BYTES = 32 << 20
 LEAF = 1024
 #: Error that a single-precision product of unit vectors stays within.
 MARGIN = 2e-5
+#: Error of squared distances between boxes: the coordinate of the rest is a root of a difference.
+SLACK = 1e-7
 
 
 def _unit(x: np.ndarray) -> np.ndarray:
@@ -51,6 +61,12 @@ def _axes(sample: np.ndarray, k: int) -> np.ndarray:
     return vectors[:, ::-1][:, :k]
 
 
+def _leading(u: np.ndarray, axes: np.ndarray) -> np.ndarray:
+    """Coordinates on the axes, and the length of the rest: none of them differs by more than the vectors do."""
+    p = u @ axes
+    return np.hstack([p, np.sqrt(np.maximum(0, 1 - (p**2).sum(axis=1, keepdims=True)))])
+
+
 def _apart(lo_a, hi_a, lo_b, hi_b) -> np.ndarray:
     """Squared distance between boxes."""
     gap = np.maximum(0, np.maximum(lo_a - hi_b, lo_b - hi_a))
@@ -62,10 +78,10 @@ def partners(lo: np.ndarray, hi: np.ndarray, mine: int, eps: float) -> np.ndarra
     found, stack = [], [(0, len(lo))]
     while stack:
         a, b = stack.pop()
-        if b <= a or _apart(lo[a:b].min(axis=0), hi[a:b].max(axis=0), lo[mine], hi[mine]) > eps**2 * (1 + 1e-9):
+        if b <= a or _apart(lo[a:b].min(axis=0), hi[a:b].max(axis=0), lo[mine], hi[mine]) > eps**2 + SLACK:
             continue
         if b - a <= 16:
-            near = _apart(lo[a:b], hi[a:b], lo[mine], hi[mine]) <= eps**2 * (1 + 1e-9)
+            near = _apart(lo[a:b], hi[a:b], lo[mine], hi[mine]) <= eps**2 + SLACK
             found.append(a + np.flatnonzero(near))
         else:
             stack += [(a, (a + b) // 2), ((a + b) // 2, b)]
@@ -74,7 +90,7 @@ def partners(lo: np.ndarray, hi: np.ndarray, mine: int, eps: float) -> np.ndarra
 
 def join_sequences(a, b, cosine: float, same: bool):
     """Links between two sequences of (unit float64, unit float32, leading coordinates): yields position pairs (i, j)."""
-    eps2 = (2 - 2 * cosine) * (1 + 1e-9) + 1e-9
+    eps2 = 2 - 2 * cosine + SLACK
     stack = [(0, len(a[0]), 0, len(b[0]))]
     while stack:
         a0, a1, b0, b1 = stack.pop()
@@ -102,21 +118,22 @@ def join_sequences(a, b, cosine: float, same: bool):
 
 
 def _intervals(axes: np.ndarray, length: int):
-    """One row an interval of the task's ordered vectors: its place, box, ids, counts and vectors."""
+    """One row an interval of the task's ordered vectors: its place, box, vertices, counts and vectors."""
 
     def run(batches):
         task, seq, held = TaskContext.get().partitionId(), 0, []
 
         def row(parts):
-            ids, n, v = (np.concatenate(x) for x in zip(*parts, strict=True))
-            p = _unit(v) @ axes
+            names, n, v = (np.concatenate(x) for x in zip(*parts, strict=True))
+            p = _leading(_unit(v.astype(np.float64)), axes)
             return pa.RecordBatch.from_arrays(
-                [pa.array([(task << 24) + seq]), pa.array([p.min(axis=0).tolist()]), pa.array([p.max(axis=0).tolist()]), pa.array([ids.tobytes()], pa.binary()), pa.array([n.tobytes()], pa.binary()), pa.array([v.tobytes()], pa.binary())],
-                ["place", "lo", "hi", "ids", "n", "v"],
+                [pa.array([(task << 24) + seq]), pa.array([p.min(axis=0).tolist()]), pa.array([p.max(axis=0).tolist()]), pa.array([names.tobytes()], pa.binary()), pa.array([n.tobytes()], pa.binary()), pa.array([v.tobytes()], pa.binary())],
+                ["place", "lo", "hi", "names", "n", "v"],
             )
 
         for b in batches:
-            part = [b.column(0).to_numpy(), b.column(1).to_numpy(), block(b.column(2))]
+            values = b.column(2).flatten().to_numpy(zero_copy_only=False)
+            part = [b.column(0).to_numpy(), b.column(1).to_numpy(), values.reshape(b.num_rows, -1) if b.num_rows else values.reshape(0, 1)]
             while part[0].size:
                 free = length - sum(len(x[0]) for x in held)
                 held.append([x[:free] for x in part])
@@ -130,102 +147,122 @@ def _intervals(axes: np.ndarray, length: int):
     return run
 
 
-def _pair_join(cosine: float, axes: np.ndarray, dim: int):
-    """Rows of one or two intervals a pair, in order of the pair -> (vec, n_links) and links (vec, root)."""
-
-    def sequence(r):
-        u = _unit(np.frombuffer(r["v"], np.float64).reshape(-1, dim))
-        return u, u.astype(np.float32), u @ axes
-
-    def join(rows):
-        ids = [np.frombuffer(r["ids"], np.int64) for r in rows]
-        n = [np.frombuffer(r["n"], np.int64) for r in rows]
-        seqs = [sequence(r) for r in rows]
-        same, off = len(rows) == 1, 0 if len(rows) == 1 else len(ids[0])
-        all_ids = np.concatenate(ids)
-        count, label = np.zeros(len(all_ids), np.int64), np.arange(len(all_ids))
-        for i, j in join_sequences(seqs[0], seqs[-1], cosine, same):
-            count += np.bincount(i, n[-1][j], len(count)).astype(np.int64) + np.bincount(j + off, n[0][i], len(count)).astype(np.int64)
-            label = unite(label, i, j + off)
+def _tile_join(cosine: float, axes: np.ndarray, dim: int, kind: str, directory, per_tile: int):
+    """Rows of the intervals of one or two tiles, in order -> (name, n_links, root): a spanning forest of the links."""
+    eps = float(np.sqrt(2 - 2 * cosine))
+
+    def sequence(v):
+        u = _unit(np.frombuffer(v, kind).astype(np.float64).reshape(-1, dim))
+        return u, u.astype(np.float32), _leading(u, axes)
+
+    def join(s, t, rows):
+        _, lo, hi = directory.value
+        at = {mine: k for k, (mine, *_) in enumerate(rows)}
+        names = [np.frombuffer(r[1], np.int64) for r in rows]
+        n = [np.frombuffer(r[2], np.int64) for r in rows]
+        seqs = [sequence(r[3]) for r in rows]
+        off = np.concatenate(([0], np.cumsum([len(x) for x in names])))
+        every = np.concatenate(names)
+        count, label = np.zeros(len(every), np.int64), np.arange(len(every))
+        for a in (m for m in at if m // per_tile == s):
+            for b in partners(lo, hi, a, eps).tolist():
+                if b // per_tile != t or b < a or b not in at:
+                    continue
+                x, y = at[a], at[b]
+                for i, j in join_sequences(seqs[x], seqs[y], cosine, a == b):
+                    i, j = i + off[x], j + off[y]
+                    np.add.at(count, i, n[y][j - off[y]])
+                    np.add.at(count, j, n[x][i - off[x]])
+                    label = unite(label, i, j)
         hit = np.flatnonzero(count)
-        yield pa.RecordBatch.from_arrays([pa.array(all_ids[hit]), pa.array(count[hit]), pa.array(all_ids[label[hit]])], ["vec", "n_links", "root"])
+        return pa.RecordBatch.from_arrays([pa.array(every[hit]), pa.array(count[hit]), pa.array(every[label[hit]])], ["name", "n_links", "root"])
 
     def run(batches):
-        now, rows = None, []
-        for b in batches:
-            for r in b.to_pylist():
-                if (r["i"], r["j"]) != now:
-                    if rows:
-                        yield from join(rows)
-                    now, rows = (r["i"], r["j"]), []
-                rows.append(r)
-        if rows:
-            yield from join(rows)
+        rows = (r for b in batches for r in zip(*(c.to_pylist() for c in b.columns), strict=True))
+        for (s, t), own in groupby(rows, key=lambda r: r[:2]):
+            yield join(s, t, [r[2:] for r in own])
 
     return run
 
 
+def tile_count(vectors: int, per_tile: int, cores: int) -> int:
+    """Tiles of the order: enough that their pairs occupy the cores, or that a tile keeps to its size."""
+    pairs = next(t for t in range(1, cores + 2) if t * (t + 1) // 2 >= cores)
+    return max(pairs, -(-vectors // per_tile))
+
+
 def _links(vectors: DataFrame, dim: int, cosine: float) -> DataFrame:
-    """vec, n_links, root of distinct vectors (vec, n, v), all of length ``dim``."""
+    """name, n_links, root of distinct vectors (name, n, v), all of length ``dim``."""
     spark, eps = vectors.sparkSession, float(np.sqrt(2 - 2 * cosine))
     k = min(AXES, dim)
-    sample = vectors.orderBy(F.xxhash64("vec")).limit(SAMPLE).select("v").toArrow().column("v").combine_chunks()
+    sample = vectors.orderBy(F.xxhash64("name")).limit(SAMPLE).select("v").toArrow().column("v").combine_chunks()
     axes = _axes(block(sample), k)
     total = vectors.count()
-    length = max(INTERVAL, -(-total // MAX_INTERVALS))
+    tiles = tile_count(total, max(1, TILE_BYTES // (8 * dim)), spark.sparkContext.defaultParallelism)
+    # a tile is cut into whole intervals
+    length = max(1, min(max(1, INTERVAL_BYTES // (8 * dim)), -(-total // tiles)), -(-total // MAX_INTERVALS))
+    single = vectors.schema["v"].dataType.elementType.simpleString() == "float"
 
     def cells(batches):
         for b in batches:
-            c = np.floor(_unit(block(b.column(2))) @ axes / eps).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(list(c), pa.list_(pa.int32()))], ["vec", "n", "v", "cell"])
+            # cells as bytes in the order of their numbers
+            c = (np.floor(_unit(block(b.column(2))) @ axes / eps).astype(np.int64) + (1 << 31)).astype(">u4")
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array([x.tobytes() for x in c], pa.binary())], ["name", "n", "v", "cell"])
 
-    placed = vectors.select("vec", "n", F.col("v").cast("array<double>")).mapInArrow(lean(cells), "vec long, n long, v array<double>, cell array<int>")
-    key = [F.col("cell")[c] for c in range(k)]
+    kind = "float" if single else "double"
+    placed = vectors.select("name", "n", F.col("v").cast(f"array<{kind}>")).mapInArrow(lean(cells), f"name long, n long, v array<{kind}>, cell binary")
     parts = max(1, -(-total // length))
-    ordered = placed.repartitionByRange(parts, *key, "vec").sortWithinPartitions(*key, "vec").select("vec", "n", "v")
-    intervals = materialize(ordered.mapInArrow(lean(_intervals(axes, length)), "place long, lo array<double>, hi array<double>, ids binary, n binary, v binary"))
+    ordered = placed.repartitionByRange(parts, "cell", "name").sortWithinPartitions("cell", "name").select("name", "n", "v")
+    intervals = materialize(ordered.mapInArrow(lean(_intervals(axes, length)), "place long, lo array<double>, hi array<double>, names binary, n binary, v binary"))
     # at most MAX_INTERVALS boxes and one more a partition
-    directory = sorted((r["place"], r["lo"], r["hi"]) for r in intervals.select("place", "lo", "hi").collect())
-    sent = spark.sparkContext.broadcast((np.array([x[0] for x in directory]), np.array([x[1] for x in directory]), np.array([x[2] for x in directory])))
+    boxes = sorted((r["place"], r["lo"], r["hi"]) for r in intervals.select("place", "lo", "hi").collect())
+    per_tile = max(1, -(-len(boxes) // tiles))
+    directory = spark.sparkContext.broadcast((np.array([x[0] for x in boxes]), np.array([x[1] for x in boxes]), np.array([x[2] for x in boxes])))
 
     def deal(batches):
-        places, lo, hi = sent.value
+        places, lo, hi = directory.value
         for b in batches:
-            for k_, place in enumerate(b.column(0).to_pylist()):
+            for at, place in enumerate(b.column(0).to_pylist()):
                 mine = int(np.searchsorted(places, place))
-                for other in partners(lo, hi, mine, eps).tolist():
-                    row = b.slice(k_, 1)
-                    yield pa.RecordBatch.from_arrays([pa.array([min(mine, other)], pa.int32()), pa.array([max(mine, other)], pa.int32()), pa.array([mine], pa.int32()), *row.columns[1:]], ["i", "j", "mine", "ids", "n", "v"])
+                for other in sorted({x // per_tile for x in partners(lo, hi, mine, eps).tolist()}):
+                    s, t = sorted((mine // per_tile, other))
+                    yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([t], pa.int32()), pa.array([mine], pa.int32()), *b.slice(at, 1).columns[1:]], ["s", "t", "mine", "names", "n", "v"])
 
-    dealt = intervals.select("place", "ids", "n", "v").mapInArrow(lean(deal), "i int, j int, mine int, ids binary, n binary, v binary")
-    pairs = max(1, min(len(directory) * (len(directory) + 1) // 2, int(spark.conf.get("spark.sql.shuffle.partitions"))))
-    dealt = dealt.repartition(pairs, "i", "j").sortWithinPartitions("i", "j", "mine")
-    return dealt.mapInArrow(lean(_pair_join(cosine, axes, dim)), "vec long, n_links long, root long")
+    dealt = intervals.select("place", "names", "n", "v").mapInArrow(lean(deal), "s int, t int, mine int, names binary, n binary, v binary")
+    # pairs of tiles go round the partitions in turn
+    width = max(1, min(tiles * (tiles + 1) // 2, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    turn = F.col("t") * (F.col("t").cast("long") + 1) / 2 + F.col("s")
+    dealt = dealt.repartitionById(width, F.pmod(turn.cast("long"), F.lit(width)).cast("int")).sortWithinPartitions("s", "t", "mine")
+    return dealt.mapInArrow(lean(_tile_join(cosine, axes, dim, "f4" if single else "f8", directory, per_tile)), "name long, n_links long, root long")
 
 
 def near_duplicates(embeddings: DataFrame, cosine: float = COSINE) -> DataFrame:
     """vec_id, n_links, component_id, kept of every row."""
-    rows = embeddings.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("v"))
-    ok = usable(F.col("v")) & F.exists("v", lambda x: x != 0) & F.col("vec_id").isNotNull()
-    rows = materialize(rows.withColumn("ok", F.coalesce(ok, F.lit(False))))
+    v = F.col("embedding")
+    ok = usable(v) & F.exists("embedding", lambda x: x != 0) & F.col("vec_id").isNotNull()
+    rows = embeddings.select(
+        F.col("vec_id").cast("long").alias("vec_id"), v.alias("v"), F.coalesce(ok, F.lit(False)).alias("ok"), F.monotonically_increasing_id().alias("name"),
+        F.xxhash64(v).alias("k1"), F.xxhash64(F.lit(1), v).alias("k2"),
+    )
+    rows = materialize(rows)
     good = rows.where("ok")
-    classes = materialize(good.groupBy("v").agg(F.min("vec_id").alias("vec"), F.count("*").alias("n")))
+    # a vertex is named by a row that holds its vector: ids may repeat
+    classes = materialize(good.groupBy("k1", "k2").agg(F.min("name").alias("name"), F.min("vec_id").alias("vec"), F.count("*").alias("n")))
+    vertices = materialize(join_lookup(good.select("name", "v"), classes.select("name", "n"), "name", "inner"))
     found = None
-    for dim in dimensions(classes):
-        part = _links(classes.where(F.size("v") == dim), dim, cosine)
+    for dim in dimensions(vertices):
+        part = _links(vertices.where(F.size("v") == dim).select("name", "n", "v"), dim, cosine)
         found = part if found is None else found.union(part)
     if found is None:
-        found = rows.where("false").select(F.col("vec_id").alias("vec"), F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("root"))
+        found = rows.where("false").select("name", F.lit(0).cast("long").alias("n_links"), F.col("name").alias("root"))
     found = materialize(found)
-    roots = connected_components(found.select("vec", "root").where("vec <> root"))
-    smallest = roots.select(F.col("vertex").alias("vec"), F.col("root").alias("component"))
-    counted = found.groupBy("vec").agg(F.sum("n_links").alias("linked"))
-    named = classes.join(counted, "vec", "left").join(smallest, "vec", "left").select("v", "vec", "n", "linked", "component")
-    out = good.select("vec_id", "v").join(named, "v").select(
-        "vec_id",
-        (F.coalesce("linked", F.lit(0)) + F.col("n") - 1).cast("long").alias("n_links"),
-        F.coalesce("component", "vec").alias("component_id"),
-    )
+    roots = connected_components(found.select("name", "root").where("name <> root"))
+    counted = found.groupBy("name").agg(F.sum("n_links").alias("linked"))
+    named = classes.join(counted, "name", "left").join(roots.select(F.col("vertex").alias("name"), "root"), "name", "left").withColumn("root", F.coalesce("root", "name"))
+    named = materialize(named.select("k1", "k2", "vec", "n", "linked", "root"))
+    smallest = named.groupBy("root").agg(F.min("vec").alias("component_id"))
+    named = materialize(named.join(smallest, "root").select("k1", "k2", (F.coalesce("linked", F.lit(0)) + F.col("n") - 1).cast("long").alias("n_links"), "component_id"))
+    out = join_lookup(good.select("vec_id", "k1", "k2"), named, ["k1", "k2"], "inner").select("vec_id", "n_links", "component_id")
     alone = rows.where("not ok").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     return out.union(alone).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
 
