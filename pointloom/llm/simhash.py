@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pointloom.llm.common import join_lookup, lean, materialize
+from pointloom.llm.common import join_lookup, lean, materialize, one_of_each, text_key
 from pointloom.llm.components import connected_components, unite
 
 SHINGLE, SEED, MAX_BITS = 4, 42, 4
@@ -48,15 +48,16 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
     return int(np.packbits(majority, bitorder="little").view(np.int64)[0])
 
 
-def fingerprints(docs: DataFrame) -> DataFrame:
-    """doc_id, fp (64 bits as a signed long)."""
+def fingerprints(docs: DataFrame, keyed: bool = False) -> DataFrame:
+    """doc_id, fp (64 bits as a signed long), and ``key``, a hash of the text, if asked for."""
 
     def run(batches):
         for b in batches:
             fp = np.fromiter((fingerprint(t.as_py()) for t in b.column(1)), np.int64, b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp)], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp), *b.columns[2:]], ["doc_id", "fp", "key"][: b.num_columns])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), "doc_id long, fp long")
+    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), *([text_key(docs)] if keyed else []))
+    return rows.mapInArrow(lean(run), "doc_id long, fp long" + (", key long" if keyed else ""))
 
 
 def trie_links(fp: np.ndarray, budget: int = MAX_BITS, chunk: int = 1 << 15) -> np.ndarray:
@@ -183,13 +184,18 @@ def links(prints: DataFrame, budget: int = MAX_BITS) -> DataFrame:
     return dealt.mapInArrow(lean(run), "a long, b long")
 
 
-def groups(docs: DataFrame, budget: int = MAX_BITS) -> DataFrame:
-    """doc_id, fp, component_id of every row of ``docs``."""
-    prints = materialize(fingerprints(docs))
+def _components(prints: DataFrame, budget: int) -> tuple[DataFrame, DataFrame]:
+    """Of rows with a fingerprint: the distinct ones with their smallest doc_id, and the root of those that have a link."""
     distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), prints.count())
     n = distinct.count()
     # a group gives fewer links than it has members, and a fingerprint is in one group a block
-    roots = materialize(connected_components(links(distinct.select("fp"), budget), (budget + 1) * n), n)
+    return distinct, materialize(connected_components(links(distinct.select("fp"), budget), (budget + 1) * n), n)
+
+
+def groups(docs: DataFrame, budget: int = MAX_BITS) -> DataFrame:
+    """doc_id, fp, component_id of every row of ``docs``."""
+    prints = materialize(fingerprints(docs))
+    distinct, roots = _components(prints, budget)
     tied = distinct.join(roots.withColumnRenamed("vertex", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     smallest = tied.groupBy("root").agg(F.min("least").alias("component_id"))
     by_print = tied.select("fp", "root").join(smallest, "root").select("fp", "component_id")
@@ -202,6 +208,9 @@ def simhash_report(docs: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, budget: int = MAX_BITS) -> DataFrame:
-    """The rows of ``docs`` that stay: of every group those of its smallest doc_id (one row if ids are unique)."""
-    gone = groups(docs, budget).where("doc_id is not null and doc_id <> component_id").select("doc_id").distinct()
-    return join_lookup(docs, materialize(gone), "doc_id", "left_anti")
+    """One row of every group stays: that of the smallest doc_id (null is the largest), of the smallest hash of the text where
+    ids repeat, and any one of rows that share both."""
+    prints = materialize(fingerprints(docs, True))
+    _, roots = _components(prints, budget)
+    rooted = join_lookup(prints, roots.withColumnRenamed("vertex", "fp"), "fp")
+    return one_of_each(docs, rooted.select("doc_id", "key", F.coalesce("root", "fp").alias("root")))

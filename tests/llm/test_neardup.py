@@ -3,14 +3,17 @@
 from __future__ import annotations
 
 import random
+from collections import Counter
 
 import corpus_pipeline
+import pytest
 from brute import WORD, lower
 
-from pointloom.llm import linededup, neardup
+from pointloom.llm import linededup, neardup, simhash
 
 SF = "/root/testdata/sf0.001"
 COLUMNS = "doc_id long, text string"
+FAR = 2**63 - 1
 
 
 def shingles(text):
@@ -19,7 +22,7 @@ def shingles(text):
 
 
 def kept(rows):
-    """Smallest ids of the components of all pairs with a similarity of 0.8 or more, and rows without an id."""
+    """Smallest ids of the components of all pairs with a similarity of 0.8 or more; no id is the largest."""
     sets = [(i, shingles(t)) for i, t in rows]
     label = list(range(len(sets)))
     for x, (_, a) in enumerate(sets):
@@ -29,9 +32,9 @@ def kept(rows):
                 label = [new if k == old else k for k in label]
     least = {}
     for (i, _), k in zip(sets, label, strict=True):
-        if i is not None:
-            least[k] = min(i, least.get(k, i))
-    return sorted(-1 if i is None else i for (i, _), k in zip(sets, label, strict=True) if i is None or least[k] == i)
+        i = FAR if i is None else i
+        least[k] = min(i, least.get(k, i))
+    return sorted(-1 if i == FAR else i for i in least.values())
 
 
 def got(spark, rows):
@@ -66,6 +69,61 @@ def test_hub_of_frequent_shingles(spark):
     assert got(spark, rows) == kept(rows)
 
 
+def near_copies(rng, n, words, times):
+    """Copies of one text whose changes put some pairs above the bound and some below it."""
+    return [(k, " ".join(edited(rng, words, times))) for k in range(n)]
+
+
+@pytest.mark.parametrize("bucket", [2000, 12])
+def test_large_group_of_near_copies(spark, monkeypatch, bucket):
+    """Also where the group is cut into buckets."""
+    monkeypatch.setattr(neardup, "BUCKET", bucket)
+    rng = random.Random(21)
+    words = [f"w{k}" for k in range(90)]
+    rows = near_copies(rng, 120, words, 2) + [(1000 + k, t) for k, t in near_copies(rng, 60, words[:45] + [f"v{k}" for k in range(45)], 1)]
+    want = kept(rows)
+    assert 1 < len(want) < 100
+    assert got(spark, rows) == want
+
+
+def test_completion_gives_no_pairs(spark):
+    rng = random.Random(22)
+    rows = near_copies(rng, 200, [f"w{k}" for k in range(90)], 1)
+    docs = spark.createDataFrame(rows, COLUMNS)
+    named = neardup._rows(docs).withColumn("vertex", neardup.F.col("row"))
+    classes = spark.createDataFrame([], "vertex long, root long")
+    # nearly all of the 19 900 pairs are similar
+    assert 199 <= neardup._second_pass(docs, named, classes).count() < 2000
+
+
+def test_leading_shingles_of_every_set(spark, monkeypatch):
+    """By number of sets that hold a shingle, whatever the chunks."""
+    monkeypatch.setattr(neardup, "CHUNK_SHINGLES", 150)
+    rng = random.Random(23)
+    words = [f"w{k}" for k in range(60)]
+    rows = [(k, " ".join(edited(rng, words, 1 + k % 9))) for k in range(60)]
+    sets = {i: neardup.shingle_set(t) for i, t in rows}
+    df = Counter(h >> 32 for s in sets.values() for h in s.tolist())
+    want = set()
+    for s in sets.values():
+        order = sorted((df[h >> 32], h >> 32) for h in s.tolist())
+        lead = order[: len(s) - -(-4 * len(s) // 5) + 1]
+        want |= {(h, len(s), len(s) - k) for k, (n, h) in enumerate(lead) if n > 1}
+    docs = spark.createDataFrame(rows, COLUMNS).repartition(3)
+    got_rows = neardup.leading_shared(docs, docs.where("false").selectExpr("doc_id", "doc_id as key")).collect()
+    assert {(r.s, r.n, r.left) for r in got_rows} == want and len(want) > 30
+
+
+def test_rows_that_share_an_id(spark):
+    """A unique text does not go with a copy that has its id, and repeated rows and rows without an id leave one row."""
+    a, b, c = (" ".join(f"{x}{k}" for k in range(30)) for x in "abc")
+    rows = [(1, a, "x"), (2, a, "x"), (2, b, "y"), (3, c, "z"), (3, c, "z"), (None, c, "n"), (None, b + " more", "n"), (None, "own text", "n"), (None, "own text", "n")]
+    for keep in (neardup.keep_one, simhash.keep_one):
+        out = keep(spark.createDataFrame(rows, "doc_id long, text string, root string").repartition(3)).collect()
+        kept_rows = sorted((-1 if r.doc_id is None else r.doc_id, r.text, r.root) for r in out)
+        assert [r for r in kept_rows if "more" not in r[1]] == sorted([(1, a, "x"), (2, b, "y"), (3, c, "z"), (-1, "own text", "n")])
+
+
 def test_table_rows_and_no_rows(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
     for part in (docs, linededup.dedup(docs)):
@@ -84,4 +142,5 @@ def test_counts_never_rule_out_a_similar_pair():
             shared = len(set(a.tolist()) & set(b.tolist()))
             alike = 5 * shared >= 4 * (len(a) + len(b) - shared)
             assert neardup.similar(a, b) == alike
-            assert neardup.may_be_similar(neardup.leading_counts(a), neardup.leading_counts(b)) or not alike
+            block = neardup._Block([(1, 0, a), (2, 0, b)], False)
+            assert block.group([(1, len(a), 1), (2, len(b), 2)]) == ([(1, 2)] if alike else [])
