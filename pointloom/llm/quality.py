@@ -7,7 +7,8 @@ The model is fitted on at most ``MAX_TRAIN`` labelled rows, those with the small
 sample, the same at any cluster size). Labels, language, source and ids never enter the statistics.
 
 Defined cases: null and empty texts have all statistics zero and are scored like any other; labels that are null or
-other than 0/1 are ignored, repeated labels of an id count once (the largest); with no labelled rows every score is
+other than 0/1 are ignored, repeated labels of an id count once (the largest), and of documents that share an id the one with
+the smallest hash of its text is learned from; with no labelled rows every score is
 0.5, with one class only its prior; an empty table gives an empty result; :func:`keep_good` keeps columns and repeats.
 """
 
@@ -21,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from pointloom.llm.common import lean
+from pointloom.llm.common import lean, text_key
 
 MAX_TRAIN = 20_000
 THRESHOLD = 0.7
@@ -115,17 +116,19 @@ def held_out(doc_id: Column) -> Column:
 
 
 def train(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN) -> Forest:
-    known = labels.where("quality in (0, 1) and doc_id is not null").where(~held_out(F.col("doc_id")))
+    known = labels.select(F.col("doc_id").cast("long"), "quality").where("quality in (0, 1) and doc_id is not null").where(~held_out(F.col("doc_id")))
     known = known.groupBy("doc_id").agg(F.max("quality").alias("quality"))
     sample = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_train)
 
     def run(batches):
         for b in batches:
             x = matrix(b.column(0).to_pylist())
-            yield pa.RecordBatch.from_arrays([b.column(1), pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), N_STATS).cast(pa.list_(pa.float32()))], ["y", "x"])
+            yield pa.RecordBatch.from_arrays([b.column(1), pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), N_STATS).cast(pa.list_(pa.float32())), *b.columns[2:]], ["y", "x", "id", "key"])
 
-    rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(sample), "doc_id").select("text", F.col("quality").cast("int")).mapInArrow(lean(run), "y int, x array<float>")
-    got = rows.toArrow()
+    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string").alias("text"), text_key(docs))
+    rows = texts.join(F.broadcast(sample), "doc_id").select("text", F.col("quality").cast("int"), "doc_id", "key").mapInArrow(lean(run), "y int, x array<float>, id long, key long")
+    # one row of an id, so that no more than max_train reach the driver
+    got = rows.groupBy("id").agg(F.min(F.struct("key", "y", "x")).alias("r")).select("r.y", "r.x").toArrow()
     x = np.array(got.column("x").to_pylist(), np.float32).reshape(-1, N_STATS)
     y = np.array(got.column("y").to_pylist(), np.float64)
     order = np.lexsort((*x.T, y))  # the fit does not depend on the order in which tasks end
