@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -27,6 +28,17 @@ def draw(seed: int, *keys: Column) -> Column:
     return h
 
 
+def draw_of(seed: int, *keys: np.ndarray) -> np.ndarray:
+    """:func:`draw` of arrays of whole numbers."""
+    total = np.int64(seed * KEYS[0])
+    for k, m in zip(keys, KEYS[1:], strict=False):
+        total = total + np.mod(np.asarray(k, np.int64), PRIME) * m
+    h = np.mod(total, PRIME)
+    for _ in range(2):
+        h = (h * h + h * 31 + 17) % PRIME
+    return h
+
+
 def unit_draw(seed: int, *keys: Column) -> Column:
     return draw(seed, *keys) / F.lit(float(PRIME))
 

@@ -7,6 +7,8 @@ from dataclasses import dataclass
 
 import numpy as np
 
+from pointloom.functions.fixed import draw_of
+
 # reverse mode ----------------------------------------------------------------------------------------------------
 
 
@@ -93,7 +95,7 @@ def slot_linear(x: Var, w: Var, slot: np.ndarray) -> Var:
     """Each row times the matrix of its slot: rows are handled slot by slot, so no matrix is copied a row."""
     order = np.argsort(slot, kind="stable")
     cuts = np.flatnonzero(np.concatenate(([True], np.diff(slot[order]) != 0))) if len(slot) else np.zeros(0, np.int64)
-    groups = [(slot[order[a]], order[a:b]) for a, b in zip(cuts, [*cuts[1:], len(order)], strict=True)]
+    groups = [(slot[order[a]], order[a:b]) for a, b in zip(cuts, [*cuts[1:], len(order)], strict=True)] if len(order) else []
     out = np.zeros((len(x.value), w.value.shape[2]))
     for s, rows in groups:
         out[rows] = x.value[rows] @ w.value[s]
@@ -183,6 +185,12 @@ def total(a: Var) -> Var:
     return Var(a.value.sum(), ((a, lambda g: np.broadcast_to(g, a.value.shape)),))
 
 
+def beside(a: Var, b: Var) -> Var:
+    """The columns of both."""
+    w = a.value.shape[1]
+    return Var(np.concatenate([a.value, b.value], 1), ((a, lambda g: g[:, :w]), (b, lambda g: g[:, w:])))
+
+
 # model -----------------------------------------------------------------------------------------------------------
 
 
@@ -282,21 +290,21 @@ class Tokens:
     owner: np.ndarray  #: token of each voxel or point
     slot: np.ndarray
     feat: np.ndarray  #: (m, 12) or (m, 6) voxel attributes; (m, 3) offsets for groups
+    cell: np.ndarray  #: (t, 3) patch of each token; for groups its rank among the centres
     n: int  #: samples
+    ids: np.ndarray | None = None  #: numbers of the samples in the corpus
 
     def pick(self, keep: np.ndarray) -> Tokens:
         new = np.cumsum(keep) - 1
         v = keep[self.owner]
-        return Tokens(self.sample[keep], self.corner[keep], new[self.owner[v]], self.slot[v], self.feat[v], self.n)
+        return Tokens(self.sample[keep], self.corner[keep], new[self.owner[v]], self.slot[v], self.feat[v], self.cell[keep], self.n, self.ids)
 
 
 def embed(t: Tokens, p: dict[str, Var], cfg: ModelConfig) -> Var:
     n = len(t.sample)
     if cfg.group:
         h = relu(linear(Var(t.feat), p, "group1"))
-        pooled = take(max_by(h, t.owner, n), t.owner)
-        both = Var(np.concatenate([h.value, pooled.value], 1), ((h, lambda g: g[:, : h.value.shape[1]]), (pooled, lambda g: g[:, h.value.shape[1] :])))
-        return max_by(linear(both, p, "group2"), t.owner, n)
+        return max_by(linear(beside(h, take(max_by(h, t.owner, n), t.owner)), p, "group2"), t.owner, n)
     return mean_by(slot_linear(Var(t.feat[:, : cfg.n_features]), p["slot.w"], t.slot), t.owner, n)
 
 
@@ -306,7 +314,7 @@ def _layout(sample: np.ndarray, n: int, extra: int = 0):
     order = np.argsort(sample, kind="stable")
     nth = np.empty(len(sample), np.int64)
     nth[order] = np.arange(len(sample)) - np.repeat(np.cumsum(count) - count, count)
-    wide = int(count.max(initial=0)) + extra
+    wide = max(1, int(count.max(initial=0)) + extra)
     return sample * wide + extra + nth, wide, np.arange(wide)[None] < (count + extra)[:, None]
 
 
@@ -362,8 +370,9 @@ def occupancy_bce(logit: Var, occupied: np.ndarray, eps: float = 1e-7) -> Var:
     """Mean over tokens and slots of the cross-entropy; probabilities are kept eps away from 0 and 1."""
     q = 1 / (1 + np.exp(-logit.value))
     c = np.clip(q, eps, 1 - eps)
-    value = -(occupied * np.log(c) + (1 - occupied) * np.log(1 - c)).mean()
-    return Var(value, ((logit, lambda g: g * np.where(c == q, q - occupied, 0.0) / occupied.size),))
+    n = max(1, occupied.size)
+    value = -(occupied * np.log(c) + (1 - occupied) * np.log(1 - c)).sum() / n
+    return Var(value, ((logit, lambda g: g * np.where(c == q, q - occupied, 0.0) / n),))
 
 
 def pretrain_loss(t: Tokens, hidden: np.ndarray, p: dict[str, Var], cfg: ModelConfig, terms=("mse", "cd", "occ")) -> tuple[Var, dict[str, float]]:
@@ -458,35 +467,47 @@ def voxel_tokens(clouds: list[np.ndarray], cfg: ModelConfig) -> Tokens:
         n = np.bincount(owner, minlength=len(cells))[:, None]
         centre = (sum_by(attr[:, :3], owner, len(cells)) / np.maximum(n, 1))[owner]
         corner = np.stack([cells // (wide * wide), cells // wide % wide, cells % wide], 1) * cfg.patch / cfg.grid
-        parts.append((np.full(len(cells), s), corner, owner + base, slot, np.hstack([attr, attr[:, :3] - centre, centre])))
+        parts.append((np.full(len(cells), s), corner, owner + base, slot, np.hstack([attr, attr[:, :3] - centre, centre]), np.rint(corner * cfg.grid / cfg.patch).astype(np.int64)))
         base += len(cells)
     return Tokens(*(np.concatenate(x) for x in zip(*parts, strict=True)), len(clouds))
 
 
 def group_tokens(clouds: list[np.ndarray], cfg: ModelConfig, centres: int = 16) -> Tokens:
     """Fixed-token tokens: sampled centres and their nearest neighbours, as offsets."""
-    from pointloom.operators.baselines import fps_kernel
+    from pointloom.operators.baselines import fps_kernel, nearest_kernel
 
     parts, base = [], 0
     for s, pts in enumerate(clouds):
         xyz = pts[:, :3]
         at = fps_kernel(xyz, centres)
-        d = ((xyz[at][:, None] - xyz[None]) ** 2).sum(-1)
-        near = np.argsort(d, axis=1, kind="stable")[:, : cfg.group]
+        near, _ = nearest_kernel(xyz, xyz[at], cfg.group)
         off = (xyz[near] - xyz[at][:, None]).reshape(-1, 3)
-        parts.append((np.full(len(at), s), xyz[at], np.repeat(np.arange(len(at)), near.shape[1]) + base, np.zeros(len(off), np.int64), off))
+        rank = np.stack([np.arange(len(at)), *[np.zeros(len(at), np.int64)] * 2], axis=1)
+        parts.append((np.full(len(at), s), xyz[at], np.repeat(np.arange(len(at)), near.shape[1]) + base, np.zeros(len(off), np.int64), off, rank))
         base += len(at)
     return Tokens(*(np.concatenate(x) for x in zip(*parts, strict=True)), len(clouds))
 
 
+class Clouds(list):
+    """Clouds (n, 6) with their samples' numbers."""
+
+    def __init__(self, clouds, ids: np.ndarray):
+        super().__init__(clouds)
+        self.ids = ids
+
+
 def tokens_of(clouds: list[np.ndarray], cfg: ModelConfig) -> Tokens:
-    return group_tokens(clouds, cfg) if cfg.group else voxel_tokens(clouds, cfg)
+    t = group_tokens(clouds, cfg) if cfg.group else voxel_tokens(clouds, cfg)
+    t.ids = getattr(clouds, "ids", None)
+    return t
 
 
 def hide(t: Tokens, percent: int, seed: int) -> np.ndarray:
-    """count * percent div 100 tokens of every sample, by a seeded order."""
-    rank = np.random.default_rng(seed).random(len(t.sample))
-    order = np.lexsort((rank, t.sample))
+    """count * percent div 100 tokens of every sample, first by an order hashed from the seed, the sample and the cell, ties by
+    cell: the mask of :func:`pointloom.operators.masking.random_mask`, whatever batch the sample comes in."""
+    ids = np.arange(t.n) if t.ids is None else np.asarray(t.ids, np.int64)
+    rank = draw_of(seed, ids[t.sample], *t.cell.T)
+    order = np.lexsort((*t.cell.T[::-1], rank, t.sample))
     count = np.bincount(t.sample, minlength=t.n)
     nth = np.empty(len(order), np.int64)
     nth[order] = np.arange(len(order)) - np.repeat(np.cumsum(count) - count, count)

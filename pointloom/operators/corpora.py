@@ -93,8 +93,8 @@ def raster_pixels(df: DataFrame, key: str, text: str) -> DataFrame:
 
 
 def image_colours(cps: np.ndarray):
-    """Luminance, vowel flag and character class (letter lower 0, upper 1, white space 2, other 3) of code points."""
-    r = cps / 255
+    """Luminance (255 and above are white), vowel flag and character class (letter lower 0, upper 1, white space 2, other 3) of code points."""
+    r = np.minimum(cps, 255) / 255
     g = np.isin(cps, [ord(c) for c in VOWELS]).astype(np.float64)
     kind = np.where((cps >= 97) & (cps <= 122), 0, np.where((cps >= 65) & (cps <= 90), 1, np.where((cps == 32) | (cps == 10), 2, 3)))
     return r, g, kind / 3

@@ -13,7 +13,7 @@ from pointloom.operators.corpora import image_colours, raster_shape
 
 
 class BlurTeacher:
-    """Depth as the mean luminance of the pixel's square neighbourhood; pixels outside the image do not count."""
+    """Depth as the mean luminance of the pixel's square neighbourhood, in [0, 1]; pixels outside the image do not count."""
 
     def __init__(self, radius: int = 1):
         self.radius = radius
@@ -22,7 +22,7 @@ class BlurTeacher:
         h, w = raster_shape(len(cps))
         k = self.radius
         grid, there = np.zeros((h * w,), np.int64), np.zeros((h * w,), np.int64)
-        grid[: len(cps)], there[: len(cps)] = cps, 1
+        grid[: len(cps)], there[: len(cps)] = np.minimum(cps, 255), 1
 
         def box(a):
             s = np.pad(a.reshape(h, w), k).cumsum(0).cumsum(1)

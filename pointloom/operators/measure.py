@@ -70,14 +70,39 @@ def delta(arms: DataFrame, base: str, by: str = "metric") -> DataFrame:
     return arms.join(F.broadcast(ref), by).withColumn("gain", F.col("value") - F.col("base_value"))
 
 
+def delta_of(df: DataFrame, base: str, keep: list[str], names) -> DataFrame:
+    """Gains, in tenths, of columns over the row that ``base`` names."""
+    ref = df.where(base).select(*[F.col(c).alias(f"__{c}") for c in names])
+    return df.join(F.broadcast(ref)).select(*keep, *[F.round((F.col(c) - F.col(f"__{c}")) * 10).cast("long").alias(f"gain_{c}_tenths") for c in names])
+
+
+def training_cost(runs: DataFrame) -> DataFrame:
+    """(arm, devices, epochs, days) -> device hours, whole and an epoch."""
+    hours = F.col("devices") * F.col("days") * 24
+    return runs.select("arm", F.round(hours).cast("long").alias("device_hours"), F.round(hours * 1000 / F.col("epochs")).cast("long").alias("thousandth_hours_an_epoch"))
+
+
 def stage_cost(df: DataFrame) -> dict:
-    """Wall seconds of one full evaluation into no sink, and the plan's exchanges."""
+    """Wall seconds of one full evaluation, the plan's exchanges, and what they wrote."""
     import time
 
-    began = time.time()
-    df.write.format("noop").mode("overwrite").save()
-    plan = df._jdf.queryExecution().executedPlan().toString()
-    return {"seconds": time.time() - began, "exchanges": plan.count("Exchange hashpartitioning") + plan.count("Exchange rangepartitioning"), "sort_aggregates": plan.count("SortAggregate")}
+    run, began = df._jdf.queryExecution(), time.time()
+    run.toRdd().count()
+    seconds = time.time() - began
+    return {"seconds": seconds, "exchanges": _exchanges(run.executedPlan(), False), "shuffle_mb": _exchanges(run.executedPlan(), True) / 1e6}
+
+
+def _exchanges(plan, written: bool) -> int:
+    """Number of shuffles in a physical plan, or the bytes that they wrote."""
+    name, total = plan.getClass().getSimpleName(), 0
+    if name == "AdaptiveSparkPlanExec":
+        return _exchanges(plan.executedPlan(), written)
+    if name == "ShuffleQueryStageExec":
+        return _exchanges(plan.plan(), written)
+    if name == "ShuffleExchangeExec":
+        total += int(plan.metrics().apply("shuffleBytesWritten").value()) if written else 1
+    children = plan.children()
+    return total + sum(_exchanges(children.apply(k), written) for k in range(children.size()))
 
 
 def vote(scores: DataFrame) -> DataFrame:

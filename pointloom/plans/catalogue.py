@@ -94,21 +94,14 @@ def raster_pixels(spark, sf_dir):
     return px.groupBy("sample_id").agg(F.count("*").alias("n"), F.max("w").alias("w"), F.max("h").alias("h"), F.sum("cp").cast("long").alias("sum_cp"), F.sum(F.col("u") * F.col("cp")).cast("long").alias("sum_u"), F.sum(F.col("v") * F.col("cp")).cast("long").alias("sum_v"))
 
 
-_DEPTH = """blur AS (SELECT *, sum(s1) OVER q / (sum(n1) OVER q * 255.0::DOUBLE) AS depth FROM (
-    SELECT *, sum(cp) OVER q AS s1, count(*) OVER q AS n1 FROM px WINDOW q AS (PARTITION BY sample_id, v ORDER BY u ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING))
-  WINDOW q AS (PARTITION BY sample_id, u ORDER BY v ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING))"""
 # a column's rows above and below, at the pixel's own place: the window over rows sums the three pixels of each row first
-_LIFTED = f"""pts AS (SELECT sample_id, i AS point_no, (u + 0.5::DOUBLE) / w AS x, depth AS y, 1 - (v + 0.5::DOUBLE) / h AS z, cp / 255 AS r,
+_LIFTED = f"""pts AS (SELECT sample_id, i AS point_no, (u + 0.5::DOUBLE) / w AS x, depth AS y, 1 - (v + 0.5::DOUBLE) / h AS z, least(cp, 255) / 255 AS r,
     CASE WHEN chr(cp::INT) IN ({', '.join(f"'{c}'" for c in corpora.VOWELS)}) THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END AS g,
     (CASE WHEN cp BETWEEN 97 AND 122 THEN 0 WHEN cp BETWEEN 65 AND 90 THEN 1 WHEN cp IN (32, 10) THEN 2 ELSE 3 END) / 3 AS b FROM blur)"""
-_BLUR = """blur AS (SELECT p.sample_id, p.i, p.u, p.v, p.w, p.h, p.cp, sum(o.s1)::BIGINT / (sum(o.n1)::BIGINT * 255.0::DOUBLE) AS depth FROM px p JOIN
-    (SELECT sample_id, u, v, 0 AS z0, s1, n1 FROM rows1) o ON o.sample_id = p.sample_id AND o.u = p.u AND o.v BETWEEN p.v - 1 AND p.v + 1 GROUP BY ALL)"""
-
-
 def sql_lifted(table="documents", key="doc_id", text="text"):
     """Depth: sums of three pixels along each row, at every place of the grid, then over three rows."""
     rows1 = """grid AS (SELECT s.sample_id, u, v, w, h FROM (SELECT DISTINCT sample_id, w, h FROM px) s, unnest(range(w)) a(u), unnest(range(h)) b(v)),
-    rows1 AS (SELECT g.sample_id, g.u, g.v, sum(coalesce(px.cp, 0)) OVER q AS s1, count(px.cp) OVER q AS n1 FROM grid g LEFT JOIN px ON px.sample_id = g.sample_id AND px.u = g.u AND px.v = g.v
+    rows1 AS (SELECT g.sample_id, g.u, g.v, sum(least(coalesce(px.cp, 0), 255)) OVER q AS s1, count(px.cp) OVER q AS n1 FROM grid g LEFT JOIN px ON px.sample_id = g.sample_id AND px.u = g.u AND px.v = g.v
       WINDOW q AS (PARTITION BY g.sample_id, g.v ORDER BY g.u ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING)),
     rows2 AS (SELECT sample_id, u, v, sum(s1) OVER q AS s2, sum(n1) OVER q AS n2 FROM rows1 WINDOW q AS (PARTITION BY sample_id, u ORDER BY v ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING)),
     blur AS (SELECT px.*, s2 / (n2 * 255.0::DOUBLE) AS depth FROM px JOIN rows2 USING (sample_id, u, v))"""
@@ -119,10 +112,24 @@ def text_clouds(spark, sf_dir, table, key, text):
     return lift.lift_packed(corpora.packed_rasters(load(spark, sf_dir, table), key, text))
 
 
-def cloud_sums(packed):
-    """Sums over the packed arrays; the arrays are never exploded."""
-    total = lambda c: F.aggregate(F.transform(c, fx6), F.lit(0).cast("long"), lambda s, x: s + x)
-    return packed.where("n > 0").select("sample_id", F.col("n").cast("long").alias("n"), *[total(c).alias(f"sum_{c}") for c in ATTRIBUTES])
+def cloud_sums(spark, sf_dir, table, key, text):
+    """Raster, lift and sums in one map over the texts: of a cloud only its sums leave the task."""
+    import numpy as np
+    import pyarrow as pa
+
+    teacher = lift.BlurTeacher(1)
+
+    def run(batches):
+        for b in batches:
+            rows = []
+            for k, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                cps = np.frombuffer((t.as_py() or "").encode("utf-32-le"), np.int32)
+                if len(cps):
+                    rows.append((k, len(cps), *(int(np.floor(c * 1e6 + 0.5).astype(np.int64).sum()) for c in lift.lifted(cps, teacher))))
+            columns = zip(*rows, strict=True) if rows else [()] * 8
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["sample_id", "n", *(f"sum_{c}" for c in ATTRIBUTES)])
+
+    return load(spark, sf_dir, table).select(F.col(key).cast("long"), text).mapInArrow(run, "sample_id long, n long, " + ", ".join(f"sum_{c} long" for c in ATTRIBUTES))
 
 
 _SUMS = "SELECT sample_id, count(*) AS n, " + sql_sum_fx(ATTRIBUTES) + " FROM pts GROUP BY sample_id"
@@ -137,17 +144,17 @@ def raster_min_mean_depth(spark, sf_dir):
 
 @query(f"WITH {sql_lifted()} {_SUMS}")
 def lift_document_clouds(spark, sf_dir):
-    return cloud_sums(text_clouds(spark, sf_dir, "documents", "doc_id", "text"))
+    return cloud_sums(spark, sf_dir, "documents", "doc_id", "text")
 
 
 @query(f"WITH {sql_lifted('pages', 'page_id', 'html')} {_SUMS}")
 def lift_page_clouds(spark, sf_dir):
-    return cloud_sums(text_clouds(spark, sf_dir, "pages", "page_id", "html"))
+    return cloud_sums(spark, sf_dir, "pages", "page_id", "html")
 
 
 @query(f"WITH {sql_lifted('benchmark', 'item_id', 'text')} {_SUMS}")
 def lift_benchmark_clouds(spark, sf_dir):
-    return cloud_sums(text_clouds(spark, sf_dir, "benchmark", "item_id", "text"))
+    return cloud_sums(spark, sf_dir, "benchmark", "item_id", "text")
 
 
 @query(f"""WITH {corpora.SQL_EMBEDDING_IMAGES} SELECT sample_id, count(*) AS n, {sql_sum_fx(('x', 'y', 'z', 'r'))} FROM (
@@ -348,6 +355,17 @@ for _name, _path in (("tokens", "sql"), ("onepass", "onepass"), ("kernel", "kern
         return VoxelTokenizer(G32, path=path).transform(lineitem_clouds(spark, sf_dir))
 
 
+@query(f"{sql_base(G224)}, {embed.sql_tokens(16)} SELECT {embed.SQL_TOKEN_COLUMNS} FROM tok")
+def slot_embed_full_grid(spark, sf_dir):
+    """The published sizes: 224 voxels an axis, patches of 16, one matrix for each of 4 096 slots."""
+    return VoxelTokenizer(G224, path="kernel").transform(lineitem_clouds(spark, sf_dir))
+
+
+@query(f"{sql_base()}, {embed.sql_tokens(8, 16)} SELECT {embed.SQL_TOKEN_COLUMNS} FROM tok")
+def slot_embed_wide(spark, sf_dir):
+    return VoxelTokenizer(G32, channels=16, path="kernel").transform(lineitem_clouds(spark, sf_dir))
+
+
 @query(f"{sql_base()}, {embed.sql_tokens(8, features='origin')} SELECT {embed.SQL_TOKEN_COLUMNS} FROM tok")
 def slot_embed_origin(spark, sf_dir):
     return VoxelTokenizer(G32, features="origin").transform(lineitem_clouds(spark, sf_dir))
@@ -355,23 +373,28 @@ def slot_embed_origin(spark, sf_dir):
 
 @query(f"WITH {sql_lifted()}, {voxel.sql_keyed('pts', G32)}, {voxel.sql_voxels()}, {patch.sql_cells(8)}, {embed.sql_tokens(8, 1)} SELECT sample_id, count(*) AS n_tokens, sum(n_vox)::BIGINT AS n_voxels, sum(num)::BIGINT AS sum_num FROM tok GROUP BY sample_id")
 def tokenize_documents(spark, sf_dir):
-    """Images are one packed row each, so the whole chain runs inside one map over them; nothing is shuffled."""
+    """Images are one packed row each, so raster, lift and tokens are one map over the texts; nothing is shuffled."""
     import numpy as np
     import pyarrow as pa
 
     from pointloom.kernels import packed_tokens
 
+    teacher = lift.BlurTeacher(1)
+
     def run(batches):
         for b in batches:
-            ids, out = b.column(0), []
-            for k in range(b.num_rows):
-                pts = np.stack([b.column(c).slice(k, 1).flatten().to_numpy() for c in range(2, 8)], 1)
-                n, num = packed_tokens(pts, G32, 1)
-                out.append((len(n), int(n.sum()), int(num.sum())))
-            yield pa.RecordBatch.from_arrays([ids, *[pa.array(c, pa.int64()) for c in zip(*out, strict=True)]], ["sample_id", "n_tokens", "n_voxels", "sum_num"])
+            ids, out = [], []
+            for key, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                cps = np.frombuffer((text.as_py() or "").encode("utf-32-le"), np.int32)
+                if len(cps):
+                    n, num = packed_tokens(np.stack(lift.lifted(cps, teacher), 1), G32, 1)
+                    ids.append(key)
+                    out.append((len(n), int(n.sum()), int(num.sum())))
+            columns = zip(*out, strict=True) if out else [()] * 3
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), *[pa.array(c, pa.int64()) for c in columns]], ["sample_id", "n_tokens", "n_voxels", "sum_num"])
 
-    packed = text_clouds(spark, sf_dir, "documents", "doc_id", "text").where("n > 0")
-    return packed.mapInArrow(run, "sample_id long, n_tokens long, n_voxels long, sum_num long")
+    texts = load(spark, sf_dir, "documents").select(F.col("doc_id").cast("long"), "text")
+    return texts.mapInArrow(run, "sample_id long, n_tokens long, n_voxels long, sum_num long")
 
 
 @query(f"{sql_base()} SELECT sample_id, count(*)::INT AS n_tokens FROM (SELECT DISTINCT sample_id, ci, cj, ck FROM cells) GROUP BY sample_id")
@@ -622,15 +645,9 @@ _FORMATS = ("csv", "json", "orc", "parquet")
 @query(f"WITH {sql_points('region')} SELECT f AS format, count(*) AS n, {sql_sum_fx(ATTRIBUTES)} FROM pts, (VALUES {', '.join(f'({chr(39)}{f}{chr(39)})' for f in _FORMATS)}) t(f) GROUP BY f")
 def roundtrip_formats(spark, sf_dir):
     """The clouds written to each format in a shared folder and read back by the declared schema."""
-    import tempfile
-    import uuid
+    from pointloom.schema import POINTS, scratch_path, validate
 
-    from pointloom.schema import POINTS, validate
-
-    pts = validate(lineitem_clouds(spark, sf_dir, "region"))
-    root = f"{spark.conf.get('spark.checkpoint.dir', None) or 'file://' + tempfile.gettempdir()}/pointloom-{uuid.uuid4().hex}"
-    hroot = spark._jvm.org.apache.hadoop.fs.Path(root)
-    hroot.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(hroot)
+    pts, root = validate(lineitem_clouds(spark, sf_dir, "region")), scratch_path(spark)
     out = None
     for f in _FORMATS:
         pts.write.format(f).save(f"{root}/{f}")
@@ -788,6 +805,39 @@ def published_tables(spark, sf_dir):
     return df.join(F.broadcast(base)).select("line", "arm", "encoder", *[F.round((F.col(c) - F.col(f"b{c}")) * 10).cast("long").alias(f"gain_{c}_tenths") for c in ("bg", "obj", "hard")])
 
 
+_FEW = ", ".join(f"({r[0]}, '{r[1]}', {w}, {k}, {r[2 + 2 * n]}, {r[3 + 2 * n]})" for r in baselines.PUBLISHED_FEWSHOT for n, (w, k) in enumerate(((5, 10), (5, 20), (10, 10), (10, 20))))
+
+
+@query(f"SELECT line::INT AS line, arm, way::INT AS way, shot::INT AS shot, round((m - (SELECT max(o.m) FROM (VALUES {_FEW}) o(line, arm, way, shot, m, se) WHERE o.line < 395 AND o.way = t.way AND o.shot = t.shot)) * 10)::BIGINT AS gain_tenths, round(se * 10)::BIGINT AS se_tenths FROM (VALUES {_FEW}) t(line, arm, way, shot, m, se)")
+def published_fewshot(spark, sf_dir):
+    """Published few-shot rows as gains over the best earlier arm of the same task."""
+    rows = [(r[0], r[1], w, k, r[2 + 2 * n], r[3 + 2 * n]) for r in baselines.PUBLISHED_FEWSHOT for n, (w, k) in enumerate(((5, 10), (5, 20), (10, 10), (10, 20)))]
+    df = spark.createDataFrame(rows, "line int, arm string, way int, shot int, m double, se double")
+    best = df.where("line < 395").groupBy("way", "shot").agg(F.max("m").alias("best"))
+    return df.join(F.broadcast(best), ["way", "shot"]).select("line", "arm", "way", "shot", F.round((F.col("m") - F.col("best")) * 10).cast("long").alias("gain_tenths"), F.round(F.col("se") * 10).cast("long").alias("se_tenths"))
+
+
+_CAD = ", ".join(f"({r[0]}, '{r[1]}', {', '.join('NULL' if v is None else str(v) for v in r[3:])})" for r in baselines.PUBLISHED_CAD)
+_CAD_GAINS = ("accuracy", "class_miou", "instance_miou")
+
+
+@query(f"SELECT line::INT AS line, arm, {', '.join(f'round((t.{c} - b.{c}) * 10)::BIGINT AS gain_{c}_tenths' for c in _CAD_GAINS)} FROM (VALUES {_CAD}) t(line, arm, {', '.join(_CAD_GAINS)}), (SELECT * FROM (VALUES {_CAD}) b(bline, barm, {', '.join(_CAD_GAINS)}) WHERE bline = 422) b")
+def published_cad(spark, sf_dir):
+    """Published rows on CAD objects and parts as gains over the fixed-token arm."""
+    df = spark.createDataFrame([(r[0], r[1], *r[3:]) for r in baselines.PUBLISHED_CAD], "line int, arm string, " + ", ".join(f"{c} double" for c in _CAD_GAINS))
+    return measure.delta_of(df, "line = 422", ["line", "arm"], _CAD_GAINS)
+
+
+_COST = ", ".join(str(r) for r in baselines.PUBLISHED_COST)
+
+
+@query(f"SELECT arm, (devices * days * 24)::BIGINT AS device_hours, round(devices * days * 24 * 1000 / epochs)::BIGINT AS thousandth_hours_an_epoch FROM (VALUES {_COST}) t(line, arm, devices, gb, epochs, days)")
+def published_training_cost(spark, sf_dir):
+    """Device hours of the published pre-training runs, whole and for an epoch."""
+    df = spark.createDataFrame(list(baselines.PUBLISHED_COST), "line int, arm string, devices int, gb int, epochs int, days double")
+    return measure.training_cost(df)
+
+
 _ABL = ", ".join(f"('{f}', '{s}', 'ft', {a}), ('{f}', '{s}', 'lin', {b})" for f, s, a, b in baselines.ABLATIONS)
 
 
@@ -924,24 +974,13 @@ _EVK = ", ".join(f"greatest(0, least(15, floor({c} / 0.0625::DOUBLE)))::INT AS {
 
 @query(f"WITH {_EV} SELECT sample_id, {_EVK}, count(*) AS n_points FROM pts GROUP BY ALL")
 def stream_voxels_equals_batch(spark, sf_dir):
-    """The events as a file stream, run until nothing is left; complete mode gives the final state."""
-    import shutil
-    import tempfile
-    import uuid
-
+    """The events as a file stream, run until nothing is left; every batch replaces the voxels that it changed."""
+    from pointloom.schema import scratch_path
     from pointloom.streaming import tokens
 
     src = f"{sf_dir}/events.parquet"
     stream = spark.readStream.schema(spark.read.parquet(src).schema).parquet(src if "*" in src else sf_dir + "/events*.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
-    name, root = f"pl_{uuid.uuid4().hex}", spark.conf.get("spark.checkpoint.dir", None)
-    # a stream's checkpoint must be shared like every other one
-    where = f"{root}/{name}" if root else tempfile.mkdtemp(prefix="pointloom-")
-    try:
-        out = tokens.run_to_table(spark, tokens.voxel_counts(tokens.event_points(stream)), where, "complete", name)
-        return out
-    finally:
-        if not root:
-            shutil.rmtree(where, ignore_errors=True)
+    return tokens.run_to_table(spark, tokens.voxel_counts(tokens.event_points(stream)), scratch_path(spark), ["sample_id", *voxel.KEY], "n_points")
 
 
 @query(f"{sql_base()} SELECT sample_id, count(DISTINCT slot) AS n_slots, true AS within FROM cells GROUP BY sample_id")
@@ -968,7 +1007,6 @@ def udtf_slots(spark, sf_dir):
     return spark.sql("SELECT * FROM slots(4)")
 
 
-_MORTON = " + ".join(f"(({k} >> {b}) & 1)::BIGINT << {3 * b + a}" for a, k in enumerate(voxel.KEY) for b in range(5))
 _MORTON = " + ".join(f"((({k}::BIGINT >> {b}) & 1) << {3 * b + a})" for a, k in enumerate(voxel.KEY) for b in range(5))
 
 

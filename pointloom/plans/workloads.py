@@ -3,16 +3,20 @@ published ones, which come from other data and much larger models. All runners g
 
 from __future__ import annotations
 
+import math
 import time
 from dataclasses import replace
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pointloom import nets, train
+from pointloom.functions.fixed import PRIME, draw, draw_of
 from pointloom.operators import augment, baselines, corpora, lift, measure
 from pointloom.operators.tokenizer import CentreTokenizer, VoxelTokenizer
-from pointloom.schema import ARMS, G32, load
+from pointloom.schema import ARMS, G32, load, scratch_table
 
 FIXED = replace(nets.TINY, group=8)
 
@@ -22,25 +26,44 @@ def report(spark: SparkSession, rows: list[tuple]) -> DataFrame:
     return spark.createDataFrame([(*r[:3], number(r, 3), number(r, 4)) for r in rows], ARMS)
 
 
-def document_clouds(spark: SparkSession, sf_dir: str, points: int | None = None) -> DataFrame:
-    """Lifted documents, packed: sample_id, x..b, lang code as label, and the split by text hash. ``points``: a fixed
-    number of random pixels a cloud, as the fixed-size arm has it; else whole clouds.
-    """
-    import numpy as np
-    import pyarrow as pa
-
-    docs = load(spark, sf_dir, "documents").where(F.length("text") >= 50)
-    label = F.array_position(F.array(*[F.lit(x) for x in ("de", "en", "es", "fr")]), F.col("lang")).cast("int") - 1
-    meta = docs.select(F.col("doc_id").alias("sample_id"), label.alias("label"), (F.conv(F.substring(F.md5("text"), 1, 8), 16, 10).cast("long") % 5 == 0).alias("is_test"), "text")
-    teacher = lift.BlurTeacher(1)
+#: Depth teachers of the lifted corpus.
+TEACHERS = {"near": lift.BlurTeacher(1), "wide": lift.BlurTeacher(3), "vowels": lift.KernelTeacher(lambda cps: corpora.image_colours(cps)[1])}
+#: Scaling and shifting of pre-training, as published.
+RHO, TAU = 0.5, 0.5
+
+
+def augmented(pts: np.ndarray, sample: int, seed: int = 3, rho: float = RHO, tau: float = TAU) -> np.ndarray:
+    """A cloud turned about the upright axis by an angle of its own and brought back into the cube, scaled, shifted, and with
+    standardised colours; the draws are those of :mod:`pointloom.operators.augment`."""
+    u = [float(draw_of(seed + k, sample)) / PRIME for k in range(5)]
+    out, turn = pts.copy(), 2 * math.pi * u[0]
+    dx, dy = (pts[:, c] - 0.5 for c in (0, 1))
+    out[:, 0] = (math.cos(turn) * dx - math.sin(turn) * dy) / math.sqrt(2) + 0.5
+    out[:, 1] = (math.sin(turn) * dx + math.cos(turn) * dy) / math.sqrt(2) + 0.5
+    factor = rho + (1 - rho) * u[1]
+    out[:, :3] = out[:, :3] * factor + np.array(u[2:]) * min(1 - factor, tau)
+    out[:, 3:] = (out[:, 3:] - np.array(augment.MEAN)) / np.array(augment.STD)
+    return out
+
+
+def document_clouds(spark: SparkSession, sf_dir: str, points: int | None = None, teacher: str = "near", rho: float = RHO, tau: float = TAU) -> DataFrame:
+    """Lifted and augmented documents, packed: sample_id, x..b, language as label, and the split by text hash. Every document is a
+    cloud; one without text has no points, and its class token alone speaks for it. ``points``: at most so many pixels of a cloud, drawn
+    by the sample's number, as the fixed-size arm has it. A language that is not among the four counts as the first."""
+    docs = load(spark, sf_dir, "documents")
+    label = F.greatest(F.lit(0), F.coalesce(F.array_position(F.array(*[F.lit(x) for x in ("de", "en", "es", "fr")]), F.col("lang")), F.lit(0)).cast("int") - 1)
+    side = F.coalesce(F.conv(F.substring(F.md5("text"), 1, 8), 16, 10).cast("long") % 5 == 0, F.lit(False))
+    meta = docs.select(F.col("doc_id").alias("sample_id"), label.alias("label"), side.alias("is_test"), "text")
+    model = TEACHERS[teacher]
 
     def run(batches):
         for b in batches:
             out = [[] for _ in range(6)]
-            for k, text in enumerate(b.column(3).to_pylist()):
-                pts = np.stack(lift.lifted(np.frombuffer(text.encode("utf-32-le"), np.int32), teacher), 1)
+            for sample, text in zip(b.column(0).to_pylist(), b.column(3).to_pylist(), strict=True):
+                pts = np.stack(lift.lifted(np.frombuffer((text or "").encode("utf-32-le"), np.int32), model), 1)
                 if points and len(pts) > points:
-                    pts = pts[np.sort(np.random.default_rng(b.column(0)[k].as_py()).permutation(len(pts))[:points])]
+                    pts = pts[np.sort(np.random.default_rng(sample).permutation(len(pts))[:points])]
+                pts = augmented(pts, sample, rho=rho, tau=tau)
                 for c in range(6):
                     out[c].append(pts[:, c])
             yield pa.RecordBatch.from_arrays([*b.columns[:3], *[pa.array(x, pa.list_(pa.float64())) for x in out]], ["sample_id", "label", "is_test", *"xyzrgb"])
@@ -48,6 +71,12 @@ def document_clouds(spark: SparkSession, sf_dir: str, points: int | None = None)
     return meta.mapInArrow(run, "sample_id long, label int, is_test boolean, " + ", ".join(f"{c} array<double>" for c in "xyzrgb"))
 
 
+def smallest_cloud(clouds: DataFrame, least: int) -> int:
+    """Points of the smallest cloud that has ``least`` or more, to which the fixed-token arm cuts all larger ones."""
+    n = F.size("x")
+    return clouds.where(n >= least).agg(F.min(n)).first()[0] or least
+
+
 def shape_samples(spark: SparkSession, sf_dir: str, level: str = "supplier", background: bool = True, points: int | None = None, classes: int = 10, copies: int = 0) -> DataFrame:
     """Packed shape clouds with label (family, or family x aspect), category, zones, and a split by hashed sample."""
     pts = corpora.shape_clouds(spark, sf_dir, level, background)
@@ -59,8 +88,6 @@ def shape_samples(spark: SparkSession, sf_dir: str, level: str = "supplier", bac
     rows = F.array_sort(F.collect_list(F.struct("point_no", *"xyzrgb", "zone")))
     g = pts.groupBy("sample_id").agg(rows.alias("p"), F.first(label).cast("int").alias("label"), F.first("family").cast("int").alias("category"))
     origin = F.floor(F.col("sample_id") / 100) if copies else F.col("sample_id")
-    from pointloom.functions.fixed import draw
-
     return g.select("sample_id", "label", "category", (draw(71, origin) % 5 == 0).alias("is_test"), *[F.col(f"p.{c}").alias(c) for c in "xyzrgb"], F.col("p.zone").alias("zones"))
 
 
@@ -69,8 +96,8 @@ def _accuracy(pred: DataFrame) -> float:
     return (right or 0) / max(1, n)
 
 
-def fit_and_score(data: DataFrame, classes: int, cfg: nets.ModelConfig, params=None, steps: int = 8) -> float:
-    model, _ = train.finetune(data.where(~F.col("is_test")), classes, cfg, steps, params=params)
+def fit_and_score(data: DataFrame, classes: int, cfg: nets.ModelConfig, params=None, steps: int = 8, lr: float = 1e-2) -> float:
+    model, _ = train.finetune(data.where(~F.col("is_test")), classes, cfg, steps, lr, params)
     return _accuracy(train.predict(data.where("is_test"), model, cfg))
 
 
@@ -85,141 +112,222 @@ def probe_accuracy(data: DataFrame, cfg: nets.ModelConfig, params) -> float:
     return value
 
 
-def w01_tokenizer_cost(spark, sf_dir, levels=("part", "supplier", "nation", "region")) -> DataFrame:
-    """Wall time and shuffles of both tokenisers by cloud size; operations are in the queries flops_by_level and flops_growth."""
-    rows = []
+def pretrained(clouds: DataFrame, cfg: nets.ModelConfig, steps: int, **options):
+    """A short run of the published procedure: the whole corpus a step, and a rate that fits the tiny models."""
+    return train.pretrain(clouds, cfg, **{"steps": steps, "batch": None, "lr": 5e-3, "accum": 1, **options})
+
+
+def majority(data: DataFrame) -> float:
+    return measure.chance(data.where("is_test").select("label")).first()["majority"] or 0.0
+
+
+def w01_tokenizer_cost(spark, sf_dir, levels=("part", "supplier", "nation", "region"), centres: bool = True) -> DataFrame:
+    """Wall time and shuffles of both tokenisers by cloud size: on points of lineitem rows, and on documents by the digits of their
+    number of characters. The centre-neighbour arm runs at its own sizes, and once more with centres in proportion to
+    the points, where its cost is quadratic; the latter on clouds up to the supplier's size."""
+    rows, sized = [], {}
     for level in levels:
-        pts = corpora.lineitem_clouds(spark, sf_dir, level)
-        for arm, tok in (("voxel", VoxelTokenizer(G32)), ("centre", CentreTokenizer(16, 8))):
-            cost = measure.stage_cost(tok.transform(pts))
-            rows += [("w01", f"{arm} {level}", k, float(v)) for k, v in cost.items()]
+        sized[level] = corpora.lineitem_clouds(spark, sf_dir, level)
+    docs = load(spark, sf_dir, "documents").withColumn("digits", F.length(F.coalesce(F.length("text"), F.lit(0)).cast("string")))
+    for (digits,) in sorted(docs.select("digits").distinct().collect()):
+        packed = lift.lift_packed(corpora.packed_rasters(docs.where(F.col("digits") == digits), "doc_id", "text"))
+        sized[f"documents of {digits} digits"] = lift.unpack(packed)
+    for name, pts in sized.items():
+        # points are made once, so that the arms are timed and not the corpus
+        pts = scratch_table(pts.select("sample_id", "point_no", *"xyzrgb"))
+        arms = {"voxel": VoxelTokenizer(G32)}
+        if centres:
+            arms["centre"] = CentreTokenizer()
+            if name in ("part", "supplier"):
+                mean = pts.groupBy("sample_id").count().agg(F.avg("count")).first()[0] or 1
+                arms["centre, same density"] = CentreTokenizer(max(1, int(mean // measure.CNT_DENSITY)), measure.NEIGHBOURS)
+        for arm, tok in arms.items():
+            rows += [("w01", f"{arm}, {name}", k, float(v)) for k, v in measure.stage_cost(tok.transform(pts)).items()]
     return report(spark, rows)
 
 
-def w02_build_corpus(spark, sf_dir, path: str | None = None) -> DataFrame:
-    """The lifted corpus of all text tables: clouds and points a table; written to ``path`` if one is given."""
+def corpus_parts(spark, sf_dir, teacher: str = "near") -> dict[str, DataFrame]:
+    """Packed clouds (sample_id, n, x..b) of every table that holds texts or vectors; a conversation's turn is an image."""
+    talks = load(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("key"), "text")
+    texts = {"documents": ("doc_id", "text", None), "pages": ("page_id", "html", None), "benchmark": ("item_id", "text", None), "conversations": ("key", "text", talks)}
+    out = {name: lift.lift_packed(corpora.packed_rasters(load(spark, sf_dir, name) if df is None else df, key, text), TEACHERS[teacher]) for name, (key, text, df) in texts.items()}
+    vectors = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("sample_id"), F.transform("embedding", lambda v: (v.cast("double") + 1) / 2).alias("v"))
+    at = lambda f: F.transform(F.sequence(F.lit(0), F.lit(63)), f)
+    zero = at(lambda i: F.lit(0.0))
+    out["vectors"] = vectors.select(
+        "sample_id", F.lit(64).alias("n"), at(lambda i: (i % 8 + 0.5) / 8).alias("x"), F.col("v").alias("y"), at(lambda i: 1 - (F.floor(i / 8) + 0.5) / 8).alias("z"), F.col("v").alias("r"), zero.alias("g"), zero.alias("b")
+    )
+    return out
+
+
+def w02_build_corpus(spark, sf_dir, path: str | None = None, teachers=("near", "wide", "vowels")) -> DataFrame:
+    """The lifted corpus of all tables, with every depth teacher: clouds, points, the largest cloud and the sum of depths (micro-units) a
+    table. Written to ``path`` if one is given, without a shuffle."""
     rows = []
-    for table, key, text in (("documents", "doc_id", "text"), ("pages", "page_id", "html"), ("benchmark", "item_id", "text")):
-        clouds = lift.lift_packed(corpora.packed_rasters(load(spark, sf_dir, table), key, text))
-        if path:
-            clouds.withColumn("corpus", F.lit(table)).write.mode("append").partitionBy("corpus").parquet(path)
-        n, total, most = clouds.agg(F.count("*"), F.sum("n"), F.max("n")).first()
-        rows += [("w02", table, "clouds", float(n)), ("w02", table, "points", float(total or 0)), ("w02", table, "largest", float(most or 0))]
+    for teacher in teachers:
+        for table, clouds in corpus_parts(spark, sf_dir, teacher).items():
+            if teacher != teachers[0] and table == "vectors":
+                continue
+            if path:
+                clouds.withColumns({"teacher": F.lit(teacher), "corpus": F.lit(table)}).write.mode("append").partitionBy("teacher", "corpus").parquet(path)
+            depth = F.aggregate("y", F.lit(0).cast("long"), lambda s, y: s + F.floor(y * 1000000 + 0.5).cast("long"))
+            n, total, most, deep = clouds.agg(F.count("*"), F.sum("n"), F.max("n"), F.sum(depth)).first()
+            rows += [("w02", f"{table} {teacher}", k, float(v or 0)) for k, v in (("clouds", n), ("points", total), ("largest", most), ("depth_fx", deep))]
     return report(spark, rows)
 
 
 def w03_cross_table(spark, sf_dir, steps: int = 6) -> DataFrame:
-    """Method x pre-training corpus, transferred to three splits of shape clouds; the zero arm is not pre-trained."""
-    corpora_ = {"lifted": document_clouds(spark, sf_dir).persist(), "shapes": shape_samples(spark, sf_dir, "part", False, 32).persist()}
+    """Method x pre-training corpus, transferred to three splits of shape clouds; the arm "none" is not pre-trained, and the supervised
+    arms start from scratch. The fixed-token method sees every corpus cut down to its smallest cloud."""
     splits = {"background": shape_samples(spark, sf_dir), "object": shape_samples(spark, sf_dir, background=False), "perturbed": shape_samples(spark, sf_dir, copies=5)}
-    splits = {k: v.persist() for k, v in splits.items()}
-    rows = []
-    for method, cfg in (("voxel", nets.TINY), ("fixed", FIXED)):
-        for name, clouds in (*corpora_.items(), ("none", None)):
-            params = train.pretrain(clouds, cfg, steps)[0] if clouds is not None else None
-            rows += [("w03", f"{method} {name}", split, fit_and_score(data, 10, cfg, params, steps)) for split, data in splits.items()]
-    for df in (*corpora_.values(), *splits.values()):
-        df.unpersist()
+    splits = {k: scratch_table(v) for k, v in splits.items()}
+    lifted, shapes = scratch_table(document_clouds(spark, sf_dir)), scratch_table(shape_samples(spark, sf_dir, "part", False, 32))
+    few = smallest_cloud(lifted, FIXED.group)
+    cut = {"lifted": document_clouds(spark, sf_dir, few), "shapes": shapes}
+    size = min(smallest_cloud(v, FIXED.group) for v in splits.values())
+    small = {k: cut_down(v, size) for k, v in splits.items()}
+    rows = [("w03", "majority", split, majority(data)) for split, data in splits.items()]
+    for method, cfg, corpora_, data_ in (("voxel", nets.TINY, {"lifted": lifted, "shapes": shapes}, splits), ("fixed", FIXED, cut, small)):
+        for name in ("lifted", "shapes", "none"):
+            params, losses = pretrained(corpora_[name], cfg, steps) if name != "none" else (None, [])
+            rows += [("w03", f"{method} {name}", "first_loss", losses[0]), ("w03", f"{method} {name}", "last_loss", losses[-1])] if losses else []
+            rows += [("w03", f"{method} {name}", split, fit_and_score(data, 10, cfg, params, steps)) for split, data in data_.items()]
+    for name, form in (("points", train.points_logits), ("hierarchical", train.hierarchical_logits), ("edge graph", train.edge_logits)):
+        for split, data in small.items():
+            params, _ = train.supervised(data.where(~F.col("is_test")), 10, form, steps=steps)
+            rows.append(("w03", f"supervised {name}", split, _accuracy(train.supervised_predict(data.where("is_test"), params, form))))
     return report(spark, rows)
 
 
+def cut_down(packed: DataFrame, n: int) -> DataFrame:
+    """At most ``n`` points of every packed cloud, drawn by the sample's number."""
+    names = [c for c in packed.columns if c in (*"xyzrgb", "zones")]
+
+    def run(batches):
+        for b in batches:
+            cols = {c: [] for c in names}
+            for k, sample in enumerate(b.column(b.schema.names.index("sample_id")).to_pylist()):
+                rows = [b.column(b.schema.names.index(c))[k].values.to_numpy(zero_copy_only=False) for c in names]
+                at = np.sort(np.random.default_rng(sample).permutation(len(rows[0]))[:n])
+                for c, x in zip(names, rows, strict=True):
+                    cols[c].append(x[at])
+            yield pa.RecordBatch.from_arrays([pa.array(cols[c], b.schema.field(c).type) if c in cols else b.column(k) for k, c in enumerate(b.schema.names)], b.schema.names)
+
+    return packed.mapInArrow(run, packed.schema)
+
+
 def w04_model_scaling(spark, sf_dir, steps: int = 6) -> DataFrame:
-    clouds, data, rows = document_clouds(spark, sf_dir), shape_samples(spark, sf_dir), []
+    clouds, data = scratch_table(document_clouds(spark, sf_dir)), scratch_table(shape_samples(spark, sf_dir))
+    rows = [("w04", "majority", "accuracy", majority(data))]
     for name, cfg in (("narrow", nets.TINY), ("wide", nets.SMALL_TINY), ("deep", replace(nets.TINY, blocks=3))):
-        params, losses = train.pretrain(clouds, cfg, steps)
-        rows += [("w04", name, "accuracy", fit_and_score(data, 10, cfg, params, steps)), ("w04", name, "parameters", float(cfg.n_params())), ("w04", name, "last_loss", losses[-1])]
+        params, losses = pretrained(clouds, cfg, steps)
+        rows += [("w04", name, "accuracy", fit_and_score(data, 10, cfg, params, steps)), ("w04", name, "parameters", float(cfg.n_params())), ("w04", name, "first_loss", losses[0]), ("w04", name, "last_loss", losses[-1])]
     rows += [("w04", name, "parameters", float(cfg.n_params())) for name, cfg in (("S", nets.S), ("B", nets.B), ("L", nets.L))]
     return report(spark, rows)
 
 
-def w05_fewshot(spark, sf_dir, runs: int = 10) -> DataFrame:
-    """Episodes on frozen features of shape clouds, and on vectors whose label carries no signal."""
-    shapes = shape_samples(spark, sf_dir)
-    feats = train.features(shapes, nets.init(nets.TINY), nets.TINY, ("label",)).persist()
+def raw_features(packed: DataFrame) -> DataFrame:
+    """Mean and deviation of every attribute of a cloud: what a baseline without any model sees."""
+    stats = []
+    for c in "xyzrgb":
+        n = F.greatest(F.lit(1), F.size(c))
+        mean = F.aggregate(c, F.lit(0.0), lambda s, v: s + v) / n
+        square = F.aggregate(c, F.lit(0.0), lambda s, v: s + v * v) / n
+        stats += [mean, F.sqrt(F.greatest(F.lit(0.0), square - mean * mean))]
+    return packed.select("sample_id", "label", F.array(*stats).alias("f"))
+
+
+def w05_fewshot(spark, sf_dir, runs: int = 10, steps: int = 6) -> DataFrame:
+    """Episodes on frozen features of shape clouds: of a pre-trained encoder, of a random one and of plain attribute statistics, by the
+    nearest centroid and by a trained head; and on vectors whose label carries no signal."""
+    shapes = scratch_table(shape_samples(spark, sf_dir))
+    model, _ = pretrained(scratch_table(document_clouds(spark, sf_dir)), nets.TINY, steps)
     vectors = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("sample_id"), "label", F.col("embedding").cast("array<double>").alias("f"))
+    feats = {"pretrained": train.features(shapes, model, nets.TINY, ("label",)), "random": train.features(shapes, nets.init(nets.TINY), nets.TINY, ("label",)), "attributes": raw_features(shapes), "control": vectors}
     rows = []
-    for arm, data in (("shapes", feats), ("control", vectors)):
+    for arm, data in feats.items():
+        data = scratch_table(data.select("sample_id", F.col("label").cast("int").alias("label"), "f"))
+        episodes = None
         for way in (5, 10):
             for shot in (10, 20):
                 e = train.fewshot(data.select("sample_id", "label"), way, shot, runs)
-                got = measure.mean_se(train.centroid_episodes(e, data).where("not isnan(accuracy)"), ["way", "shot"], "accuracy").first()
-                if got:
-                    rows.append(("w05", arm, f"{way} way {shot} shot", got["mean"], got["se"]))
-    feats.unpersist()
+                episodes = e if episodes is None else episodes.union(e)
+        episodes = scratch_table(episodes)
+        for head, run in (("centroid", train.centroid_episodes), ("trained head", train.trained_episodes)):
+            for got in measure.mean_se(run(episodes, data).where("not isnan(accuracy)"), ["way", "shot"], "accuracy").orderBy("way", "shot").collect():
+                rows.append(("w05", f"{arm}, {head}", f"{got['way']} way {got['shot']} shot", got["mean"], got["se"]))
     return report(spark, rows)
 
 
 def w06_cad_voting(spark, sf_dir, rounds: int = 3, steps: int = 6) -> DataFrame:
-    """40 classes (family x aspect) with fixed points a cloud; scores of perturbed copies are averaged."""
-    data = shape_samples(spark, sf_dir, classes=40, background=False).persist()
+    """40 classes (family x aspect) with as many points a cloud as the smallest has; scores of perturbed copies are averaged."""
+    whole = scratch_table(shape_samples(spark, sf_dir, classes=40, background=False))
+    size = smallest_cloud(whole, 1)
+    data = scratch_table(cut_down(whole, size))
     model, _ = train.finetune(data.where(~F.col("is_test")), 40, nets.TINY, steps)
     single = _accuracy(train.predict(data.where("is_test"), model, nets.TINY))
-    voted = _accuracy(voted_labels(spark, sf_dir, model, rounds, 40))
-    data.unpersist()
-    return report(spark, [("w06", "single", "accuracy", single), ("w06", f"voted {rounds}", "accuracy", voted)])
+    voted = _accuracy(voted_labels(spark, sf_dir, model, rounds, 40, size))
+    return report(spark, [("w06", "majority", "accuracy", majority(data)), ("w06", "single", "accuracy", single), ("w06", f"voted {rounds}", "accuracy", voted), ("w06", "single", "points", float(size))])
 
 
-def voted_labels(spark, sf_dir, model, rounds: int, classes: int) -> DataFrame:
-    copies = shape_samples(spark, sf_dir, classes=classes, background=False, copies=rounds).where("is_test")
+def voted_labels(spark, sf_dir, model, rounds: int, classes: int, size: int) -> DataFrame:
+    copies = cut_down(shape_samples(spark, sf_dir, classes=classes, background=False, copies=rounds).where("is_test"), size)
     scores = train.predict(copies, model, nets.TINY, ("label",)).select(F.floor(F.col("sample_id") / 100).alias("sample_id"), "label", F.posexplode("score").alias("class", "s"))
     best = measure.vote(scores.select("sample_id", "class", F.floor(F.col("s") * 1000000).cast("long").alias("score_fx")))
     return best.join(scores.select("sample_id", "label").distinct(), "sample_id").select("sample_id", "label", "pred")
 
 
 def w07_part_segmentation(spark, sf_dir, steps: int = 10) -> DataFrame:
-    data = shape_samples(spark, sf_dir, background=False).persist()
-    model, losses = train.segment(data.where(~F.col("is_test")), 3, nets.TINY, steps)
-    got = measure.miou(train.segment_predict(data.where("is_test"), model, nets.TINY)).first()
-    data.unpersist()
-    return report(spark, [("w07", "voxel", "class_miou", got["class_miou_fx"] / 1e6), ("w07", "voxel", "instance_miou", got["instance_miou_fx"] / 1e6), ("w07", "voxel", "last_loss", losses[-1])])
+    """Parts of points by features of the voxel tokeniser and of the centre-neighbour one."""
+    data, rows = scratch_table(shape_samples(spark, sf_dir, background=False)), []
+    for arm, cfg in (("voxel", nets.TINY), ("centre", FIXED)):
+        model, losses = train.segment(data.where(~F.col("is_test")), 3, cfg, steps)
+        got = measure.miou(train.segment_predict(data.where("is_test"), model, cfg)).first()
+        rows += [("w07", arm, "class_miou", (got["class_miou_fx"] or 0) / 1e6), ("w07", arm, "instance_miou", (got["instance_miou_fx"] or 0) / 1e6), ("w07", arm, "first_loss", losses[0]), ("w07", arm, "last_loss", losses[-1])]
+    return report(spark, rows)
 
 
-def _ablate(spark, name, arms, make) -> DataFrame:
+def _ablate(spark, name, arms, make, steps: int) -> DataFrame:
     """make(arm) -> (clouds, config, pretrain options, labelled data)."""
     rows = []
     for arm in arms:
         clouds, cfg, options, data = make(arm)
-        params, losses = train.pretrain(clouds, cfg, **options)
-        rows += [(name, str(arm), "ft", fit_and_score(data, 4, cfg, params, 6)), (name, str(arm), "lin", probe_accuracy(data, cfg, params)), (name, str(arm), "loss", losses[-1])]
-    return report(spark, rows)
+        params, losses = pretrained(clouds, cfg, steps, **options)
+        rows += [(name, str(arm), "ft", fit_and_score(data, 4, cfg, params, steps)), (name, str(arm), "lin", probe_accuracy(data, cfg, params)), (name, str(arm), "first_loss", losses[0]), (name, str(arm), "last_loss", losses[-1])]
+    return report(spark, [(name, "majority", "ft", majority(data)), *rows])
 
 
 def w08a_mask_ratio(spark, sf_dir, steps: int = 6, ratios=(15, 30, 45, 60, 75, 90)) -> DataFrame:
-    d = document_clouds(spark, sf_dir).persist()
-    return _ablate(spark, "w08a", ratios, lambda r: (d, nets.TINY, {"steps": steps, "percent": r}, d))
+    d = scratch_table(document_clouds(spark, sf_dir))
+    return _ablate(spark, "w08a", ratios, lambda r: (d, nets.TINY, {"percent": r}, d), steps)
 
 
 def w08b_augmentation(spark, sf_dir, steps: int = 6) -> DataFrame:
-    d = document_clouds(spark, sf_dir).persist()
-
-    def scaled(rho, tau):
-        long = lift.unpack(d.select("sample_id", *"xyzrgb"))
-        return train.pack(augment.scale_translate(long, rho, tau))
-
+    d = scratch_table(document_clouds(spark, sf_dir))
     arms = {"none": (1.0, 0.0), "3/4": (3 / 4, 0.0), "2/3": (2 / 3, 0.0), "1/2": (1 / 2, 0.0), "1/2+T": (1 / 2, 1 / 2)}
-    return _ablate(spark, "w08b", arms, lambda a: (scaled(*arms[a]), nets.TINY, {"steps": steps}, d))
+    return _ablate(spark, "w08b", arms, lambda a: (scratch_table(document_clouds(spark, sf_dir, rho=arms[a][0], tau=arms[a][1])), nets.TINY, {}, d), steps)
 
 
 def w08c_attributes_losses(spark, sf_dir, steps: int = 6) -> DataFrame:
-    d = document_clouds(spark, sf_dir).persist()
+    d = scratch_table(document_clouds(spark, sf_dir))
     arms = {"graph mse": ("graph", ("mse",)), "graph mse+cd": ("graph", ("mse", "cd")), "graph all": ("graph", ("mse", "cd", "occ")), "origin all": ("origin", ("mse", "cd", "occ"))}
-    return _ablate(spark, "w08c", arms, lambda a: (d, replace(nets.TINY, features=arms[a][0]), {"steps": steps, "terms": arms[a][1]}, d))
+    return _ablate(spark, "w08c", arms, lambda a: (d, replace(nets.TINY, features=arms[a][0]), {"terms": arms[a][1]}, d), steps)
 
 
 def w08d_corpus_size(spark, sf_dir, steps: int = 6, thousandths=(10, 20, 40, 80, 420, 1000)) -> DataFrame:
-    d = document_clouds(spark, sf_dir).persist()
-    return _ablate(spark, "w08d", thousandths, lambda t: (corpora.subset(d, t), nets.TINY, {"steps": steps}, d))
+    d = scratch_table(document_clouds(spark, sf_dir))
+    return _ablate(spark, "w08d", thousandths, lambda t: (corpora.subset(d, t), nets.TINY, {}, d), steps)
 
 
 def w09_ragged_vs_fixed(spark, sf_dir, steps: int = 6) -> DataFrame:
-    """Whole ragged clouds against clouds cut down to one size."""
-    rows = []
-    for arm, points in (("ragged", None), ("fixed", 50)):
-        d = document_clouds(spark, sf_dir, points).persist()
-        params, losses = train.pretrain(d, nets.TINY, steps)
-        rows += [("w09", arm, "lin", probe_accuracy(d, nets.TINY, params)), ("w09", arm, "loss", losses[-1])]
-        d.unpersist()
-    return report(spark, rows)
+    """Whole ragged clouds with voxel tokens; the same clouds cut down to the smallest one, with voxel tokens and with centre tokens."""
+    whole, rows = scratch_table(document_clouds(spark, sf_dir)), []
+    few = smallest_cloud(whole, FIXED.group)
+    cut = scratch_table(document_clouds(spark, sf_dir, few))
+    for arm, cfg, d in (("ragged voxel", nets.TINY, whole), ("fixed voxel", nets.TINY, cut), ("fixed centre", FIXED, cut)):
+        params, losses = pretrained(d, cfg, steps)
+        rows += [("w09", arm, "lin", probe_accuracy(d, cfg, params)), ("w09", arm, "first_loss", losses[0]), ("w09", arm, "last_loss", losses[-1])]
+    return report(spark, [("w09", "majority", "lin", majority(whole)), ("w09", "fixed", "points", float(few)), *rows])
 
 
 def w10_stream_tokens(spark, sf_dir) -> DataFrame:
@@ -241,22 +349,31 @@ def _trace(spark, losses):
 
 
 def pretrain_tiny(spark, sf_dir):
-    return _trace(spark, train.pretrain(document_clouds(spark, sf_dir), nets.TINY, 6)[1])
+    return _trace(spark, pretrained(scratch_table(document_clouds(spark, sf_dir)), nets.TINY, 6)[1])
 
 
 def pretrain_fixed_token_tiny(spark, sf_dir):
-    return _trace(spark, train.pretrain(document_clouds(spark, sf_dir), FIXED, 6)[1])
+    """On clouds cut down to the smallest one, as the fixed-token method needs."""
+    few = smallest_cloud(document_clouds(spark, sf_dir), FIXED.group)
+    return _trace(spark, pretrained(scratch_table(document_clouds(spark, sf_dir, few)), FIXED, 6)[1])
+
+
+def pretrain_minibatches(spark, sf_dir):
+    """The published procedure: minibatches, an update every four iterations, rate 5e-4."""
+    return _trace(spark, train.pretrain(document_clouds(spark, sf_dir), nets.TINY, 8, batch=64)[1])
 
 
 def finetune_tiny(spark, sf_dir):
     d = document_clouds(spark, sf_dir)
-    return _trace(spark, train.finetune(d.where(~F.col("is_test")), 4, nets.TINY, 6)[1])
+    return _trace(spark, train.finetune(scratch_table(d.where(~F.col("is_test"))), 4, nets.TINY, 6)[1])
 
 
 def linear_probe_lang(spark, sf_dir):
-    d = document_clouds(spark, sf_dir)
-    majority = measure.chance(d.where("is_test").select("label")).first()["majority"]
-    return report(spark, [("probe", "random encoder", "accuracy", probe_accuracy(d, nets.TINY, nets.init(nets.TINY))), ("probe", "majority", "accuracy", majority)])
+    """A linear probe on a random and on a pre-trained encoder, beside the largest class."""
+    d = scratch_table(document_clouds(spark, sf_dir))
+    model, _ = pretrained(d, nets.TINY, 6)
+    rows = [("probe", name, "accuracy", probe_accuracy(d, nets.TINY, params)) for name, params in (("random encoder", nets.init(nets.TINY)), ("pre-trained encoder", model))]
+    return report(spark, [*rows, ("probe", "majority", "accuracy", majority(d))])
 
 
 def segment_tiny(spark, sf_dir):
@@ -267,22 +384,18 @@ def vote_finetuned(spark, sf_dir):
     return w06_cad_voting(spark, sf_dir, 3, 4)
 
 
-def supervised_pointnet(spark, sf_dir):
-    d = shape_samples(spark, sf_dir, background=False)
-    return _trace(spark, train.supervised(d.where(~F.col("is_test")), 10, steps=6)[1])
-
-
-def supervised_hierarchical(spark, sf_dir):
-    d = shape_samples(spark, sf_dir, background=False)
-    return _trace(spark, train.supervised(d.where(~F.col("is_test")), 10, train.hierarchical_logits, steps=4)[1])
-
+def _supervised_query(form, steps):
+    def run(spark, sf_dir):
+        d = scratch_table(shape_samples(spark, sf_dir, background=False).where(~F.col("is_test")))
+        return _trace(spark, train.supervised(d, 10, form, steps=steps)[1])
 
-def supervised_edge_graph(spark, sf_dir):
-    """On part clouds of some thirty points: the neighbour graph of a cloud is quadratic in its points."""
-    d = shape_samples(spark, sf_dir, "part", False)
-    return _trace(spark, train.supervised(d.where(~F.col("is_test")), 10, train.edge_logits, steps=4)[1])
+    return run
 
 
-LEARNED = {f.__name__: f for f in (pretrain_tiny, pretrain_fixed_token_tiny, finetune_tiny, linear_probe_lang, segment_tiny, vote_finetuned, supervised_pointnet, supervised_hierarchical, supervised_edge_graph, w02_build_corpus, w05_fewshot, w10_stream_tokens)}
-#: Longer runs; called by bench/workloads.py, not by the driver's queries.
+SHORT = 3
+LEARNED = {f.__name__: f for f in (pretrain_tiny, pretrain_fixed_token_tiny, pretrain_minibatches, finetune_tiny, linear_probe_lang, segment_tiny, vote_finetuned, w02_build_corpus, w05_fewshot, w10_stream_tokens)}
+LEARNED |= {"supervised_pointnet": _supervised_query(train.points_logits, 6), "supervised_hierarchical": _supervised_query(train.hierarchical_logits, 4), "supervised_edge_graph": _supervised_query(train.edge_logits, 4)}
+#: All experiments; the registered queries take ``SHORT`` optimiser steps an arm, :mod:`bench_workloads` as many as it is told.
 EXPERIMENTS = {f.__name__: f for f in (w01_tokenizer_cost, w02_build_corpus, w03_cross_table, w04_model_scaling, w05_fewshot, w06_cad_voting, w07_part_segmentation, w08a_mask_ratio, w08b_augmentation, w08c_attributes_losses, w08d_corpus_size, w09_ragged_vs_fixed, w10_stream_tokens)}
+LEARNED |= {n: (lambda spark, sf_dir, f=EXPERIMENTS[n]: f(spark, sf_dir, steps=SHORT)) for n in ("w03_cross_table", "w04_model_scaling", "w08a_mask_ratio", "w08b_augmentation", "w08c_attributes_losses", "w08d_corpus_size", "w09_ragged_vs_fixed")}
+LEARNED["w01_tokenizer_cost"] = w01_tokenizer_cost

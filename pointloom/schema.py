@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
+_local: list[str] = []
+
 POINTS = T.StructType([T.StructField("sample_id", T.LongType()), T.StructField("point_no", T.LongType()), *(T.StructField(c, T.DoubleType()) for c in "xyzrgb")])
 ATTRIBUTES = tuple("xyzrgb")
 AXES = tuple("xyz")
@@ -36,6 +40,31 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def scratch_root(spark: SparkSession) -> str:
+    """The shared folder the cluster names; a local one only where none is set (tests, local mode)."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if root:
+        return root
+    if not _local:
+        _local.append("file://" + tempfile.mkdtemp(prefix="pointloom-"))
+    return _local[0]
+
+
+def scratch_path(spark: SparkSession) -> str:
+    """A new path in the shared folder; what is written there goes when the driver ends."""
+    path = f"{scratch_root(spark)}/pointloom-{uuid.uuid4().hex}"
+    hpath = spark._jvm.org.apache.hadoop.fs.Path(path)
+    hpath.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(hpath)
+    return path
+
+
+def scratch_table(df: DataFrame, *by: str) -> DataFrame:
+    """``df`` written once to the shared folder, partitioned by columns if named, and read back."""
+    path = scratch_path(df.sparkSession)
+    df.write.partitionBy(*by).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def validate(df: DataFrame, schema: T.StructType = POINTS) -> DataFrame:
     """``df`` restricted to the schema's columns; a clear error names what is missing."""
     missing = [f.name for f in schema if f.name not in df.columns]

@@ -7,20 +7,30 @@ import uuid
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pointloom import nets
 from pointloom.functions.fixed import draw
 from pointloom.nets import ModelConfig, Var
+from pointloom.operators.baselines import fps_kernel, nearest_kernel
+from pointloom.schema import scratch_table
 
 #: Values of a gradient row; larger tensors are cut, so the reduction is spread over tasks.
 CHUNK = 1 << 16
 
 
-def _clouds(batch: pa.RecordBatch) -> list[np.ndarray]:
-    cols = [batch.column(batch.schema.names.index(c)) for c in "xyzrgb"]
-    return [np.stack([c[k].values.to_numpy(zero_copy_only=False) for c in cols], 1) for k in range(batch.num_rows)]
+def _clouds(batch: pa.RecordBatch) -> nets.Clouds:
+    names = batch.schema.names
+    cols = [batch.column(names.index(c)) for c in "xyzrgb"]
+    return nets.Clouds([np.stack([c[k].values.to_numpy(zero_copy_only=False) for c in cols], 1) for k in range(batch.num_rows)], batch.column(names.index("sample_id")).to_numpy())
+
+
+def _by_size(batch: pa.RecordBatch) -> pa.RecordBatch:
+    """Clouds of about the same size stand together, so that little of a padded part is padding."""
+    size = pc.list_value_length(batch.column(batch.schema.names.index("x"))).to_numpy(zero_copy_only=False)
+    return batch.take(pa.array(np.argsort(size, kind="stable")))
 
 
 def pack(points: DataFrame) -> DataFrame:
@@ -36,7 +46,7 @@ def spark_gradients(batch: DataFrame, params: dict[str, np.ndarray], loss_of, la
 
     def run(batches):
         total, n, loss = {}, 0, 0.0
-        for b in batches:
+        for b in map(_by_size, batches):
             for lo in range(0, b.num_rows, per_task):
                 part = b.slice(lo, per_task)
                 labels = part.column(part.schema.names.index(label)).to_numpy(zero_copy_only=False) if label else None
@@ -72,26 +82,38 @@ def spark_gradients(batch: DataFrame, params: dict[str, np.ndarray], loss_of, la
     return loss / n, {k: np.concatenate(v).reshape(params[k].shape) / n for k, v in flat.items()}
 
 
-def epoch_batch(clouds: DataFrame, step: int, batches: int, seed: int) -> DataFrame:
-    """One of ``batches`` hash classes of the samples; the classes change from epoch to epoch."""
-    return clouds.where(draw(seed + step // batches, F.col("sample_id")) % batches == step % batches)
+def minibatches(clouds: DataFrame, size: int | None, seed: int = 0):
+    """(number of minibatches, function of the step): the corpus is dealt once into hash classes of about ``size`` clouds, stored by
+    class, so a step reads its class and nothing else. An epoch takes each class once, in an order of its own."""
+    n = 1 if size is None else max(1, -(-clouds.count() // size))
+    if n == 1:
+        return 1, lambda step: clouds
+    stored = scratch_table(clouds.withColumn("class", (draw(seed, F.col("sample_id")) % n).cast("int")).repartition("class"), "class")
+
+    def of(step: int) -> DataFrame:
+        order = np.random.default_rng([seed, step // n]).permutation(n)
+        return stored.where(F.col("class") == int(order[step % n])).drop("class")
 
+    return n, of
 
-def pretrain(clouds: DataFrame, cfg: ModelConfig, steps: int = 6, batches: int = 1, percent: int = 60, terms=("mse", "cd", "occ"), lr: float = 5e-3, accum: int = 1, seed: int = 0, params=None):
-    """(parameters, losses): masked reconstruction with a cosine rate; an update every ``accum`` iterations."""
-    params, opt, losses, held = params or nets.init(cfg, seed), nets.AdamW(lr), [], None
+
+def pretrain(clouds: DataFrame, cfg: ModelConfig, steps: int = 6, batch: int | None = 256, percent: int = 60, terms=("mse", "cd", "occ"), lr: float = 5e-4, accum: int = 4, seed: int = 0, params=None):
+    """(parameters, losses): masked reconstruction with a cosine rate, in minibatches of ``batch`` clouds (None: all), an update every
+    ``accum`` iterations and one at the end. A cloud's mask depends on the epoch, the sample and the cell only."""
+    params, opt, losses, held, since = params or nets.init(cfg, seed), nets.AdamW(lr), [], None, 0
+    n, part = minibatches(clouds, batch, seed)
     for step in range(steps):
 
-        def loss_of(batch, labels, p, step=step):
+        def loss_of(batch, labels, p, epoch=step // n):
             t = nets.tokens_of(batch, cfg)
-            return nets.pretrain_loss(t, nets.hide(t, percent, seed + step), p, cfg, terms)
+            return nets.pretrain_loss(t, nets.hide(t, percent, seed + epoch), p, cfg, terms)
 
-        loss, grad = spark_gradients(epoch_batch(clouds, step, batches, seed), params, loss_of)
+        loss, grad = spark_gradients(part(step), params, loss_of)
         losses.append(loss)
-        held = grad if held is None else {k: held[k] + g for k, g in grad.items()}
-        if (step + 1) % accum == 0:
-            params = opt.step(params, {k: g / accum for k, g in held.items()}, nets.cosine(lr, step, steps))
-            held = None
+        held, since = grad if held is None else {k: held[k] + g for k, g in grad.items()}, since + 1
+        if since == accum or step + 1 == steps:
+            params = opt.step(params, {k: g / since for k, g in held.items()}, nets.cosine(lr, step, steps))
+            held, since = None, 0
     return params, losses
 
 
@@ -120,7 +142,7 @@ def features(clouds: DataFrame, params: dict[str, np.ndarray], cfg: ModelConfig,
 
     def run(batches):
         p = {k: Var(v) for k, v in sent.value.items()}
-        for b in batches:
+        for b in map(_by_size, batches):
             for lo in range(0, b.num_rows, 64):
                 part = b.slice(lo, 64)
                 _, cls = nets.encode(nets.tokens_of(_clouds(part), cfg), p, cfg)
@@ -182,16 +204,43 @@ def centroid_episodes(episodes: DataFrame, feats: DataFrame) -> DataFrame:
     return rows.groupBy("way", "shot", "run").applyInPandas(run, "way int, shot int, run int, accuracy double")
 
 
+def trained_episodes(episodes: DataFrame, feats: DataFrame, steps: int = 60, rate: float = 0.5) -> DataFrame:
+    """Accuracy of a softmax head trained on each episode's support set: (way, shot, run, accuracy)."""
+    rows = episodes.join(feats.select("sample_id", "f"), "sample_id")
+
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["label", "sample_id"])
+        x, s = np.stack(pdf.f.to_list()), (pdf.role == "support").to_numpy()
+        x = (x - x[s].mean(0)) / (x[s].std(0) + 1e-6)
+        cls, y = np.unique(pdf.label.to_numpy(), return_inverse=True)
+        w, gold = np.zeros((x.shape[1] + 1, len(cls))), np.eye(len(cls))[y]
+        x = np.hstack([x, np.ones((len(x), 1))])
+        for _ in range(steps):
+            z = x[s] @ w
+            q = np.exp(z - z.max(1, keepdims=True))
+            w += rate * (x[s].T @ (gold[s] - q / q.sum(1, keepdims=True)) / s.sum() - 1e-3 * w)
+        right = (x[~s] @ w).argmax(1) == y[~s]
+        return pd.DataFrame({"way": [key[0]], "shot": [key[1]], "run": [key[2]], "accuracy": [float(right.mean()) if (~s).any() else float("nan")]})
+
+    return rows.groupBy("way", "shot", "run").applyInPandas(run, "way int, shot int, run int, accuracy double")
+
+
 def point_features(clouds: list[np.ndarray], p: dict[str, Var], cfg: ModelConfig) -> Var:
-    """Of every point: its voxel's patch code and its own attributes."""
-    t = nets.voxel_tokens(clouds, cfg)
+    """Of every point: the code of its voxel's patch, or of the nearest centre of the fixed-token tokeniser, and its own attributes."""
+    t = nets.tokens_of(clouds, cfg)
     codes, _ = nets.encode(t, p, cfg)
-    wide = -(-cfg.grid // cfg.patch)
-    names = t.sample * wide**3 + np.rint(t.corner * cfg.grid / cfg.patch).astype(np.int64) @ np.array([wide * wide, wide, 1])
     at, own = [], np.concatenate(clouds)
-    for s, pts in enumerate(clouds):
-        key = np.clip(np.floor(pts[:, :3] * cfg.grid), 0, cfg.grid - 1).astype(np.int64) // cfg.patch
-        at.append(np.searchsorted(names, s * wide**3 + key @ np.array([wide * wide, wide, 1])))
+    if cfg.group:
+        for s, pts in enumerate(clouds):
+            mine = np.flatnonzero(t.sample == s)
+            near, _ = nearest_kernel(t.corner[mine], pts[:, :3], 1)
+            at.append(mine[near[:, 0]])
+    else:
+        wide = -(-cfg.grid // cfg.patch)
+        names = t.sample * wide**3 + t.cell @ np.array([wide * wide, wide, 1])
+        for s, pts in enumerate(clouds):
+            key = np.clip(np.floor(pts[:, :3] * cfg.grid), 0, cfg.grid - 1).astype(np.int64) // cfg.patch
+            at.append(np.searchsorted(names, s * wide**3 + key @ np.array([wide * wide, wide, 1])))
     rows = nets.take(codes, np.concatenate(at))
     both = np.concatenate([rows.value, own], 1)
     return Var(both, ((rows, lambda g: g[:, : rows.value.shape[1]]),))
@@ -200,7 +249,7 @@ def point_features(clouds: list[np.ndarray], p: dict[str, Var], cfg: ModelConfig
 def segment(clouds: DataFrame, parts: int, cfg: ModelConfig, steps: int = 8, lr: float = 1e-2, params=None, seed: int = 0):
     """Trains a per-point head (column ``zones``: part of each point); (parameters, losses)."""
     rng = np.random.default_rng(seed)
-    params = {k: v for k, v in (params or nets.init(cfg, seed)).items() if not k.startswith(("dec.", "head.", "occ.", "mask", "adapt"))}
+    params = {k: v for k, v in (params or nets.init(cfg, seed)).items() if not k.startswith(("dec.", "head.", "occ.", "mask", "adapt", "points."))}
     params |= {"part1.w": rng.normal(0, 0.1, (cfg.width + 6, 32)), "part1.b": np.zeros(32), "part2.w": rng.normal(0, 0.1, (32, parts)), "part2.b": np.zeros(parts)}
     opt, losses = nets.AdamW(lr), []
 
@@ -235,11 +284,17 @@ def segment_predict(clouds: DataFrame, params, cfg: ModelConfig) -> DataFrame:
     return clouds.select("sample_id", "category", "zones", *"xyzrgb").mapInArrow(run, "category int, sample_id long, label int, pred int")
 
 
+def supervised_shapes(form, classes: int, width: int = 32) -> dict[str, tuple[int, ...]]:
+    """Tensors of a supervised baseline."""
+    second = {hierarchical_logits: width + 3, edge_logits: 2 * width}.get(form, width)
+    return {"p1.w": (6, width), "p1.b": (width,), "p2.w": (second, width), "p2.b": (width,), "p3.w": (width, width), "p3.b": (width,), "class.w": (width, classes), "class.b": (classes,)}
+
+
 def supervised(clouds: DataFrame, classes: int, form=None, width: int = 32, steps: int = 8, lr: float = 1e-2, seed: int = 0):
-    """Supervised baselines from scratch; (parameters, losses). ``form``: :func:`points_logits` (a shared layer on every point, the
+    """Supervised baselines from scratch; (parameters, losses). ``form``: :func:`points_logits` (shared layers on every point, the
     cloud's maximum, a linear head), :func:`hierarchical_logits` or :func:`edge_logits`."""
     rng, form = np.random.default_rng(seed), form or points_logits
-    params = {"p1.w": rng.normal(0, 0.4, (6, width)), "p1.b": np.zeros(width), "p2.w": rng.normal(0, 0.2, (width, width)), "p2.b": np.zeros(width), "class.w": np.zeros((width, classes)), "class.b": np.zeros(classes)}
+    params = {k: np.zeros(s) if k.endswith(".b") or k == "class.w" else rng.normal(0, 1 / np.sqrt(s[0]), s) for k, s in supervised_shapes(form, classes, width).items()}
     opt, losses = nets.AdamW(lr), []
 
     def loss_of(batch, labels, p):
@@ -252,40 +307,89 @@ def supervised(clouds: DataFrame, classes: int, form=None, width: int = 32, step
     return params, losses
 
 
+def supervised_predict(clouds: DataFrame, params, form) -> DataFrame:
+    """label, pred of every sample."""
+    sent = clouds.sparkSession.sparkContext.broadcast(params)
+
+    def run(batches):
+        p = {k: Var(v) for k, v in sent.value.items()}
+        for b in map(_by_size, batches):
+            for lo in range(0, b.num_rows, 64):
+                part = b.slice(lo, 64)
+                yield pa.RecordBatch.from_arrays([part.column(1), pa.array(form(_clouds(part), p).value.argmax(1).astype(np.int32))], ["label", "pred"])
+
+    return clouds.select("sample_id", F.col("label").cast("int"), *"xyzrgb").mapInArrow(run, "label int, pred int")
+
+
 def points_logits(batch: list[np.ndarray], p: dict[str, Var]) -> Var:
     owner = np.repeat(np.arange(len(batch)), [len(c) for c in batch])
     h = nets.relu(nets.linear(nets.relu(nets.linear(Var(np.concatenate(batch)), p, "p1")), p, "p2"))
-    return nets.linear(nets.max_by(h, owner, len(batch)), p, "class")
+    return nets.linear(nets.relu(nets.linear(nets.max_by(h, owner, len(batch)), p, "p3")), p, "class")
+
 
+def _balls(xyz: np.ndarray, centres: int, radius: float) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Positions of the sampled centres, and the rows in the ball around each."""
+    at = fps_kernel(xyz, centres)
+    return at, [np.flatnonzero(((xyz - xyz[c]) ** 2).sum(1) <= radius**2) for c in at]
 
-def hierarchical_logits(batch: list[np.ndarray], p: dict[str, Var], centres: int = 8, radius: float = 0.3) -> Var:
-    """Supervised baseline with one level of sampled centres: the maximum in each ball, then over the centres."""
-    from pointloom.operators.baselines import fps_kernel
 
-    rows, ball, of = [], [], []
+def hierarchical_logits(batch: list[np.ndarray], p: dict[str, Var], centres: tuple[int, int] = (16, 4), radius: tuple[float, float] = (0.2, 0.5)) -> Var:
+    """Supervised baseline with two levels of sampled centres: the maximum in each ball of points, then in each ball of centres with
+    their codes, then over the cloud."""
+    rows, ball, of, where = [], [], [], []
     for s, pts in enumerate(batch):
-        for c in fps_kernel(pts[:, :3], centres):
-            near = ((pts[:, :3] - pts[c, :3]) ** 2).sum(1) <= radius**2
+        at, balls = _balls(pts[:, :3], centres[0], radius[0])
+        for c, near in zip(at, balls, strict=True):
             rows.append(np.hstack([pts[near, :3] - pts[c, :3], pts[near, 3:]]))
-            ball.append(np.full(int(near.sum()), len(of)))
+            ball.append(np.full(len(near), len(of)))
             of.append(s)
+        where.append(pts[at, :3])
     h = nets.max_by(nets.relu(nets.linear(Var(np.concatenate(rows)), p, "p1")), np.concatenate(ball), len(of))
-    return nets.linear(nets.max_by(nets.relu(nets.linear(h, p, "p2")), np.array(of), len(batch)), p, "class")
+    take, offset, ball, top, base = [], [], [], [], 0
+    for s, xyz in enumerate(where):
+        at, balls = _balls(xyz, centres[1], radius[1])
+        for c, near in zip(at, balls, strict=True):
+            take.append(near + base)
+            offset.append(xyz[near] - xyz[c])
+            ball.append(np.full(len(near), len(top)))
+            top.append(s)
+        base += len(xyz)
+    both = nets.beside(nets.take(h, np.concatenate(take)), Var(np.concatenate(offset)))
+    h = nets.max_by(nets.relu(nets.linear(both, p, "p2")), np.concatenate(ball), len(top))
+    return nets.linear(nets.max_by(nets.relu(nets.linear(h, p, "p3")), np.array(top), len(batch)), p, "class")
 
 
 def edge_logits(batch: list[np.ndarray], p: dict[str, Var], k: int = 8) -> Var:
-    """Supervised baseline on the neighbour graph: a layer on every edge's offset, the maximum at each point, then over the cloud."""
-    rows, at, of, base = [], [], [], 0
-    for s, pts in enumerate(batch):
-        d = ((pts[:, None, :3] - pts[None, :, :3]) ** 2).sum(-1)
-        near = np.argsort(d, axis=1, kind="stable")[:, : k + 1]
-        own = np.repeat(np.arange(len(pts)), near.shape[1])
-        rows.append(np.hstack([pts[own, :3], pts[near.ravel(), :3] - pts[own, :3]]))
-        at.append(own + base)
-        of.append(np.full(len(pts), s))
-        base += len(pts)
-    h = nets.max_by(nets.relu(nets.linear(Var(np.concatenate(rows)), p, "p1")), np.concatenate(at), base)
-    return nets.linear(nets.max_by(nets.relu(nets.linear(h, p, "p2")), np.concatenate(of), len(batch)), p, "class")
+    """Supervised baseline on neighbour graphs: a layer on every edge's offset and the maximum at each point, once among the nearest
+    points and once more among those with the nearest codes, then over the cloud."""
+    sizes = np.array([len(c) for c in batch])
+    owner, ends = np.repeat(np.arange(len(batch)), sizes), np.cumsum(sizes)
+
+    def edges(codes):
+        """(point, neighbour) rows of the graphs of nearest codes, one cloud after the other."""
+        a, b = [], []
+        for lo, hi in zip(ends - sizes, ends, strict=True):
+            near = nearest_rows(codes[lo:hi], k + 1)
+            a.append(np.repeat(np.arange(lo, hi), near.shape[1]))
+            b.append(near.ravel() + lo)
+        return np.concatenate(a), np.concatenate(b)
+
+    xyz = np.concatenate(batch)[:, :3]
+    a, b = edges(xyz)
+    h = nets.max_by(nets.relu(nets.linear(Var(np.hstack([xyz[a], xyz[b] - xyz[a]])), p, "p1")), a, len(xyz))
+    a, b = edges(h.value)
+    own, other = nets.take(h, a), nets.take(h, b)
+    h = nets.max_by(nets.relu(nets.linear(nets.beside(own, nets.add(other, nets.scale(own, -1.0))), p, "p2")), a, len(xyz))
+    return nets.linear(nets.max_by(nets.relu(nets.linear(h, p, "p3")), owner, len(batch)), p, "class")
+
+
+def nearest_rows(x: np.ndarray, k: int, step: int = 512) -> np.ndarray:
+    """For every row its k nearest rows, itself included, some rows at a time."""
+    k, out = min(k, len(x)), []
+    for lo in range(0, len(x), step):
+        d = (x**2).sum(1)[None] - 2 * x[lo : lo + step] @ x.T
+        out.append(np.argpartition(d, k - 1, axis=1)[:, :k])
+    return np.concatenate(out) if out else np.zeros((0, k), np.int64)
 
 
 def save(spark: SparkSession, params: dict[str, np.ndarray], path: str) -> str:

@@ -191,6 +191,24 @@ def test_missing_part_counts_one(spark):
     assert out.instance_miou_fx == pytest.approx((0.5 + 0.5 + 1 + 3) / 6 * 1e6, abs=1)
 
 
+def test_losses_keep_patches_without_a_prediction(spark):
+    from pointloom.operators import losses
+
+    cols = "sample_id long, ci int, cj int, ck int, slot int, " + ", ".join(f"{c} double" for c in ("x", "y", "z", *losses.RELATIVE))
+    row = lambda cell, slot, v: (1, cell, 0, 0, slot, *[v] * 12)
+    true = spark.createDataFrame([row(0, 0, 0.5), row(0, 3, 0.25), row(1, 2, 1.0)], cols)
+    pred = spark.createDataFrame([row(0, 0, 0.5), row(0, 5, 0.5), row(0, 6, 0.0)], cols)
+    prob = spark.createDataFrame([(0, 0.5), (3, 0.25)], "slot int, p double")
+    apart = losses.relative_mse(true, pred).join(losses.chamfer(true, pred), list(losses.PATCH)).join(losses.occupancy_sparse(true, prob, 2), list(losses.PATCH))
+    once = {r.ci: r for r in losses.patch_terms(true, pred, prob, 2).collect()}
+    for r in apart.collect():
+        assert (r.mse_fx, r.cd_fx, r.occ_fx) == (once[r.ci].mse_fx, once[r.ci].cd_fx, once[r.ci].occ_fx)
+    # the second voxel has no prediction of its slot; the second patch has none at all
+    assert once[0].mse_fx == 9 * 0.0625 * 1e6 / 2 and once[1].mse_fx == 9e6 and once[1].cd_fx == 3e6
+    assert once[0].cd_fx == (0 + 3 * 0.0625 * 1e6) / 2 + (0 + 0 + 3 * 0.0625 * 1e6) / 3 - 0
+    assert losses.total(true, pred, prob, 2).first().n_patches == 2
+
+
 def test_published_arithmetic():
     rows = {r[0]: r for r in baselines.PUBLISHED}
     assert [round(rows[369][k] - rows[366][k], 1) for k in (3, 4, 5)] == [4.5, 4.9, 4.4]

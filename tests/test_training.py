@@ -37,13 +37,76 @@ def test_spark_gradients_equal_one_batch(packed):
 
 
 def test_pretraining_falls_and_finetuning_learns(packed):
-    params, losses = train.pretrain(packed, CFG, steps=6, lr=1e-2)
+    params, losses = train.pretrain(packed, CFG, steps=6, lr=1e-2, accum=1)
     assert losses[-1] < losses[0]
-    model, trace = train.finetune(packed, 2, CFG, steps=12, params=params, lr=2e-2)
+    model, trace = train.finetune(packed, 2, CFG, steps=40, params=params, lr=2e-2)
     assert trace[-1] < trace[0]
     assert workloads._accuracy(train.predict(packed, model, CFG)) > 0.8
 
 
+def test_masks_equal_the_operator(spark):
+    """A cloud's mask is that of the DataFrame operator, in whatever batch it comes."""
+    from pointloom.operators import masking, patch, voxel
+    from pointloom.schema import G16
+
+    rng = np.random.default_rng(4)
+    clouds = {k: rng.random((60, 6)) for k in (3, 8, 1_000_007)}
+    cfg = nets.ModelConfig(grid=16, patch=4)
+    rows = [(k, j, *map(float, p)) for k, pts in clouds.items() for j, p in enumerate(pts)]
+    df = spark.createDataFrame(rows, "sample_id long, point_no long, x double, y double, z double, r double, g double, b double")
+    v = patch.with_slot(voxel.voxelize(voxel.assign(df, G16), "argmax"), 4)
+    want = {(r.sample_id, r.ci, r.cj, r.ck) for r in masking.random_mask(masking.patches_of(v), 60, 5).where("hidden").collect()}
+    got = set()
+    for ids in ([1_000_007], [8, 3]):
+        t = nets.tokens_of(nets.Clouds([clouds[k] for k in ids], np.array(ids)), cfg)
+        hidden = nets.hide(t, 60, 5)
+        got |= {(ids[s], *c) for s, c in zip(t.sample[hidden].tolist(), t.cell[hidden].tolist())}
+    assert got == want and len(want) > 20
+
+
+def test_minibatches_cover_the_corpus_once_an_epoch(packed):
+    n, part = train.minibatches(packed, 7)
+    assert n == 4
+    ids = [{r.sample_id for r in part(step).collect()} for step in range(2 * n)]
+    for epoch in (ids[:n], ids[n:]):
+        assert sorted(x for s in epoch for x in s) == list(range(24))
+    _, losses = train.pretrain(packed, CFG, steps=3, batch=7)
+    assert len(losses) == 3
+
+
+def test_a_cloud_without_points_has_its_class_token(spark):
+    cols = ", ".join(f"{c} array<double>" for c in "xyzrgb")
+    df = spark.createDataFrame([(1, 0, *[[]] * 6), (2, 1, *[[0.1, 0.9]] * 6)], "sample_id long, label int, " + cols)
+    for cfg in (CFG, nets.ModelConfig(blocks=1, width=8, heads=2, decoder_blocks=1, decoder_width=8, decoder_heads=2, group=4)):
+        assert train.features(df, nets.init(cfg), cfg).count() == 2
+        assert len(train.pretrain(df, cfg, steps=1)[1]) == 1
+
+
+def test_nearest_neighbours_break_ties_by_place():
+    from pointloom.operators.baselines import nearest_kernel
+
+    rng = np.random.default_rng(1)
+    x = rng.integers(0, 4, (200, 3)) / 4
+    for k in (1, 5, 200, 300):
+        at, far = nearest_kernel(x, x[:40], k, step=900)
+        d = ((x[:40, None] - x[None]) ** 2).sum(-1)
+        want = np.argsort(d, axis=1, kind="stable")[:, :k]
+        assert np.array_equal(at, want) and np.allclose(far, np.take_along_axis(d, want, axis=1))
+
+
+def test_full_size_encoder_runs():
+    """The published small encoder on its own grid: 12 blocks of 384 channels, 4 096 slot matrices, ragged clouds side by side."""
+    cfg, rng = nets.S, np.random.default_rng(0)
+    shapes = {k: s for k, s in cfg.shapes().items() if k.startswith(("enc.", "slot.", "cls"))}
+    p = {k: nets.Var(np.ones(s, np.float32) if k.endswith(".g") else rng.normal(0, 0.02, s).astype(np.float32)) for k, s in shapes.items()}
+    clouds = [rng.random((n, 6)) for n in (300, 40)]
+    t = nets.tokens_of(clouds, cfg)
+    codes, cls = nets.encode(t, p, cfg)
+    assert cls.value.shape == (2, 384) and codes.value.shape == (len(t.sample), 384) and np.isfinite(cls.value).all()
+    alone = nets.encode(nets.tokens_of(clouds[1:], cfg), p, cfg)[1].value
+    assert np.allclose(alone, cls.value[1:], atol=1e-4)
+
+
 def test_checkpoint_round_trip(spark, tmp_path):
     params = nets.init(CFG)
     back = train.restore(spark, train.save(spark, params, str(tmp_path)))
@@ -62,7 +125,7 @@ def test_episodes(spark):
 def test_supervised_baselines_have_gradients(form):
     rng = np.random.default_rng(2)
     batch = [rng.random((20, 6)) for _ in range(3)]
-    p = {"p1.w": rng.normal(size=(6, 5)), "p1.b": rng.normal(size=5), "p2.w": rng.normal(size=(5, 5)), "p2.b": rng.normal(size=5), "class.w": rng.normal(size=(5, 3)), "class.b": np.zeros(3)}
+    p = {k: rng.normal(size=s) for k, s in train.supervised_shapes(form, 3, 5).items()}
     run = lambda q: nets.gradients(lambda v: (nets.cross_entropy(form(batch, v), np.array([0, 1, 2])), {}), q)
     _, g, _ = run(p)
     for k in p:
@@ -111,6 +174,17 @@ def test_stateful_stream_equals_batch(spark, sf, tmp_path):
     assert sorted(map(tuple, last.collect())) == sorted(map(tuple, want.collect()))
 
 
+def test_stream_table_in_update_mode(spark, sf, tmp_path):
+    """Batches that change a voxel again leave one row of it."""
+    pts = tokens.batch_points(spark, sf).where("sample_id <= 9")
+    src = str(tmp_path / "in")
+    pts.repartition(3).write.parquet(src)
+    stream = spark.readStream.schema(pts.schema).option("maxFilesPerTrigger", 1).parquet(src)
+    out = tokens.run_to_table(spark, tokens.voxel_counts(stream), f"file://{tmp_path}/run", ["sample_id", "vi", "vj", "vk"], "n_points")
+    want = tokens.voxel_counts(pts)
+    assert sorted(map(tuple, out.select(*want.columns).collect())) == sorted(map(tuple, want.collect()))
+
+
 def test_late_and_replayed_events(spark, tmp_path):
     src = str(tmp_path / "e")
     schema = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
