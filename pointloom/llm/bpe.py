@@ -61,7 +61,7 @@ def _encoder(ranks, pattern):
     """Each distinct word of a bucket is encoded once; every block gets its words' ids."""
     held = []
 
-    def answer(bucket, words, totals, own):
+    def answer(bucket, words, own):
         if not held:
             held.append(tokenizer(ranks.value, pattern)[0])
         ids = [held[0].encode_ordinary(w.decode()) for w in words]

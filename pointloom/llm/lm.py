@@ -1,26 +1,31 @@
-"""LM scoring by a Katz backoff bigram model with Good-Turing discounts and exactly normalised backoff weights.
+"""LM scoring by a Katz backoff model of any order with Good-Turing discounts and exactly normalised backoff weights.
 
 ``P(w)``: discounted counts over all training tokens; the mass that discounting frees is the probability of the one
-unknown word, so the known words and it sum to 1. ``P(w | h)``: the discounted count of (h, w) over the count of h where
-the pair was seen, else ``alpha(h) P(w)`` with ``alpha(h)`` = what discounting freed in h over the unigram mass of all words
-not seen after h. A text starts in a context of its own and ends with one end token.
+unknown word, so the known words and it sum to 1. ``P(w | h)`` for a context ``h`` of one or more words: the discounted count of
+(h, w) over the count of h where that was seen, else ``alpha(h) P(w | h without its oldest word)``, with ``alpha(h)`` = what
+discounting freed in h over the shorter context's mass of all words not seen after h. A context that was never seen leaves
+everything to the shorter one. A text starts in a context of its own (its first words have that many words less) and ends with
+one end token.
 
-Tables are partitioned by a hash of the context and hold arrays, never one row a token:
+Tables are partitioned by the last word of the context and hold arrays, never one row a token. Every shorter context ends in
+the same word, so the whole recursion is evaluated inside a partition, and the counts of the lower orders are sums there:
 
 1. Distinct words meet by a shuffle (:mod:`pointloom.llm.wordshuffle`): training counts are summed, words numbered, and both
    go back to the texts' chunks.
-2. By chunk, the distinct pairs with their training counts and the documents that hold them are dealt to the partition
-   of their context, one block a chunk and partition.
-3. A partition merges its blocks into the pair counts. One job sums the counts of counts, from which the discounts
-   follow; a second job, over the same shuffled blocks, forms the backoff weights, evaluates every pair and adds
+2. By chunk, the distinct n-grams with their training counts and the documents that hold them are dealt to the partition
+   of their context's last word, one block a chunk and partition.
+3. A partition merges its blocks into the tables of all orders. One job sums the counts of counts, from which the discounts
+   follow; a second job, over the same shuffled blocks, forms the backoff weights order by order, evaluates every n-gram and adds
    up each document's part.
 4. The parts of a document meet by chunk.
 
-A context that holds more than ``HOT`` of all tokens is spread over ``SPREAD`` partitions by its next word; its
-sums are added up from the parts. There are at most 1 / HOT such contexts, so these sums have a proven bound.
+Frequent words are spread: a context that ends in one of them goes to a partition by its second last word (or, where it has
+none, by the next word). Longer contexts are then still whole; only the table of pairs after such a word is cut up. Its
+counts are taken in step 1, where a word's partition also counts what frequent words stand before it, and its sums (at most
+``MOST_HOT`` rows) are sent to all. Which words count as frequent is read off a sample; it changes places, never results.
 
-Good-Turing: counts up to ``CUT`` are discounted as usual; where a count of counts is zero or a discount leaves (0, 1], the
-discount is 1 - 0.5 / r. A context without any discounted count keeps 1 / (count + 1) for unseen words.
+Good-Turing: counts up to ``CUT`` are discounted as usual, for each order by itself; where a count of counts is zero or a discount
+leaves (0, 1], the discount is 1 - 0.5 / r. A context without any discounted count keeps 1 / (count + 1) for unseen words.
 
 Defined cases: null and empty texts are one end token; a null doc_id is a training row; repeated rows count as often as
 they occur; without training rows every word is unknown with probability 1 (scores 0); an empty table gives an empty
@@ -39,17 +44,21 @@ from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
 from pointloom.llm.common import lean, materialize
-from pointloom.llm.wordshuffle import BLOCK, assembled, by_bucket, by_chunk, merge_blocks, n_buckets, pack, position_rows, source, unpack, word_blocks
+from pointloom.llm.wordshuffle import BLOCK, Codes, assembled, by_bucket, by_chunk, chunks, n_buckets, pack, position_rows, row_of, source, unpack
 
+ORDER = 3
 CUT = 5
-HOT = 0.001
-SPREAD = 64
+#: A word of more than this share of the sample's tokens is spread over ``SPREAD`` partitions; the sample's documents, and
+#: the most words that are spread.
+HOT, SPREAD, SAMPLE, MOST_HOT = 0.001, 64, 5_000, 1_000
 #: Buckets of contexts in a partition, merged one after the other, and the document sums that a task holds.
-BUCKETS, HELD_DOCS = 8, 2_000_000
+BUCKETS, HELD_DOCS = 4, 2_000_000
+#: Keys are numbers below this.
+WIDE = 2**62
 #: The end token; no word is empty.
 END = b""
-#: The number of the starting context; words are numbered from 1.
-START = 0
+#: The number of the starting context; words are numbered from 1. No word further back: NO_WORD.
+START, NO_WORD = 0, -1
 
 
 # the model -----------------------------------------------------------------------------------------------------
@@ -85,10 +94,9 @@ class Unigrams:
 
 
 def context_sums(h: np.ndarray, r: np.ndarray, p: np.ndarray):
-    """Of training pairs in order of context: distinct contexts and, a row each, [count, m_1..m_CUT, unigram mass]."""
-    at = np.flatnonzero(np.concatenate(([True], h[1:] != h[:-1]))) if len(h) else np.zeros(0, np.int64)
-    cols = [r, *((r == k) for k in range(1, CUT + 1)), p]
-    return h[at], np.stack([np.add.reduceat(np.asarray(x, np.float64), at) if len(at) else np.zeros(0) for x in cols], axis=1)
+    """Of contexts (numbered from 0), a row each: [count, m_1..m_CUT, the shorter context's mass] of what was seen after it."""
+    n, cols = int(h.max(initial=-1)) + 1, [r, *((r == k) for k in range(1, CUT + 1)), np.where(r > 0, p, 0)]
+    return np.stack([np.bincount(h, x, n) for x in cols], axis=1)
 
 
 def backoff(sums: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -100,10 +108,11 @@ def backoff(sums: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.where(count > 0, freed / np.maximum(1 - mass, 1e-300), 1.0), keep
 
 
-def pair_logs(r, c, count, alpha, keep, d, uni: Unigrams) -> np.ndarray:
-    """log10 P(w | h): the pair's own count first, else one step back to the word alone."""
-    seen = keep * d[np.minimum(r, CUT + 1)] * r / np.maximum(count, 1)
-    return np.log10(np.where(r > 0, seen, alpha * uni.p(c)))
+def level_p(h, r, sums, lower, d) -> np.ndarray:
+    """P(w | h) of one order: the own count first, else one step back to ``lower``; ``h`` numbers the rows of ``sums``."""
+    alpha, keep = backoff(sums, d)
+    seen = keep[h] * d[np.minimum(r, CUT + 1)] * r / np.maximum(sums[h, 0], 1)
+    return np.where(r > 0, seen, alpha[h] * lower)
 
 
 # chunks --------------------------------------------------------------------------------------------------------
@@ -122,37 +131,120 @@ def word_of(key: bytes) -> bytes:
     return key
 
 
-def _training_counts(ids, ends, codes, n_words):
-    train = np.array([trains(i) for i in ids])
-    return np.bincount(codes[np.repeat(train, np.diff(ends, prepend=0))], minlength=n_words)
+def frequent_words(docs: DataFrame) -> list[bytes]:
+    """Words of a sample of the documents that are frequent there."""
+    some = min(1.0, SAMPLE / max(1, docs.count()))
+    share = F.pmod(F.xxhash64(F.lit(3), "doc_id", "text"), F.lit(1_000_003)) < int(1_000_003 * some)
 
+    def run(batches):
+        for b in batches:
+            for text in b.column(0):
+                words, n = np.unique(np.array(keys(text.as_py() or ""), object), return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(words.tolist(), pa.binary()), pa.array(n.astype(np.int64))], ["word", "n"])
+
+    counts = materialize(docs.where(share).select(F.col("text").cast("string")).mapInArrow(lean(run), "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
+    total = counts.agg(F.sum("n")).first()[0] or 0
+    rows = counts.where((F.col("n") > HOT * total) & (F.length("word") > 0)).orderBy(F.col("n").desc(), "word").limit(MOST_HOT - 1).collect()
+    return [bytes(r["word"]) for r in rows]
+
+
+def _after_hot(ends: np.ndarray, codes: np.ndarray, hot_of: np.ndarray, n_hot: int, train: np.ndarray):
+    """Of a chunk's tokens: sorted distinct (word, frequent word before it) as word * n_hot + number, and their training counts.
+    Number 0 is the start of a text."""
+    starts = ends - np.diff(ends, prepend=0)
+    before = np.concatenate(([0], hot_of[codes[:-1]]))
+    before[starts] = 0
+    at = np.flatnonzero(before >= 0)
+    pairs, of = np.unique(codes[at].astype(np.int64) * n_hot + before[at], return_inverse=True)
+    return pairs, np.bincount(of, train[at], len(pairs)).astype(np.int64)
 
-def _numbered(buckets: int):
-    """Every block gets its words' training counts and numbers, and one row a bucket (chunk -1) has the sums:
-    distinct words, tokens, and how many words were seen 1..CUT + 1 times."""
 
-    def answer(bucket, words, totals, own):
-        gid = np.arange(len(words)) * buckets + bucket + 1
-        for codes in own:
-            yield pack(totals[codes], gid[codes])
+def _hot_numbers(words: list[bytes], hot: dict[bytes, int]) -> np.ndarray:
+    return np.fromiter((hot.get(w, -1) for w in words), np.int64, len(words))
+
+
+def _word_blocks(hot: dict[bytes, int], buckets: int):
+    """A block a chunk and bucket: the words, their training counts, and pairs with frequent words before them."""
+    n_hot = len(hot) + 1
 
     def run(batches):
-        distinct = tokens = 0
-        n = np.zeros(CUT + 2, np.int64)
+        for chunk, words, bounds, ids, ends, codes in chunks(batches, keys, word_of, buckets):
+            train = np.repeat(np.array([trains(i) for i in ids]), np.diff(ends, prepend=0))
+            n = np.bincount(codes[train], minlength=len(words))
+            pairs, r = _after_hot(ends, codes, _hot_numbers(words, hot), n_hot, train)
+            cuts = np.searchsorted(pairs, bounds * n_hot)
+            for k in range(buckets):
+                part = words[bounds[k] : bounds[k + 1]]
+                if part:
+                    sizes, mine = np.fromiter(map(len, part), np.int64, len(part)), slice(cuts[k], cuts[k + 1])
+                    own = pairs[mine] - bounds[k] * n_hot
+                    yield row_of(k, chunk, pack(sizes, np.frombuffer(b"".join(part), np.uint8), n[bounds[k] : bounds[k + 1]], (own // n_hot).astype(np.uint32), (own % n_hot).astype(np.uint16), r[mine].astype(np.uint32)))
 
-        def watched(bucket, words, totals, own):
-            nonlocal distinct, tokens
-            distinct, tokens = distinct + int((totals > 0).sum()), tokens + int(totals.sum())
-            n[:] += np.bincount(totals[(totals > 0) & (totals <= CUT + 1)], minlength=CUT + 2)
-            return answer(bucket, words, totals, own)
+    return run
 
-        yield from merge_blocks(watched)(batches)
-        yield pa.RecordBatch.from_arrays([pa.array([-2], pa.int32()), pa.array([-1], pa.int64()), pa.array([pack(np.array([distinct, *n[1:].tolist(), tokens]))], pa.binary())], ["bucket", "chunk", "data"])
+
+def _numbered(buckets: int, n_hot: int):
+    """Every block gets its words' training counts and numbers and its pairs' counts. A row of bucket -2 a task has the sums: distinct
+    words, tokens, how many words were seen 1..CUT + 1 times; one of bucket -3 has, by frequent word, the sums over what stands
+    after it: counts, m_1..m_CUT + 1, words seen 1..CUT times, and the tokens of all others."""
+
+    def run(batches):
+        distinct = tokens = 0
+        n, after = np.zeros(CUT + 2, np.int64), np.zeros((n_hot, 2 * CUT + 3), np.int64)
+        for bucket, rows in groupby((r for b in batches for r in b.to_pylist()), key=lambda r: r["bucket"]):
+            table, names, own, counts, pairs, seen = Codes(), [], [], [], [], []
+            for r in rows:
+                sizes, text, count, word, before, times = unpack(r["data"])
+                text, ends = text.tobytes(), np.cumsum(sizes).tolist()
+                codes = np.array([table[text[a:b]] for a, b in zip([0, *ends], ends)], np.int64)
+                names.append(r["chunk"])
+                own.append(codes)
+                counts.append(count)
+                pairs.append(codes[word] * n_hot + before)
+                seen.append(times)
+            totals = np.bincount(np.concatenate(own), np.concatenate(counts), len(table)).astype(np.int64)
+            keys_, of = np.unique(np.concatenate(pairs), return_inverse=True)
+            c2 = np.bincount(of, np.concatenate(seen), len(keys_)).astype(np.int64)
+            distinct, tokens = distinct + int((totals > 0).sum()), tokens + int(totals.sum())
+            n += np.bincount(totals[(totals > 0) & (totals <= CUT + 1)], minlength=CUT + 2)
+            known = c2 > 0
+            h, r, c = (keys_ % n_hot)[known], c2[known], totals[keys_ // n_hot][known]
+            columns = [r, *(r == k for k in range(1, CUT + 2)), *(c == k for k in range(1, CUT + 1)), np.where(c > CUT, c, 0)]
+            after += np.stack([np.bincount(h, x, n_hot).astype(np.int64) for x in columns], axis=1)
+            lo = 0
+            for chunk, codes, p in zip(names, own, pairs, strict=True):
+                gid = codes * buckets + bucket + 1
+                yield row_of(bucket, chunk, pack(totals[codes], gid, c2[of[lo : lo + len(p)]].astype(np.uint32)))
+                lo += len(p)
+        yield row_of(-2, -1, pack(np.array([distinct, *n[1:].tolist(), tokens])))
+        at = np.flatnonzero(after.any(axis=1))
+        yield row_of(-3, -1, pack(at, after[at].ravel()))
 
     return run
 
 
-# pairs ---------------------------------------------------------------------------------------------------------
+def _hot_sums(counted: DataFrame, n_hot: int, uni: Unigrams) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of :func:`context_sums` of the frequent words, and how many pairs after them were seen 0..CUT + 1 times."""
+
+    def run(batches):
+        for b in batches:
+            for data in b.column(0):
+                at, values = unpack(data.as_py())
+                values = values.reshape(len(at), 2 * CUT + 3)
+                yield pa.RecordBatch.from_arrays([pa.array(at), *map(pa.array, np.ascontiguousarray(values.T))], ["h", *(f"x{k}" for k in range(2 * CUT + 3))])
+
+    names = [f"x{k}" for k in range(2 * CUT + 3)]
+    rows = counted.where("bucket = -3").select("data").mapInArrow(lean(run), "h long, " + ", ".join(f"{x} long" for x in names))
+    total = np.zeros((n_hot, 2 * CUT + 3), np.int64)
+    # at most MOST_HOT rows
+    for r in rows.groupBy("h").agg(*[F.sum(x).alias(x) for x in names]).collect():
+        total[r["h"]] = [r[x] for x in names]
+    few = uni.p(np.arange(1, CUT + 1))
+    mass = total[:, CUT + 2 : 2 * CUT + 2] @ few + uni.scale * total[:, -1] / max(1, uni.tokens)
+    return np.hstack([total[:, : CUT + 1].astype(np.float64), mass[:, None]]), np.concatenate(([0], total[:, 1 : CUT + 2].sum(axis=0)))
+
+
+# n-grams -------------------------------------------------------------------------------------------------------
 
 
 def _spread(x: np.ndarray) -> np.ndarray:
@@ -160,11 +252,42 @@ def _spread(x: np.ndarray) -> np.ndarray:
     return (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(32)
 
 
-def _deal(uni: Unigrams, parts: int, n_train: int):
-    """A chunk's positions and its words' counts and numbers -> blocks of pairs, and one row of document sums."""
+def _dense(key: np.ndarray) -> tuple[np.ndarray, int]:
+    """Numbers 0, 1, ... in the order of the keys, and how many there are."""
+    order = np.argsort(key)
+    at = key[order]
+    rank = np.cumsum(np.concatenate(([False], at[1:] != at[:-1]))[: len(at)])
+    out = np.empty(len(key), np.int64)
+    out[order] = rank
+    return out, int(rank[-1]) + 1 if len(rank) else 1
+
+
+def _distinct(columns: list[np.ndarray], widths: list[int]) -> tuple[np.ndarray, np.ndarray]:
+    """Order of the rows by their columns, and where in it new rows start. Columns are folded into one number; where that would grow
+    too large, what there is so far is numbered anew."""
+    key, total = columns[0].astype(np.int64), widths[0]
+    for c, w in zip(columns[1:], widths[1:], strict=True):
+        if total * w >= WIDE:
+            key, total = _dense(key)
+            if total * w >= 2**63:
+                c, w = _dense(c)
+        key, total = key * w + c, total * w
+    order = np.argsort(key)
+    key = key[order]
+    return order, np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1]))[: len(key)])
+
 
-    def done(chunk, ids, ends, codes, n_words, answers):
-        c, gid = (np.concatenate(x) for x in zip(*map(unpack, answers), strict=True))
+def _narrow(x: np.ndarray) -> np.ndarray:
+    """Numbers that are not negative in the smallest type that holds them."""
+    most = x.max(initial=0)
+    return x.astype(np.uint8 if most < 1 << 8 else np.uint16 if most < 1 << 16 else np.uint32 if most < 1 << 32 else np.int64)
+
+
+def _deal(uni: Unigrams, parts: int, order: int, n_hot: int):
+    """A chunk's positions and its words' counts and numbers -> blocks of n-grams, and one row of document sums."""
+
+    def done(chunk, ids, ends, codes, n_words, hot_of, answers):
+        c, gid, c2 = (np.concatenate(x) for x in zip(*map(unpack, answers), strict=True))
         if len(c) != n_words:
             raise RuntimeError("two reads of the documents differ; write them to a table first")
         size = np.diff(ends, prepend=0)
@@ -173,68 +296,143 @@ def _deal(uni: Unigrams, parts: int, n_train: int):
         token_c = c[codes]
         sums = (size, np.add.reduceat((token_c > 0).astype(np.int64), starts), np.add.reduceat(uni.base(c)[codes], starts))
         yield -1 - chunk % parts, chunk, pickle.dumps((ids, *sums))
-        # words by number: rank 0 is the starting context
         codes = codes.astype(np.int64)
-        order = np.argsort(gid)
+        # the pairs after frequent words, in the order in which their counts came
+        hot_of = hot_of.astype(np.int64)
+        pairs, _ = _after_hot(ends, codes, hot_of, n_hot, train[doc])
+        if len(pairs) != len(c2):
+            raise RuntimeError("two reads of the documents differ; write them to a table first")
+        # words by number: 0 is no word, 1 the starting context, and the words follow in order of gid
+        by_gid = np.argsort(gid)
         rank = np.empty(len(gid), np.int64)
-        rank[order] = np.arange(1, len(gid) + 1)
-        by_rank_gid, by_rank_c = np.concatenate(([START], gid[order])), np.concatenate(([n_train], c[order]))
-        w = rank[codes]
-        h = np.concatenate(([0], w[:-1]))
-        h[starts] = 0
-        wide, docs = len(gid) + 1, len(ids)
-        if wide * wide * docs < 2**62:
-            key, times = np.unique((h * wide + w) * docs + doc, return_counts=True)
-            pair, of = key // docs, (key % docs).astype(np.uint32)
-        else:
-            at = np.lexsort((doc, w, h))
-            pair, of = (h * wide + w)[at], doc[at]
-            new = np.flatnonzero(np.concatenate(([True], (pair[1:] != pair[:-1]) | (of[1:] != of[:-1]))))
-            times, pair, of = np.diff(np.append(new, len(at))), pair[new], of[new].astype(np.uint32)
-        first = np.flatnonzero(np.concatenate(([True], pair[1:] != pair[:-1])))
-        held_by = np.diff(np.append(first, len(pair)))
+        rank[by_gid] = np.arange(2, len(gid) + 2)
+        rank_gid = np.concatenate(([NO_WORD, START], gid[by_gid]))
+        w, place = rank[codes], np.arange(len(codes)) - starts[doc]
+        history = []
+        for back in range(1, order):
+            h = np.concatenate((np.zeros(back, np.int64), w[:-back]))[: len(w)]
+            h[place == back - 1] = 1
+            h[place < back - 1] = 0
+            history.append(h)
+        wide = len(gid) + 2
+        by, at = _distinct([*history, w, doc], [wide] * order + [len(ids)])
+        times = np.diff(np.append(at, len(by)))
+        by = by[at]
+        grams = [x[by] for x in (*history, w)]
+        new = np.zeros(len(by), bool)
+        new[:1] = True
+        for g in grams:
+            new[1:] |= g[1:] != g[:-1]
+        first = np.flatnonzero(new)
+        held_by, of = np.diff(np.append(first, len(by))), doc[by].astype(np.uint32)
         n = np.add.reduceat(times * train[of], first)
-        h, w = pair[first] // wide, pair[first] % wide
-        hg, wg, cw = by_rank_gid[h], by_rank_gid[w], by_rank_c[w]
-        hot = by_rank_c[h] > HOT * uni.tokens
-        bucket = ((_spread(hg) + np.where(hot, _spread(wg) % SPREAD, 0).astype(np.uint64)) % np.uint64(parts)).astype(np.int64)
-        by = np.argsort(bucket, kind="stable")
+        grams = [rank_gid[g[first]] for g in grams]
+        code = codes[by[first]]
+        before = np.where(grams[0] == START, 0, hot_of[codes[np.maximum(by[first] - 1, 0)]])
+        is_hot = before >= 0
+        known = np.zeros(len(first), np.int64)
+        known[is_hot] = c2[np.searchsorted(pairs, code[is_hot] * n_hot + before[is_hot])]
+        # a frequent word's contexts are dealt by the word before it, or, where it starts the context, by the next word
+        further = grams[1] if order > 2 else np.full(len(first), NO_WORD)
+        salt = np.where(further != NO_WORD, further, grams[-1])
+        bucket = ((_spread(grams[0]) + np.where(is_hot, _spread(salt) % SPREAD, 0).astype(np.uint64)) % np.uint64(parts)).astype(np.int64)
+        # everything in order of the buckets once, so that a block is a slice of each array
+        by = np.argsort(bucket.astype(np.uint32), kind="stable")
         bounds = np.searchsorted(bucket[by], np.arange(parts + 1))
-        entry = np.concatenate(([0], np.cumsum(held_by)))
+        held_by, is_hot = held_by[by], is_hot[by]
+        upto = np.concatenate(([0], np.cumsum(held_by)))
+        take = np.repeat(first[by] - upto[:-1], held_by) + np.arange(int(upto[-1]))
+        step = np.diff(grams[0][by], prepend=0)
+        filled = bounds[:-1][bounds[:-1] < bounds[1:]]
+        step[filled] = grams[0][by][filled]
+        each = [_narrow(x) for x in (step, *(g[by] + 1 for g in grams[1:]), c[code[by]], n[by], before[by] + 1)]
+        hot_upto, hot_known = np.concatenate(([0], np.cumsum(is_hot))), _narrow(known[by][is_hot])
+        length, of, times = _narrow(held_by), _narrow(of[take]), _narrow(times[take])
         for k in range(parts):
-            mine = by[bounds[k] : bounds[k + 1]]
-            if not len(mine):
-                continue
-            length = held_by[mine]
-            take = np.repeat(entry[mine] - (np.cumsum(length) - length), length) + np.arange(int(length.sum()))
-            yield k, chunk, pack(
-                np.diff(hg[mine], prepend=0), wg[mine], cw[mine], n[mine].astype(np.uint32), hot[mine], length.astype(np.uint32), of[take], times[take].astype(np.uint32), np.array([docs], np.int64)
-            )
+            lo, hi = bounds[k], bounds[k + 1]
+            if lo < hi:
+                own, entries = slice(lo, hi), slice(upto[lo], upto[hi])
+                yield k, chunk, pack(*(x[own] for x in each), hot_known[hot_upto[lo] : hot_upto[hi]], length[own], of[entries], times[entries], np.array([len(ids)], np.int64))
 
     def run(batches):
         for part in assembled(batches):
             for bucket, chunk, blob in done(*part):
-                yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([chunk], pa.int64()), pa.array([blob], pa.binary())], ["bucket", "chunk", "data"])
+                yield row_of(bucket, chunk, blob)
 
     return run
 
 
 class _Merged:
-    """The pair table of one partition, merged from the blocks of all chunks."""
-
-    def __init__(self, blocks: list[list[np.ndarray]]):
-        self.h, self.w, self.c, n, self.hot = (np.concatenate([b[k] for b in blocks]) for k in range(5))
-        if len(self.h) and max(self.h.max(), self.w.max()) < 2**31:
-            order = np.argsort((self.h << np.int64(32)) | self.w)
-        else:
-            order = np.lexsort((self.w, self.h))
-        h, w = self.h[order], self.w[order]
-        at = np.flatnonzero(np.concatenate(([True], (h[1:] != h[:-1]) | (w[1:] != w[:-1]))))
-        r = np.add.reduceat(n[order].astype(np.int64), at)
-        self.r = np.empty(len(order), np.int64)
-        self.r[order] = np.repeat(r, np.diff(np.append(at, len(order))))
-        known = r > 0
-        self.train = (h[at][known], w[at][known], r[known], self.c[order][at][known], self.hot[order][at][known])
+    """The tables of all orders of one bucket, merged from the blocks of all chunks, whose words are numbered one up.
+
+    ``grams``: the distinct n-grams, a column for each word back and the next word last; ``of``: which of them an entry of the
+    blocks is; ``levels``: for order 2, 3, ... the rows (n-grams that have such a context), their entry in the table of that
+    order, and of that table the number of the context, the training count, a row's n-gram and the number among frequent words.
+    """
+
+    def __init__(self, blocks: list[list[np.ndarray]], order: int):
+        columns = [np.concatenate([b[k] for b in blocks]).astype(np.int64) for k in range(order)]
+        c, n, before = (np.concatenate([b[order + k] for b in blocks]) for k in range(3))
+        known = np.zeros(len(c), np.int64)
+        known[before > 0] = np.concatenate([b[order + 3] for b in blocks])
+        by, at = _distinct(columns, [int(x.max(initial=0)) + 1 for x in columns])
+        self.of = np.empty(len(by), np.int64)
+        count = np.diff(np.append(at, len(by)))
+        self.of[by] = np.repeat(np.arange(len(at)), count)
+        first = by[at]
+        self.grams, self.c = [x[first] - 1 for x in columns], c[first].astype(np.int64)
+        r, hot, known = np.add.reduceat(n[by].astype(np.int64), at) if len(at) else at, before[first].astype(np.int64) - 1, known[first]
+        self.levels = []
+        for level in range(2, order + 1):
+            rows = np.flatnonzero(self.grams[level - 2] != NO_WORD)
+            if level == order:
+                # the n-grams themselves, which are distinct and in order
+                entry, total, one = np.arange(len(rows)), r[rows], rows
+            else:
+                cols = [self.grams[k][rows] + 1 for k in range(level - 1)] + [self.grams[-1][rows]]
+                by, at = _distinct(cols, [int(x.max(initial=0)) + 2 for x in cols])
+                entry = np.empty(len(by), np.int64)
+                entry[by] = np.repeat(np.arange(len(at)), np.diff(np.append(at, len(by))))
+                total = np.add.reduceat(r[rows][by], at) if len(at) else at
+                one = rows[by[at]]
+            if level == 2:
+                total = np.where(hot[one] >= 0, known[one], total)
+            new = np.zeros(len(one), bool)
+            new[:1] = True
+            for k in range(level - 1):
+                x = self.grams[k][one]
+                new[1:] |= x[1:] != x[:-1]
+            self.levels.append((rows, entry, np.cumsum(new) - 1, total, one, hot[one]))
+
+    def counts(self) -> np.ndarray:
+        """A row an order: how many of its n-grams were seen 0..CUT + 1 times; pairs after frequent words are counted elsewhere."""
+        out = []
+        for level, (_, _, _, r, _, hot) in enumerate(self.levels, 2):
+            r = r[hot < 0] if level == 2 else r
+            out.append(np.bincount(r[(r > 0) & (r <= CUT + 1)], minlength=CUT + 2))
+        return np.array(out)
+
+    def tables(self, uni: Unigrams, d: list[np.ndarray], hot_sums: np.ndarray):
+        """For each order: (context numbers, counts, first rows, sums of the contexts, P of the table's n-grams)."""
+        p = uni.p(self.c)
+        for level, ((rows, entry, h, r, one, hot), own) in enumerate(zip(self.levels, d, strict=True), 2):
+            lower = p[one]
+            sums = context_sums(h, r, lower)
+            if level == 2:
+                first = np.flatnonzero(np.diff(h, prepend=-1))
+                spread = hot[first] >= 0
+                sums[spread] = hot_sums[hot[first][spread]]
+            q = level_p(h, r, sums, lower, own)
+            yield h, r, one, sums, q
+            p = p.copy()
+            p[rows] = q[entry]
+
+    def logs(self, uni, d, hot_sums) -> np.ndarray:
+        """log10 P of every distinct n-gram, from the longest context that it has."""
+        p = uni.p(self.c)
+        for (rows, entry, *_), (*_, q) in zip(self.levels, self.tables(uni, d, hot_sums), strict=True):
+            p[rows] = q[entry]
+        return np.log10(p)
 
 
 def _blocks(rows):
@@ -246,32 +444,26 @@ def _blocks(rows):
         blocks = []
         for row in own:
             arrays = unpack(bytes(row["data"]))
-            arrays[0] = np.cumsum(arrays[0])
+            arrays[0] = np.cumsum(arrays[0], dtype=np.int64) + 1
             blocks.append((row["chunk"], arrays))
         yield bucket, blocks
 
 
-def _count(uni: Unigrams):
-    """First job: counts of counts, and the sums of hot contexts in this partition."""
+def _count(order: int):
+    """First job: counts of counts of every order."""
 
     def run(rows):
-        n, hot = np.zeros(CUT + 2, np.int64), {}
+        n = np.zeros((order - 1, CUT + 2), np.int64)
         for bucket, blocks in _blocks(rows):
-            if bucket < 0:
-                continue
-            m = _Merged([a for _, a in blocks])
-            h, _, r, c, is_hot = m.train
-            n += np.bincount(r[r <= CUT + 1], minlength=CUT + 2)
-            names, sums = context_sums(h[is_hot], r[is_hot], uni.p(c[is_hot]))
-            for name, s in zip(names.tolist(), sums, strict=True):
-                hot[name] = hot.get(name, 0) + s
-        yield n, hot
+            if bucket >= 0:
+                n += _Merged([a for _, a in blocks], order).counts()
+        yield n
 
     return run
 
 
-def _evaluate(uni: Unigrams, d: np.ndarray, hot: dict):
-    """Second job: every pair's log probability, added up by document of each chunk."""
+def _evaluate(order: int, uni: Unigrams, d: list[np.ndarray], hot_sums: np.ndarray):
+    """Second job: every n-gram's log probability, added up by document of each chunk."""
 
     def emit(held):
         for chunk, part in held.items():
@@ -286,24 +478,13 @@ def _evaluate(uni: Unigrams, d: np.ndarray, hot: dict):
                 for row in blocks:
                     yield Row(chunk=row["chunk"], sums=True, data=row["data"])
                 continue
-            m = _Merged([a for _, a in blocks])
-            h, _, r, c, is_hot = m.train
-            names, sums = context_sums(h[~is_hot], r[~is_hot], uni.p(c[~is_hot]))
-            if hot:
-                names, sums = np.concatenate([names, np.array(list(hot), np.int64)]), np.concatenate([sums, np.array(list(hot.values()))])
-                order = np.argsort(names)
-                names, sums = names[order], sums[order]
-            alpha, keep = backoff(sums, d)
-            at = np.searchsorted(names, m.h)
-            known = at < len(names)
-            known[known] = names[at[known]] == m.h[known]
-            at = np.where(known, at, 0)
-            pick = lambda x, other: np.where(known, x[at], other) if len(x) else np.full(len(at), other)
-            logs = pair_logs(m.r, m.c, pick(sums[:, 0], 0.0), pick(alpha, 1.0), pick(keep, 1.0), d, uni)
+            m = _Merged([a for _, a in blocks], order)
+            logs = m.logs(uni, d, hot_sums)[m.of]
             lo = 0
             for chunk, a in blocks:
                 own, lo = logs[lo : lo + len(a[0])], lo + len(a[0])
-                part = np.bincount(a[6], np.repeat(own, a[5]) * a[7], minlength=int(a[8][0]))
+                length, of, times, docs = a[-4:]
+                part = np.bincount(of, np.repeat(own, length) * times, minlength=int(docs[0]))
                 if chunk in held:
                     held[chunk] += part
                 else:
@@ -350,96 +531,97 @@ SCHEMA = "doc_id long, held_out boolean, n_tokens long, n_known long, train_toke
 
 
 class Model:
-    """The fitted model of a corpus: discounts, sums of hot contexts, and the shuffled blocks that the tables are made of."""
+    """The fitted model of a corpus: discounts, sums of frequent contexts, and the shuffled blocks that the tables are made of."""
 
-    def __init__(self, docs: DataFrame):
+    def __init__(self, docs: DataFrame, order: int = ORDER):
+        if order < 2:
+            raise ValueError("the order is 2 or more")
         spark = docs.sparkSession
-        self.spark, self.n = spark, n_buckets(docs)
+        self.spark, self.n, self.order = spark, n_buckets(docs), order
         self.width = int(spark.conf.get("spark.sql.shuffle.partitions"))
         rows = source(docs)
-        self.words = by_bucket(rows.mapInArrow(lean(word_blocks(keys, word_of, self.n, _training_counts)), BLOCK))
-        counted = materialize(self.words.mapInArrow(lean(_numbered(self.n)), BLOCK))
+        hot = {w: k for k, w in enumerate(frequent_words(docs), 1)}
+        n_hot = len(hot) + 1
+        self.words = by_bucket(rows.mapInArrow(lean(_word_blocks(hot, self.n)), BLOCK))
+        counted = materialize(self.words.mapInArrow(lean(_numbered(self.n, n_hot)), BLOCK))
         # one small row a task
         stats = sum((unpack(bytes(r["data"]))[0] for r in counted.where("bucket = -2").select("data").collect()), np.zeros(CUT + 3, np.int64))
         self.uni = Unigrams(np.concatenate(([0], stats[1 : CUT + 2])), int(stats[CUT + 2]), int(stats[0]))
-        n_train = docs.where(~F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2, F.lit(False))).count()
-        positions = rows.mapInArrow(lean(position_rows(keys, word_of, self.n)), BLOCK)
-        blocks = by_chunk(counted.where("bucket >= 0"), positions).mapInArrow(lean(_deal(self.uni, BUCKETS * self.width, n_train)), BLOCK)
+        self.hot_sums, hot_counts = _hot_sums(counted, n_hot, self.uni)
+        positions = rows.mapInArrow(lean(position_rows(keys, word_of, self.n, lambda words: _hot_numbers(words, hot).astype(np.int16))), BLOCK)
+        blocks = by_chunk(counted.where("bucket >= 0"), positions).mapInArrow(lean(_deal(self.uni, BUCKETS * self.width, order, n_hot)), BLOCK)
         self.blocks = blocks.repartition(self.width, "bucket").sortWithinPartitions("bucket")
         # two jobs read the same shuffled blocks: an RDD keeps its shuffle, a plan would be run again
         self.dealt = self.blocks.rdd
-        counts, self.hot = np.zeros(CUT + 2, np.int64), {}
-        for part_n, part_hot in self.dealt.mapPartitions(_count(self.uni)).collect():
-            counts += part_n
-            for name, sums in part_hot.items():
-                self.hot[name] = self.hot.get(name, 0) + sums
-        self.d = discounts(counts)
+        counts = sum(self.dealt.mapPartitions(_count(order)).collect(), np.zeros((order - 1, CUT + 2), np.int64))
+        counts[0] += hot_counts
+        self.d = [discounts(n) for n in counts]
 
 
-def lm_report(docs: DataFrame) -> DataFrame:
+def lm_report(docs: DataFrame, order: int = ORDER) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row."""
-    m = Model(docs)
-    parts = m.spark.createDataFrame(m.dealt.mapPartitions(_evaluate(m.uni, m.d, m.hot)), "chunk long, sums boolean, data binary")
+    m = Model(docs, order)
+    parts = m.spark.createDataFrame(m.dealt.mapPartitions(_evaluate(order, m.uni, m.d, m.hot_sums)), "chunk long, sums boolean, data binary")
     return parts.repartition("chunk").sortWithinPartitions("chunk", F.col("sums").desc()).mapInArrow(lean(_finish(m.uni)), SCHEMA)
 
 
 def _word_rows(uni: Unigrams, buckets: int):
-    def run(batches):
-        made = []
+    """Blocks of :func:`_word_blocks` in order of bucket -> the words that were seen, numbered as :func:`_numbered` does."""
 
-        def answer(bucket, words, totals, own):
-            made.append((bucket, words, totals))
-            return [b""] * len(own)
-
-        for _ in merge_blocks(answer)(batches):
-            while made:
-                bucket, words, totals = made.pop()
-                known = np.flatnonzero(totals > 0)
-                gid = known * buckets + bucket + 1
-                c = totals[known]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(c), bucket, np.int32)), pa.array(gid), pa.array([words[k].decode() for k in known.tolist()], pa.string()), pa.array(c), pa.array(np.log10(uni.p(c)))], ["bucket", "id", "word", "count", "log10_p"])
+    def run(batches):
+        for bucket, rows in groupby((r for b in batches for r in b.to_pylist()), key=lambda r: r["bucket"]):
+            table, codes, counts = Codes(), [], []
+            for r in rows:
+                sizes, text, count, *_ = unpack(r["data"])
+                text, ends = text.tobytes(), np.cumsum(sizes).tolist()
+                codes += [table[text[a:b]] for a, b in zip([0, *ends], ends)]
+                counts.append(count)
+            c = np.bincount(codes, np.concatenate(counts), len(table)).astype(np.int64)
+            words, known = list(table), np.flatnonzero(c > 0)
+            c = c[known]
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(c), bucket, np.int32)), pa.array(known * buckets + bucket + 1), pa.array([words[k].decode() for k in known.tolist()], pa.string()), pa.array(c), pa.array(np.log10(uni.p(c)))], ["bucket", "id", "word", "count", "log10_p"])
 
     return run
 
 
-def _table_rows(uni: Unigrams, d: np.ndarray, hot: dict, contexts: bool):
+def _table_rows(m: Model, contexts: bool):
+    order, uni, d, hot_sums = m.order, m.uni, m.d, m.hot_sums
+
     def run(batches):
         for bucket, blocks in _blocks(r for b in batches for r in b.to_pylist()):
             if bucket < 0:
                 continue
-            h, w, r, c, is_hot = _Merged([a for _, a in blocks]).train
-            names, sums = context_sums(h[~is_hot], r[~is_hot], uni.p(c[~is_hot]))
-            alpha, keep = backoff(sums, d)
-            if contexts:
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(names), bucket, np.int32)), pa.array(names), pa.array(sums[:, 0].astype(np.int64)), pa.array(np.log10(alpha))], ["bucket", "id", "count", "log10_backoff"])
-                continue
-            count, kept = np.zeros(len(h)), np.zeros(len(h))
-            at = np.searchsorted(names, h[~is_hot])
-            count[~is_hot], kept[~is_hot] = sums[at, 0], keep[at]
-            for k in np.flatnonzero(is_hot).tolist():
-                _, one = backoff(hot[int(h[k])][None], d)
-                count[k], kept[k] = hot[int(h[k])][0], one[0]
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), bucket, np.int32)), pa.array(h), pa.array(w), pa.array(r), pa.array(pair_logs(r, c, count, np.ones(len(h)), kept, d, uni))], ["bucket", "context", "word", "count", "log10_p"])
+            merged = _Merged([a for _, a in blocks], order)
+            for level, (h, r, one, sums, p) in enumerate(merged.tables(uni, d, hot_sums), 2):
+                if contexts:
+                    alpha, _ = backoff(sums, d[level - 2])
+                    at = np.flatnonzero(np.diff(h, prepend=-1))
+                    keep = sums[:, 0] > 0
+                    at, values = at[keep], [sums[keep, 0].astype(np.int64), np.log10(alpha[keep])]
+                else:
+                    at = np.flatnonzero(r > 0)
+                    values = [merged.grams[-1][one[at]], r[at], np.log10(p[at])]
+                context = np.stack([merged.grams[k][one[at]] for k in range(level - 1)][::-1], axis=1)
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(at) + 1, dtype=np.int32) * (level - 1)), pa.array(context.ravel()))
+                columns = [pa.array(np.full(len(at), level, np.int32)), pa.array(np.full(len(at), bucket, np.int32)), lists, *map(pa.array, values)]
+                yield pa.RecordBatch.from_arrays(columns, ["level", "bucket", "context", *(("count", "log10_backoff") if contexts else ("word", "count", "log10_p"))])
 
     return run
 
 
-def model_tables(docs: DataFrame) -> dict[str, DataFrame]:
-    """The model as tables, each with a ``bucket`` to partition it by: ``words`` (id, word, count, log10_p), ``pairs`` (context,
-    word, count, log10_p), ``backoffs`` (id of the context, count, log10_backoff). The end token is the empty word; context 0
-    starts a text; a context that is not listed has backoff 1; the unknown word has the probability that words leave."""
-    m = Model(docs)
+def model_tables(docs: DataFrame, order: int = ORDER) -> dict[str, DataFrame]:
+    """The model as tables, with a ``bucket`` to partition them by: ``words`` (id, word, count, log10_p), ``grams`` (level, context,
+    word, count, log10_p) and ``backoffs`` (level, context, count, log10_backoff). A context is the numbers of its words, oldest
+    first. The end token is the empty word; word 0 starts a text; a context that is not listed has backoff 1; the unknown word has
+    the probability that words leave."""
+    m = Model(docs, order)
     words = m.words.mapInArrow(lean(_word_rows(m.uni, m.n)), "bucket int, id long, word string, count long, log10_p double")
-    pairs = m.blocks.mapInArrow(lean(_table_rows(m.uni, m.d, m.hot, False)), "bucket int, context long, word long, count long, log10_p double")
-    backoffs = m.blocks.mapInArrow(lean(_table_rows(m.uni, m.d, m.hot, True)), "bucket int, id long, count long, log10_backoff double")
-    if m.hot:
-        # at most 1 / HOT rows
-        alpha, _ = backoff(np.array(list(m.hot.values())), m.d)
-        rows = [(-1, int(h), int(s[0]), float(np.log10(a))) for (h, s), a in zip(m.hot.items(), alpha, strict=True)]
-        backoffs = backoffs.union(m.spark.createDataFrame(rows, backoffs.schema))
-    return {"words": words, "pairs": pairs, "backoffs": backoffs}
-
-
-def write_tables(docs: DataFrame, path: str) -> None:
-    for name, df in model_tables(docs).items():
+    grams = m.blocks.mapInArrow(lean(_table_rows(m, False)), "level int, bucket int, context array<long>, word long, count long, log10_p double")
+    backoffs = m.blocks.mapInArrow(lean(_table_rows(m, True)), "level int, bucket int, context array<long>, count long, log10_backoff double")
+    # what follows a frequent word is in several buckets
+    return {"words": words, "grams": grams.dropDuplicates(["context", "word"]), "backoffs": backoffs.dropDuplicates(["context"])}
+
+
+def write_tables(docs: DataFrame, path: str, order: int = ORDER) -> None:
+    for name, df in model_tables(docs, order).items():
         df.write.mode("overwrite").partitionBy("bucket").parquet(f"{path}/{name}")

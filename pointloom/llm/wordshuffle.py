@@ -78,7 +78,8 @@ def chunks(batches, keys, word_of, buckets: int):
     for b in batches:
         for doc, text, task in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist(), strict=True):
             text = text.as_py() or ""
-            own = np.array(list(map(table.__getitem__, keys(text))), np.uint32)
+            words = keys(text)
+            own = np.fromiter(map(table.__getitem__, words), np.uint32, len(words))
             ids.append(doc)
             codes.append(own)
             total += len(own)
@@ -92,51 +93,48 @@ def chunks(batches, keys, word_of, buckets: int):
         yield done()
 
 
-def _row(bucket: int, chunk: int, data: bytes):
+def row_of(bucket: int, chunk: int, data: bytes):
     return pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([chunk], pa.int64()), pa.array([data], pa.binary())], ["bucket", "chunk", "data"])
 
 
-def word_blocks(keys, word_of, buckets: int, count=None):
-    """Task function: a block (the bucket's words, and count(ids, ends, codes, n_words) of each) a chunk and bucket."""
+def word_blocks(keys, word_of, buckets: int):
+    """Task function: a block with the bucket's words for every chunk and bucket."""
 
     def run(batches):
-        for chunk, words, bounds, ids, ends, codes in chunks(batches, keys, word_of, buckets):
-            n = count(ids, ends, codes, len(words)) if count else np.zeros(len(words), np.int64)
+        for chunk, words, bounds, _, _, _ in chunks(batches, keys, word_of, buckets):
             for k in range(buckets):
                 part = words[bounds[k] : bounds[k + 1]]
                 if part:
                     sizes = np.fromiter(map(len, part), np.int64, len(part))
-                    yield _row(k, chunk, pack(sizes, np.frombuffer(b"".join(part), np.uint8), n[bounds[k] : bounds[k + 1]]))
+                    yield row_of(k, chunk, pack(sizes, np.frombuffer(b"".join(part), np.uint8)))
 
     return run
 
 
-def position_rows(keys, word_of, buckets: int):
-    """Task function: a row of bucket -1 a chunk: ids, ends, codes and the number of words."""
+def position_rows(keys, word_of, buckets: int, marks=None):
+    """Task function: a row of bucket -1 a chunk: ids, ends, codes, the number of words, and ``marks(words)``, an array."""
 
     def run(batches):
         for chunk, words, _, ids, ends, codes in chunks(batches, keys, word_of, buckets):
-            yield _row(-1, chunk, pickle.dumps((ids, pack(ends, codes), len(words))))
+            yield row_of(-1, chunk, pickle.dumps((ids, pack(ends, codes, *([marks(words)] if marks else [])), len(words))))
 
     return run
 
 
 def merge_blocks(answer):
-    """Task function on rows in order of (bucket, chunk): ``answer(bucket, words, counts, [codes of each block])`` gives
-    the bytes for every block."""
+    """Task function on rows in order of (bucket, chunk): ``answer(bucket, words, [codes of each block])`` gives the bytes for
+    every block."""
 
     def run(batches):
         for bucket, rows in groupby((r for b in batches for r in b.to_pylist()), key=lambda r: r["bucket"]):
-            table, own, names, n = Codes(), [], [], []
+            table, own, names = Codes(), [], []
             for r in rows:
-                sizes, text, count = unpack(r["data"])
+                sizes, text = unpack(r["data"])
                 text, ends = text.tobytes(), np.cumsum(sizes).tolist()
                 own.append(np.array([table[text[a:b]] for a, b in zip([0, *ends], ends)], np.int64))
                 names.append(r["chunk"])
-                n.append(count)
-            totals = np.bincount(np.concatenate(own), np.concatenate(n), len(table)).astype(np.int64)
-            for chunk, data in zip(names, answer(bucket, list(table), totals, own), strict=True):
-                yield _row(bucket, chunk, data)
+            for chunk, data in zip(names, answer(bucket, list(table), own), strict=True):
+                yield row_of(bucket, chunk, data)
 
     return run
 
@@ -150,11 +148,11 @@ def by_chunk(answers: DataFrame, positions: DataFrame) -> DataFrame:
 
 
 def assembled(batches):
-    """Of rows in order of (chunk, bucket): (chunk, ids, ends, codes, n_words, answers in order of bucket)."""
+    """Of rows in order of (chunk, bucket): (chunk, ids, ends, codes, n_words, marks if any, answers in order of bucket)."""
     for chunk, rows in groupby((r for b in batches for r in b.to_pylist()), key=lambda r: r["chunk"]):
         head = next(rows)
         if head["bucket"] != -1:
             raise RuntimeError("two reads of the documents differ; write them to a table first")
         ids, data, n_words = pickle.loads(head["data"])
-        ends, codes = unpack(data)
-        yield chunk, ids, ends, codes, n_words, [r["data"] for r in rows]
+        ends, codes, *marks = unpack(data)
+        yield chunk, ids, ends, codes, n_words, *marks, [r["data"] for r in rows]
