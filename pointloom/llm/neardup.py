@@ -41,7 +41,7 @@ UP, DOWN = 4, 5
 #: Shingles and documents of a chunk (a document's number there has two bytes), and from where on counts are one.
 CHUNK_SHINGLES, CHUNK_DOCS, MANY = 1 << 21, 1 << 16, 255
 #: Vertices and bytes of their sets in a bucket, and documents in an Arrow batch that a task gives.
-BUCKET, BUCKET_BYTES, DOCS = 2_000, 16 << 20, 500
+BUCKET, BUCKET_BYTES, DOCS = 512, 16 << 20, 500
 
 
 def shingle_hashes(words: list[bytes]):
