@@ -56,9 +56,25 @@ def sql_points(level: str = "supplier") -> str:
       FROM (SELECT *, date_diff('day', DATE '{DAY0}', l_shipdate::DATE)::BIGINT AS dd FROM lineitem) {join})"""
 
 
+def lineitem_sizes(spark: SparkSession, sf_dir: str, level: str = "supplier") -> DataFrame:
+    """sample_id, n of the lineitem clouds, from the key column alone; suppliers are counted first and then summed upwards."""
+    key = {"order": "l_orderkey", "part": "l_partkey"}.get(level, "l_suppkey")
+    per = load(spark, sf_dir, "lineitem").groupBy(F.col(key).cast("long").alias("sample_id")).agg(F.count("*").alias("n"))
+    if level in ("nation", "region"):
+        dims = load(spark, sf_dir, "supplier").select(F.col("s_suppkey").cast("long").alias("sample_id"), "s_nationkey")
+        per = per.join(dims, "sample_id").groupBy(F.col("s_nationkey").cast("long").alias("sample_id")).agg(F.sum("n").alias("n"))
+    if level == "region":
+        nation = load(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("sample_id"), "n_regionkey")
+        per = per.join(F.broadcast(nation), "sample_id").groupBy(F.col("n_regionkey").cast("long").alias("sample_id")).agg(F.sum("n").alias("n"))
+    return per
+
+
 def size_profile(points: DataFrame) -> DataFrame:
     """Points a cloud: how many clouds, and the smallest, mean and largest."""
-    per = points.groupBy("sample_id").agg(F.count("*").alias("n"))
+    return profile_of(points.groupBy("sample_id").agg(F.count("*").alias("n")))
+
+
+def profile_of(per: DataFrame) -> DataFrame:
     return per.agg(F.count("*").alias("n_samples"), F.min("n").alias("min_points"), F.max("n").alias("max_points"), F.floor(F.sum("n") / F.count("*") * 1000000 + 0.5).cast("long").alias("mean_points_fx"))
 
 

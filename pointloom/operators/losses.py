@@ -146,6 +146,12 @@ def total(true: DataFrame, pred: DataFrame, prob: DataFrame, a: int, terms=("mse
     return parts.agg(*means) if reduce == "patch" else parts.groupBy("sample_id").agg(*means)
 
 
+def arms_total(parts: DataFrame, arms: dict[str, tuple[str, ...]]) -> DataFrame:
+    """Per cloud the mean loss of several arms, each a choice of terms, from the patches' terms: n_patches, l0, l1, ..."""
+    loss = [sum((F.col(f"{t}_fx") for t in terms), F.lit(0.0)) for terms in arms.values()]
+    return parts.groupBy("sample_id").agg(F.count("*").alias("n_patches"), *[(F.sum(F.floor(x + 0.5).cast("long")) / F.count("*")).alias(f"l{k}") for k, x in enumerate(loss)])
+
+
 def mean_predictor(visible: DataFrame, hidden: DataFrame, a: int, edge: float) -> tuple[DataFrame, DataFrame]:
     """A prediction without learning: each hidden voxel gets the cloud's mean visible colours, its slot's centre as coordinates,
     and its true slot; slot probabilities are the share of visible patches that hold the slot."""

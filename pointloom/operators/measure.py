@@ -97,7 +97,7 @@ def _exchanges(plan, written: bool) -> int:
     name, total = plan.getClass().getSimpleName(), 0
     if name == "AdaptiveSparkPlanExec":
         return _exchanges(plan.executedPlan(), written)
-    if name == "ShuffleQueryStageExec":
+    if name.endswith("QueryStageExec"):
         return _exchanges(plan.plan(), written)
     if name == "ShuffleExchangeExec":
         total += int(plan.metrics().apply("shuffleBytesWritten").value()) if written else 1

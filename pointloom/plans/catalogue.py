@@ -71,7 +71,8 @@ _PROFILE = "SELECT '{level}' AS level, count(*) AS n_samples, min(n) AS min_poin
 
 @query(" UNION ALL ".join(_PROFILE.format(level=x, pts=sql_points(x)) for x in corpora.LEVELS))
 def corpus_size_profile(spark, sf_dir):
-    return named_levels(lambda level: corpora.size_profile(lineitem_clouds(spark, sf_dir, level)))
+    """The two upper levels are sums of the suppliers' sizes."""
+    return named_levels(lambda level: corpora.profile_of(corpora.lineitem_sizes(spark, sf_dir, level)))
 
 
 @query(f"WITH {sql_points()} SELECT sample_id, point_no, {sql_fxs(ATTRIBUTES)} FROM pts")
@@ -520,23 +521,28 @@ def _sql_total(features, terms):
     return f"{sql_loss(features)} SELECT sample_id, count(*) AS n_patches, {per} FROM mse JOIN cd USING (sample_id, ci, cj, ck) JOIN occ USING (sample_id, ci, cj, ck) GROUP BY sample_id"
 
 
-def _total(spark, sf_dir, features="graph", terms=("mse", "cd", "occ")):
-    hid, pred, prob = _loss_parts(spark, sf_dir)
-    t = losses.total(hid, pred, prob, 8, terms, (1,) * len(terms), features)
+_ALL = ("mse", "cd", "occ")
+
+
+@query(_sql_total("graph", _ALL))
+def loss_total(spark, sf_dir):
+    t = losses.total(*_loss_parts(spark, sf_dir), 8)
     return t.select("sample_id", "n_patches", *[F.floor(F.col(c) + 0.5).cast("long").alias(c) for c in ("mse_fx", "cd_fx", "occ_fx", "loss_fx")])
 
 
-_ALL = ("mse", "cd", "occ")
-query(_sql_total("graph", _ALL), "loss_total")(lambda spark, sf_dir: _total(spark, sf_dir))
 _ARMS = (("graph", ("mse",)), ("graph", ("mse", "cd")), ("graph", _ALL), ("origin", _ALL))
 
 
 @query(" UNION ALL ".join(f"SELECT '{f} {'+'.join(t)}' AS arm, sum(loss_fx)::BIGINT AS loss_fx, sum(n_patches)::BIGINT AS n_patches FROM ({_sql_total(f, t)})" for f, t in _ARMS))
 def loss_terms_ablation(spark, sf_dir):
-    out = None
-    for f, t in _ARMS:
-        arm = _total(spark, sf_dir, f, t).agg(F.sum("loss_fx").alias("loss_fx"), F.sum("n_patches").alias("n_patches")).select(F.lit(f"{f} {'+'.join(t)}").alias("arm"), "*")
-        out = arm if out is None else out.union(arm)
+    """The arms on the same attributes share one pass over the patches."""
+    out, parts = None, _loss_parts(spark, sf_dir)
+    for features in ("graph", "origin"):
+        arms = {f"{f} {'+'.join(t)}": t for f, t in _ARMS if f == features}
+        each = losses.arms_total(losses.patch_terms(*parts, 8, features), arms)
+        whole = each.agg(F.array(*[F.struct(F.lit(a).alias("arm"), F.sum(F.floor(F.col(f"l{k}") + 0.5).cast("long")).alias("loss_fx"), F.sum("n_patches").alias("n_patches")) for k, a in enumerate(arms)]).alias("a"))
+        part = whole.select(F.explode("a").alias("a")).select("a.*")
+        out = part if out is None else out.union(part)
     return out
 
 
@@ -746,19 +752,19 @@ def vote_labels(spark, sf_dir):
 
 
 _LETTERS = "abcdefghijklmnopqrstuvwxyzäöüßéèêçñóí"
-_SHARE = ", ".join(f"(length(text) - length(replace(text, '{c}', ''))) * 1000000 // length(text) AS f{k}" for k, c in enumerate(_LETTERS))
+_SHARE = ", ".join(f"coalesce((length(text) - length(replace(text, '{c}', ''))) * 1000000 // nullif(length(text), 0), 0) AS f{k}" for k, c in enumerate(_LETTERS))
 _DIST = " + ".join(f"(d.f{k} - c.f{k}) * (d.f{k} - c.f{k})" for k in range(len(_LETTERS)))
-_PRED_SQL = f"""WITH d AS (SELECT doc_id, lang AS label, {_SIDE} AS is_test, {_SHARE} FROM documents WHERE length(text) >= 50),
+_PRED_SQL = f"""WITH d AS (SELECT doc_id, lang AS label, coalesce({_SIDE}, false) AS is_test, {_SHARE} FROM documents),
   c AS (SELECT label, {', '.join(f'sum(f{k})::BIGINT // count(*) AS f{k}' for k in range(len(_LETTERS)))} FROM d WHERE NOT is_test GROUP BY label),
   pred AS (SELECT doc_id, label, pred FROM (SELECT d.doc_id, d.label, c.label AS pred, row_number() OVER (PARTITION BY d.doc_id ORDER BY {_DIST}, c.label) AS nth FROM d, c WHERE d.is_test) WHERE nth = 1)"""
 
 
 def language_predictions(spark, sf_dir):
-    """Nearest class centroid of letter shares; texts are split by hash, so copies stay on one side."""
-    d = load(spark, sf_dir, "documents").where(F.length("text") >= 50)
-    n = F.length("text")
-    shares = [F.floor((n - F.length(F.translate("text", c, ""))) * F.lit(1000000).cast("long") / n).cast("long") for c in _LETTERS]
-    d = d.select("doc_id", F.col("lang").alias("label"), (F.conv(F.substring(F.md5("text"), 1, 8), 16, 10).cast("long") % 5 == 0).alias("is_test"), *[s.alias(f"f{k}") for k, s in enumerate(shares)])
+    """Nearest class centroid of letter shares, of every document (one without text has none); texts are split by hash, so copies stay on one side."""
+    d, n = load(spark, sf_dir, "documents"), F.length("text")
+    shares = [F.coalesce(F.floor((n - F.length(F.translate("text", c, ""))) * F.lit(1000000).cast("long") / F.nullif(n, F.lit(0))).cast("long"), F.lit(0)) for c in _LETTERS]
+    side = F.coalesce(F.conv(F.substring(F.md5("text"), 1, 8), 16, 10).cast("long") % 5 == 0, F.lit(False))
+    d = d.select("doc_id", F.col("lang").alias("label"), side.alias("is_test"), *[s.alias(f"f{k}") for k, s in enumerate(shares)])
     cols = range(len(_LETTERS))
     cent = d.where("not is_test").groupBy("label").agg(*[F.floor(F.sum(f"f{k}") / F.count("*")).cast("long").alias(f"c{k}") for k in cols])
     dist = sum(((F.col(f"f{k}") - F.col("c")[f"c{k}"]) * (F.col(f"f{k}") - F.col("c")[f"c{k}"]) for k in cols), F.lit(0).cast("long"))

@@ -1,4 +1,9 @@
-"""A data source for ASCII point files: one cloud a file, a line ``x y z r g b`` a point; batch and stream reads, and writes."""
+"""ASCII point files: one cloud a file, a line ``x y z r g b`` a point; batch and stream reads, and writes.
+
+:func:`write_clouds` and :func:`read_clouds` use Spark's own text files, so every path that Spark reads will do (an object store as
+well), tasks may be run twice, and nothing is Python. The data source ``pointfile`` reads and writes files named by their
+cloud through the file system of the machine: driver and executors must share the folder.
+"""
 
 from __future__ import annotations
 
@@ -8,11 +13,28 @@ import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceStreamReader, DataSourceWriter, InputPartition, WriterCommitMessage
 
 SCHEMA = "sample_id long, point_no long, x double, y double, z double, r double, g double, b double"
 
 
+def write_clouds(points: DataFrame, path: str, mode: str = "error") -> None:
+    """A folder a cloud with its points in order of their number; a cloud is one file."""
+    line = F.concat_ws(" ", *[F.col(c).cast("string") for c in "xyzrgb"])
+    ordered = points.repartition("sample_id").sortWithinPartitions("sample_id", "point_no")
+    ordered.select("sample_id", line.alias("value")).write.mode(mode).partitionBy("sample_id").text(path)
+
+
+def read_clouds(spark: SparkSession, path: str, stream: bool = False) -> DataFrame:
+    """The points of all clouds under ``path``, numbered by their line; ``stream``: as the files arrive."""
+    reader = (spark.readStream if stream else spark.read).schema("value string, sample_id long")
+    lines = reader.text(path, wholetext=True).select("sample_id", F.posexplode(F.split("value", "\n")).alias("point_no", "line")).where("length(trim(line)) > 0")
+    part = F.split(F.trim("line"), " +")
+    return lines.select("sample_id", F.col("point_no").cast("long").alias("point_no"), *[F.get(part, F.lit(k)).cast("double").alias(c) for k, c in enumerate("xyzrgb")])
+
+
 class FilePart(InputPartition):
     def __init__(self, paths):
         self.paths = paths

@@ -151,6 +151,18 @@ def test_point_files(spark, tmp_path):
     assert spark.table("pf").count() == len(rows)
 
 
+def test_clouds_as_text_files(spark, tmp_path):
+    from pointloom.sources.pointfile import read_clouds, write_clouds
+
+    rows = [(s, k, *[round(s + k / 7 + c, 6) for c in range(6)]) for s in (3, 4) for k in range(12)]
+    df = spark.createDataFrame(rows, "sample_id long, point_no long, x double, y double, z double, r double, g double, b double").repartition(5)
+    write_clouds(df, f"file://{tmp_path}/t")
+    assert sorted(map(tuple, read_clouds(spark, f"file://{tmp_path}/t").collect())) == rows
+    q = read_clouds(spark, f"file://{tmp_path}/t", True).writeStream.format("memory").queryName("clouds").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "c")).start()
+    q.awaitTermination()
+    assert sorted(map(tuple, spark.table("clouds").collect())) == rows
+
+
 @pytest.mark.parametrize("fmt", ["csv", "json", "orc", "parquet"])
 def test_formats_round_trip(spark, sf, tmp_path, fmt):
     df = corpora.lineitem_clouds(spark, sf, "region").select("sample_id", "point_no", *"xyzrgb").limit(200)
