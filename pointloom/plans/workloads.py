@@ -71,12 +71,23 @@ def document_clouds(spark: SparkSession, sf_dir: str, points: int | None = None,
     return meta.mapInArrow(run, "sample_id long, label int, is_test boolean, " + ", ".join(f"{c} array<double>" for c in "xyzrgb"))
 
 
+def training_clouds(spark: SparkSession, sf_dir: str, cfg: nets.ModelConfig = nets.TINY, **options) -> DataFrame:
+    """:func:`document_clouds` with one point a voxel, stored once."""
+    return scratch_table(train.representatives(document_clouds(spark, sf_dir, **options), cfg))
+
+
 def smallest_cloud(clouds: DataFrame, least: int) -> int:
     """Points of the smallest cloud that has ``least`` or more, to which the fixed-token arm cuts all larger ones."""
     n = F.size("x")
     return clouds.where(n >= least).agg(F.min(n)).first()[0] or least
 
 
+def smallest_document(spark: SparkSession, sf_dir: str) -> int:
+    """The same for the documents, whose pixels are their characters."""
+    n = F.length("text")
+    return load(spark, sf_dir, "documents").where(n >= FIXED.group).agg(F.min(n)).first()[0] or FIXED.group
+
+
 def shape_samples(spark: SparkSession, sf_dir: str, level: str = "supplier", background: bool = True, points: int | None = None, classes: int = 10, copies: int = 0) -> DataFrame:
     """Packed shape clouds with label (family, or family x aspect), category, zones, and a split by hashed sample."""
     pts = corpora.shape_clouds(spark, sf_dir, level, background)
@@ -181,8 +192,8 @@ def w03_cross_table(spark, sf_dir, steps: int = 6) -> DataFrame:
     arms start from scratch. The fixed-token method sees every corpus cut down to its smallest cloud."""
     splits = {"background": shape_samples(spark, sf_dir), "object": shape_samples(spark, sf_dir, background=False), "perturbed": shape_samples(spark, sf_dir, copies=5)}
     splits = {k: scratch_table(v) for k, v in splits.items()}
-    lifted, shapes = scratch_table(document_clouds(spark, sf_dir)), scratch_table(shape_samples(spark, sf_dir, "part", False, 32))
-    few = smallest_cloud(lifted, FIXED.group)
+    lifted, shapes = training_clouds(spark, sf_dir), scratch_table(shape_samples(spark, sf_dir, "part", False, 32))
+    few = smallest_document(spark, sf_dir)
     cut = {"lifted": document_clouds(spark, sf_dir, few), "shapes": shapes}
     size = min(smallest_cloud(v, FIXED.group) for v in splits.values())
     small = {k: cut_down(v, size) for k, v in splits.items()}
@@ -217,7 +228,7 @@ def cut_down(packed: DataFrame, n: int) -> DataFrame:
 
 
 def w04_model_scaling(spark, sf_dir, steps: int = 6) -> DataFrame:
-    clouds, data = scratch_table(document_clouds(spark, sf_dir)), scratch_table(shape_samples(spark, sf_dir))
+    clouds, data = training_clouds(spark, sf_dir), scratch_table(shape_samples(spark, sf_dir))
     rows = [("w04", "majority", "accuracy", majority(data))]
     for name, cfg in (("narrow", nets.TINY), ("wide", nets.SMALL_TINY), ("deep", replace(nets.TINY, blocks=3))):
         params, losses = pretrained(clouds, cfg, steps)
@@ -241,7 +252,7 @@ def w05_fewshot(spark, sf_dir, runs: int = 10, steps: int = 6) -> DataFrame:
     """Episodes on frozen features of shape clouds: of a pre-trained encoder, of a random one and of plain attribute statistics, by the
     nearest centroid and by a trained head; and on vectors whose label carries no signal."""
     shapes = scratch_table(shape_samples(spark, sf_dir))
-    model, _ = pretrained(scratch_table(document_clouds(spark, sf_dir)), nets.TINY, steps)
+    model, _ = pretrained(training_clouds(spark, sf_dir), nets.TINY, steps)
     vectors = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("sample_id"), "label", F.col("embedding").cast("array<double>").alias("f"))
     feats = {"pretrained": train.features(shapes, model, nets.TINY, ("label",)), "random": train.features(shapes, nets.init(nets.TINY), nets.TINY, ("label",)), "attributes": raw_features(shapes), "control": vectors}
     rows = []
@@ -298,31 +309,31 @@ def _ablate(spark, name, arms, make, steps: int) -> DataFrame:
 
 
 def w08a_mask_ratio(spark, sf_dir, steps: int = 6, ratios=(15, 30, 45, 60, 75, 90)) -> DataFrame:
-    d = scratch_table(document_clouds(spark, sf_dir))
+    d = training_clouds(spark, sf_dir)
     return _ablate(spark, "w08a", ratios, lambda r: (d, nets.TINY, {"percent": r}, d), steps)
 
 
 def w08b_augmentation(spark, sf_dir, steps: int = 6) -> DataFrame:
-    d = scratch_table(document_clouds(spark, sf_dir))
+    d = training_clouds(spark, sf_dir)
     arms = {"none": (1.0, 0.0), "3/4": (3 / 4, 0.0), "2/3": (2 / 3, 0.0), "1/2": (1 / 2, 0.0), "1/2+T": (1 / 2, 1 / 2)}
-    return _ablate(spark, "w08b", arms, lambda a: (scratch_table(document_clouds(spark, sf_dir, rho=arms[a][0], tau=arms[a][1])), nets.TINY, {}, d), steps)
+    return _ablate(spark, "w08b", arms, lambda a: (training_clouds(spark, sf_dir, rho=arms[a][0], tau=arms[a][1]), nets.TINY, {}, d), steps)
 
 
 def w08c_attributes_losses(spark, sf_dir, steps: int = 6) -> DataFrame:
-    d = scratch_table(document_clouds(spark, sf_dir))
+    d = training_clouds(spark, sf_dir)
     arms = {"graph mse": ("graph", ("mse",)), "graph mse+cd": ("graph", ("mse", "cd")), "graph all": ("graph", ("mse", "cd", "occ")), "origin all": ("origin", ("mse", "cd", "occ"))}
     return _ablate(spark, "w08c", arms, lambda a: (d, replace(nets.TINY, features=arms[a][0]), {"terms": arms[a][1]}, d), steps)
 
 
 def w08d_corpus_size(spark, sf_dir, steps: int = 6, thousandths=(10, 20, 40, 80, 420, 1000)) -> DataFrame:
-    d = scratch_table(document_clouds(spark, sf_dir))
+    d = training_clouds(spark, sf_dir)
     return _ablate(spark, "w08d", thousandths, lambda t: (corpora.subset(d, t), nets.TINY, {}, d), steps)
 
 
 def w09_ragged_vs_fixed(spark, sf_dir, steps: int = 6) -> DataFrame:
     """Whole ragged clouds with voxel tokens; the same clouds cut down to the smallest one, with voxel tokens and with centre tokens."""
-    whole, rows = scratch_table(document_clouds(spark, sf_dir)), []
-    few = smallest_cloud(whole, FIXED.group)
+    whole, rows = training_clouds(spark, sf_dir), []
+    few = smallest_document(spark, sf_dir)
     cut = scratch_table(document_clouds(spark, sf_dir, few))
     for arm, cfg, d in (("ragged voxel", nets.TINY, whole), ("fixed voxel", nets.TINY, cut), ("fixed centre", FIXED, cut)):
         params, losses = pretrained(d, cfg, steps)
@@ -349,28 +360,27 @@ def _trace(spark, losses):
 
 
 def pretrain_tiny(spark, sf_dir):
-    return _trace(spark, pretrained(scratch_table(document_clouds(spark, sf_dir)), nets.TINY, 6)[1])
+    return _trace(spark, pretrained(training_clouds(spark, sf_dir), nets.TINY, 6)[1])
 
 
 def pretrain_fixed_token_tiny(spark, sf_dir):
     """On clouds cut down to the smallest one, as the fixed-token method needs."""
-    few = smallest_cloud(document_clouds(spark, sf_dir), FIXED.group)
+    few = smallest_document(spark, sf_dir)
     return _trace(spark, pretrained(scratch_table(document_clouds(spark, sf_dir, few)), FIXED, 6)[1])
 
 
 def pretrain_minibatches(spark, sf_dir):
     """The published procedure: minibatches, an update every four iterations, rate 5e-4."""
-    return _trace(spark, train.pretrain(document_clouds(spark, sf_dir), nets.TINY, 8, batch=64)[1])
+    return _trace(spark, train.pretrain(training_clouds(spark, sf_dir), nets.TINY, 8, batch=64)[1])
 
 
 def finetune_tiny(spark, sf_dir):
-    d = document_clouds(spark, sf_dir)
-    return _trace(spark, train.finetune(scratch_table(d.where(~F.col("is_test"))), 4, nets.TINY, 6)[1])
+    return _trace(spark, train.finetune(training_clouds(spark, sf_dir).where(~F.col("is_test")), 4, nets.TINY, 6)[1])
 
 
 def linear_probe_lang(spark, sf_dir):
     """A linear probe on a random and on a pre-trained encoder, beside the largest class."""
-    d = scratch_table(document_clouds(spark, sf_dir))
+    d = training_clouds(spark, sf_dir)
     model, _ = pretrained(d, nets.TINY, 6)
     rows = [("probe", name, "accuracy", probe_accuracy(d, nets.TINY, params)) for name, params in (("random encoder", nets.init(nets.TINY)), ("pre-trained encoder", model))]
     return report(spark, [*rows, ("probe", "majority", "accuracy", majority(d))])

@@ -82,6 +82,22 @@ def spark_gradients(batch: DataFrame, params: dict[str, np.ndarray], loss_of, la
     return loss / n, {k: np.concatenate(v).reshape(params[k].shape) / n for k, v in flat.items()}
 
 
+def representatives(clouds: DataFrame, cfg: ModelConfig) -> DataFrame:
+    """Packed clouds with one point a voxel, the one that the tokeniser keeps: the tokens are the same, and every step of a training
+    finds a fraction of the points. Other columns stay."""
+
+    def run(batches):
+        for b in batches:
+            names, out = b.schema.names, {c: [] for c in "xyzrgb"}
+            for pts in _clouds(b):
+                kept = nets.voxel_tokens([pts], cfg).feat[:, :6] if len(pts) else pts
+                for k, c in enumerate("xyzrgb"):
+                    out[c].append(kept[:, k])
+            yield pa.RecordBatch.from_arrays([pa.array(out[c], b.schema.field(c).type) if c in out else b.column(k) for k, c in enumerate(names)], names)
+
+    return clouds.mapInArrow(run, clouds.schema)
+
+
 def minibatches(clouds: DataFrame, size: int | None, seed: int = 0):
     """(number of minibatches, function of the step): the corpus is dealt once into hash classes of about ``size`` clouds, stored by
     class, so a step reads its class and nothing else. An epoch takes each class once, in an order of its own."""

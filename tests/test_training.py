@@ -82,6 +82,14 @@ def test_a_cloud_without_points_has_its_class_token(spark):
         assert len(train.pretrain(df, cfg, steps=1)[1]) == 1
 
 
+def test_one_point_a_voxel_gives_the_same_tokens(packed):
+    small = {r.sample_id: r for r in train.representatives(packed, CFG).collect()}
+    for r in packed.collect():
+        pts, kept = (np.stack([x[c] for c in "xyzrgb"], 1) for x in (r, small[r.sample_id]))
+        a, b = nets.voxel_tokens([pts], CFG), nets.voxel_tokens([kept], CFG)
+        assert np.array_equal(a.cell, b.cell) and np.array_equal(a.slot, b.slot) and np.allclose(a.feat, b.feat, atol=1e-12) and small[r.sample_id].label == r.label
+
+
 def test_nearest_neighbours_break_ties_by_place():
     from pointloom.operators.baselines import nearest_kernel
 
