@@ -51,11 +51,14 @@ def scratch_root(spark: SparkSession) -> str:
 
 
 def scratch_path(spark: SparkSession) -> str:
-    """A new path in the shared folder; what is written there goes when the driver ends."""
-    path = f"{scratch_root(spark)}/pointloom-{uuid.uuid4().hex}"
-    hpath = spark._jvm.org.apache.hadoop.fs.Path(path)
-    hpath.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(hpath)
-    return path
+    """A new path in the shared folder; what is written there goes when the driver's JVM ends."""
+    folder = f"{scratch_root(spark)}/pointloom-{uuid.uuid4().hex}"
+    hfolder = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    fs = hfolder.getFileSystem(spark._jsc.hadoopConfiguration())
+    # only what exists can be marked to go
+    fs.mkdirs(hfolder)
+    fs.deleteOnExit(hfolder)
+    return f"{folder}/t"
 
 
 def scratch_table(df: DataFrame, *by: str) -> DataFrame:
