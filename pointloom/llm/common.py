@@ -3,14 +3,14 @@
 from __future__ import annotations
 
 import ctypes
-import tempfile
-import uuid
 from collections.abc import Iterable
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from pointloom.schema import scratch_path
+
 #: Words are runs of anything but ASCII white space.
 WORD_RE = "[^\\x20\\x09-\\x0D]+"
 #: A lookup table of at most this many rows may be broadcast; beyond it the join is left to AQE.
@@ -21,23 +21,11 @@ KEY_ROWS = 1_000_000
 #: Rows of a scratch file where the number of rows is bounded beforehand.
 FILE_ROWS = 250_000
 
-_local_scratch: list[str] = []
-
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """The shared folder the cluster names; a local one only where none is set (tests, local mode)."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root
-    if not _local_scratch:
-        _local_scratch.append("file://" + tempfile.mkdtemp(prefix="pointloom-"))
-    return _local_scratch[0]
-
-
 def materialize(df: DataFrame, most_rows: int | None = None) -> DataFrame:
     """Write ``df`` once to the shared folder and read it back: lineage is cut, and no task is run twice.
 
@@ -45,29 +33,22 @@ def materialize(df: DataFrame, most_rows: int | None = None) -> DataFrame:
     The files go when the driver's JVM ends (Hadoop's delete-on-exit), so plans made from them stay valid.
     """
     spark = df.sparkSession
-    path = f"{scratch_root(spark)}/pointloom-{uuid.uuid4().hex}"
+    path = scratch_path(spark)
     if most_rows is not None:
         df = df.coalesce(max(1, -(-most_rows // FILE_ROWS)))
     df.write.option("compression", "zstd").parquet(path)
-    _forget_at_exit(spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 
 def materialize_each(spark: SparkSession, parts: Iterable[DataFrame], schema: str) -> DataFrame:
     """Write frames of one schema into one table, one after the other, so that the plan does not grow with their number."""
-    path = f"{scratch_root(spark)}/pointloom-{uuid.uuid4().hex}"
+    path = scratch_path(spark)
     spark.createDataFrame([], schema).write.option("compression", "zstd").parquet(path)
-    _forget_at_exit(spark, path)
     for df in parts:
         df.write.option("compression", "zstd").mode("append").parquet(path)
     return spark.read.schema(schema).parquet(path)
 
 
-def _forget_at_exit(spark: SparkSession, path: str) -> None:
-    hpath = spark._jvm.org.apache.hadoop.fs.Path(path)
-    hpath.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(hpath)
-
-
 def join_lookup(df: DataFrame, lookup: DataFrame, on: str | list[str], how: str = "left", limit: int = BROADCAST_ROWS) -> DataFrame:
     """Join a (materialised) lookup table: broadcast when it has at most ``limit`` rows, else a shuffled join."""
     small = lookup.limit(limit + 1).count() <= limit
