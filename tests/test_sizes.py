@@ -4,7 +4,8 @@ import numpy as np
 import pyarrow as pa
 
 from pointloom import nets, train
-from pointloom.plans import workloads
+from pointloom.operators import corpora, lift
+from pointloom.plans import catalogue, workloads
 from pointloom.schema import PIECE, pieces
 
 SF = "/root/testdata/sf0.001"
@@ -44,3 +45,14 @@ def test_parts_are_bounded_by_points():
     b = pa.RecordBatch.from_arrays([pa.array(range(n)), *[pa.array([[0.5] * 100] * n)] * 6], ["sample_id", *"xyzrgb"])
     parts = list(train._parts([b], 64, 1000))
     assert [p.num_rows for p in parts] == [10] * 4
+
+
+def test_depths_are_summed_where_they_are_made(spark):
+    """Rows of three numbers leave the task, not six doubles a character; an empty or a null text has no row."""
+    df = catalogue.raster_min_mean_depth(spark, SF)
+    assert df._jdf.queryExecution().executedPlan().toString().count("MapInArrow") == 1
+    texts = spark.createDataFrame([(1, "ab\ncd"), (2, ""), (3, None), (4, "\u20ac" * 3)], "k long, t string")
+    got = {r.sample_id: r for r in lift.depth_table(texts, "k", "t").collect()}
+    want = {r.sample_id: [int(np.floor(v * 1e6 + 0.5)) for v in r.y] for r in lift.lift_packed(corpora.packed_rasters(texts, "k", "t")).collect()}
+    for k, d in want.items():
+        assert (got[k].n, got[k].min_depth, got[k].max_depth, got[k].sum_depth) == (len(d), min(d, default=None), max(d, default=None), sum(d))
