@@ -56,3 +56,20 @@ def test_depths_are_summed_where_they_are_made(spark):
     want = {r.sample_id: [int(np.floor(v * 1e6 + 0.5)) for v in r.y] for r in lift.lift_packed(corpora.packed_rasters(texts, "k", "t")).collect()}
     for k, d in want.items():
         assert (got[k].n, got[k].min_depth, got[k].max_depth, got[k].sum_depth) == (len(d), min(d, default=None), max(d, default=None), sum(d))
+
+
+def test_corpus_sums_need_no_packed_clouds(spark, monkeypatch):
+    """Sums of the corpus equal those of its packed clouds, and without a path no packed cloud leaves a task."""
+    want = {}
+    for table, clouds in workloads.corpus_parts(spark, SF, "wide").items():
+        if table != "vectors":
+            rows = clouds.select("n", "y").collect()
+            want[table] = [len(rows), sum(r.n for r in rows), max(r.n for r in rows), sum(int(np.floor(np.array(r.y) * 1e6 + 0.5).sum()) for r in rows)]
+
+    def refused(batches):
+        raise ValueError("packed")
+
+    monkeypatch.setattr(lift, "lift_packed", lambda images, teacher=None: images.mapInArrow(refused, "sample_id long, n int, y array<double>"))
+    got = {(r.arm, r.metric): r.value for r in workloads.w02_build_corpus(spark, SF, teachers=("wide",)).collect()}
+    for table, values in want.items():
+        assert [got[f"{table} wide", m] for m in ("clouds", "points", "largest", "depth_fx")] == values
