@@ -2,6 +2,7 @@
 
 import numpy as np
 import pyarrow as pa
+import pytest
 
 from pointloom import nets, train
 from pointloom.operators import corpora, lift
@@ -73,3 +74,9 @@ def test_corpus_sums_need_no_packed_clouds(spark, monkeypatch):
     got = {(r.arm, r.metric): r.value for r in workloads.w02_build_corpus(spark, SF, teachers=("wide",)).collect()}
     for table, values in want.items():
         assert [got[f"{table} wide", m] for m in ("clouds", "points", "largest", "depth_fx")] == values
+
+
+@pytest.mark.parametrize("name", ["delta_vs_baseline"])
+def test_query_reads_a_given_table(spark, name):
+    plan = catalogue.QUERIES[name](spark, SF)._jdf.queryExecution().optimizedPlan().collectLeaves().mkString()
+    assert "parquet" in plan and "LocalRelation" not in plan and "LogicalRDD" not in plan
