@@ -76,7 +76,7 @@ def test_corpus_sums_need_no_packed_clouds(spark, monkeypatch):
         assert [got[f"{table} wide", m] for m in ("clouds", "points", "largest", "depth_fx")] == values
 
 
-@pytest.mark.parametrize("name", ["delta_vs_baseline", "published_cad", "published_fewshot", "published_tables", "published_training_cost"])
+@pytest.mark.parametrize("name", ["delta_vs_baseline", "published_cad", "published_fewshot", "published_tables", "published_training_cost", "udtf_slots", "lift_benchmark_clouds"])
 def test_query_reads_a_given_table(spark, name):
     plan = catalogue.QUERIES[name](spark, SF)._jdf.queryExecution().optimizedPlan().collectLeaves().mkString()
     assert "parquet" in plan and "LocalRelation" not in plan and "LogicalRDD" not in plan
