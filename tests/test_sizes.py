@@ -80,3 +80,32 @@ def test_corpus_sums_need_no_packed_clouds(spark, monkeypatch):
 def test_query_reads_a_given_table(spark, name):
     plan = catalogue.QUERIES[name](spark, SF)._jdf.queryExecution().optimizedPlan().collectLeaves().mkString()
     assert "parquet" in plan and "LocalRelation" not in plan and "LogicalRDD" not in plan
+
+
+def test_largest_of_groups_and_their_gradient():
+    """Groups of one size, of several sizes, unsorted and empty ones: the first largest row gets the gradient, and no row that of an empty group."""
+    rng = np.random.default_rng(5)
+    for group, n in ((np.repeat(np.arange(6), 4), 6), (np.array([0, 0, 2, 2, 2, 5]), 7), (np.array([3, 1, 3, 1, 0]), 4), (np.zeros(0, np.int64), 2)):
+        a = nets.Var(rng.integers(0, 3, (len(group), 5)).astype(float))
+        out, weight = nets.max_by(a, group, n), rng.random((n, 5))
+        nets.total(nets.mul(out, nets.Var(weight))).backward()
+        want, grad = np.zeros((n, 5)), np.zeros(a.value.shape)
+        for g in set(group.tolist()):
+            rows = np.flatnonzero(group == g)
+            for c in range(5):
+                top = rows[a.value[rows, c].argmax()]
+                want[g, c], grad[top, c] = a.value[top, c], weight[g, c]
+        assert np.array_equal(out.value, want) and np.array_equal(a.grad, grad)
+
+
+def test_supervised_baselines_work_on_few_points_at_a_time(spark, monkeypatch):
+    rows = [(k, k % 2, *[[0.1 * c + 0.001 * i for i in range(100)] for c in range(6)]) for k in range(30)]
+    df = spark.createDataFrame(rows, "sample_id long, label int, " + ", ".join(f"{c} array<double>" for c in "xyzrgb")).coalesce(1)
+    monkeypatch.setattr(train, "EDGE_PIECE", 300)
+
+    def form(batch, p):
+        assert sum(map(len, batch)) <= 300
+        return train.points_logits(batch, p)
+
+    params, losses = train.supervised(df, 2, form, steps=2)
+    assert len(losses) == 2 and train.supervised_predict(df, params, form).count() == 30
