@@ -109,3 +109,19 @@ def test_supervised_baselines_work_on_few_points_at_a_time(spark, monkeypatch):
 
     params, losses = train.supervised(df, 2, form, steps=2)
     assert len(losses) == 2 and train.supervised_predict(df, params, form).count() == 30
+
+
+def test_arms_of_the_cross_table_train_on_stored_clouds(spark, monkeypatch):
+    """No step lifts the documents again: every corpus was written before its first step."""
+    seen = []
+
+    def trained(clouds, cfg, steps, **options):
+        seen.extend(clouds.inputFiles())
+        return {}, [1.0, 0.5]
+
+    monkeypatch.setattr(workloads, "pretrained", trained)
+    monkeypatch.setattr(workloads, "fit_and_score", lambda *args: 0.0)
+    monkeypatch.setattr(train, "supervised", lambda *args, **options: ({}, []))
+    monkeypatch.setattr(train, "supervised_predict", lambda data, *args: data.select("label", data.label.alias("pred")))
+    workloads.w03_cross_table(spark, SF, 1)
+    assert seen and not any("documents.parquet" in f for f in seen)
