@@ -125,3 +125,38 @@ def test_arms_of_the_cross_table_train_on_stored_clouds(spark, monkeypatch):
     monkeypatch.setattr(train, "supervised_predict", lambda data, *args: data.select("label", data.label.alias("pred")))
     workloads.w03_cross_table(spark, SF, 1)
     assert seen and not any("documents.parquet" in f for f in seen)
+
+
+def test_nearest_rows_of_groups_are_found_side_by_side(monkeypatch):
+    """The first of the nearest rows of the own group, in blocks of at most NEAR distances; groups without a partner stay out."""
+    rng = np.random.default_rng(8)
+    ga, gb = rng.integers(0, 9, 150), rng.integers(0, 11, 90)
+    ga, gb = ga[ga != 3], gb[gb != 5]
+    a, b = rng.integers(0, 3, (len(ga), 3)).astype(float), rng.integers(0, 3, (len(gb), 3)).astype(float)
+    monkeypatch.setattr(nets, "NEAR", 300)
+    got = nets.nearest(a, b, ga, gb, 11)
+    for row, g, at in zip(a, ga, got, strict=True):
+        own = np.flatnonzero(gb == g)
+        assert at == (own[((b[own] - row) ** 2).sum(1).argmin()] if len(own) else 0)
+
+
+def test_rows_of_all_samples_are_one_product():
+    a, w = nets.Var(np.random.default_rng(9).random((5, 7, 4))), nets.Var(np.random.default_rng(10).random((4, 3)))
+    out = nets.matmul(a, w)
+    ((flat, _),) = out.made_from
+    assert flat.value.shape == (35, 3) and np.allclose(out.value, a.value @ w.value)
+    nets.total(out).backward()
+    assert np.allclose(a.grad, np.ones((5, 7, 3)) @ w.value.T) and np.allclose(w.grad, a.value.sum((0, 1))[:, None] * np.ones(3))
+
+
+def test_code_points_have_their_colours():
+    cps = np.array([0, 10, 32, 65, 66, 97, 98, 122, 123, 254, 255, 300, 128_512], np.int32)
+    r, g, b = corpora.image_colours(cps)
+    assert g.tolist() == [float(chr(c) in corpora.VOWELS) for c in cps.tolist()] and np.allclose(r, np.minimum(cps, 255) / 255)
+    assert np.array_equal(b * 3, [3, 2, 2, 1, 1, 0, 0, 0, 3, 3, 3, 3, 3])
+
+
+def test_a_part_without_any_point_has_a_loss_and_gradients():
+    t = nets.tokens_of(nets.Clouds([np.zeros((0, 6))] * 2, np.arange(2)), nets.TINY)
+    loss, grad, _ = nets.gradients(lambda p: nets.pretrain_loss(t, nets.hide(t, 60, 0), p, nets.TINY), nets.init(nets.TINY))
+    assert loss == 0 and all(np.isfinite(g).all() for g in grad.values())
