@@ -160,3 +160,11 @@ def test_a_part_without_any_point_has_a_loss_and_gradients():
     t = nets.tokens_of(nets.Clouds([np.zeros((0, 6))] * 2, np.arange(2)), nets.TINY)
     loss, grad, _ = nets.gradients(lambda p: nets.pretrain_loss(t, nets.hide(t, 60, 0), p, nets.TINY), nets.init(nets.TINY))
     assert loss == 0 and all(np.isfinite(g).all() for g in grad.values())
+
+
+def test_stored_clouds_are_dealt_to_all_cores(spark, monkeypatch):
+    """A multiple of the cores of about equal files, whatever the files of the documents."""
+    monkeypatch.setattr(workloads, "FILE_DOCUMENTS", 30)
+    n, cores = spark.read.parquet(f"{SF}/documents.parquet").count(), spark.sparkContext.defaultParallelism
+    clouds = workloads._dealt(workloads._labelled(spark, SF))
+    assert clouds.rdd.getNumPartitions() == cores * -(-n // (cores * 30)) and clouds.count() == n
