@@ -264,3 +264,36 @@ def test_stream_with_stream_and_with_table(spark, tmp_path):
 def test_wide_model_sizes_are_constructible():
     small = sum(int(np.prod(s)) for s in nets.S.shapes().values())
     assert small == nets.S.n_params() > 20_000_000
+
+
+def test_arms_share_a_pass_and_equal_their_own_training(packed, monkeypatch):
+    """Models trained side by side take as many passes as one, and are what each becomes alone."""
+    passes, real = [], train.arm_gradients
+    monkeypatch.setattr(train, "arm_gradients", lambda *args: passes.append(len(args[1])) or real(*args))
+    arms = [(CFG, {"percent": 30}), (CFG, {"percent": 75, "terms": ("mse",)})]
+    both = train.pretrain_arms(packed, arms, 2, None, 5e-3, 1)
+    assert passes == [2, 2]
+    for (cfg, options), (params, losses) in zip(arms, both, strict=True):
+        alone, own = train.pretrain(packed, cfg, 2, None, lr=5e-3, accum=1, **options)
+        assert losses == pytest.approx(own, rel=1e-5) and all(np.allclose(params[k], alone[k], atol=1e-4) for k in params)
+    tuned = train.finetune_arms(packed, 2, [(CFG, p) for p, _ in both], steps=2)
+    assert passes[-2:] == [2, 2] and len(tuned) == 2
+    score = train.accuracy_arms(packed, [(CFG, m) for m, _ in tuned])
+    assert score == [workloads._accuracy(train.predict(packed, m, CFG)) for m, _ in tuned]
+
+
+def test_single_precision_passes_give_the_gradients_of_double(packed):
+    params = nets.init(CFG)
+
+    def loss_of(batch, labels, p):
+        t = nets.tokens_of(batch, CFG)
+        return nets.pretrain_loss(t, nets.hide(t, 60, 0), p, CFG)
+
+    (a, got), (b, want) = (train.arm_gradients(packed, [params], [loss_of], kind=k)[0] for k in (np.float32, np.float64))
+    assert a == pytest.approx(b, rel=1e-5) and all(np.allclose(got[k], want[k], rtol=1e-3, atol=1e-5) and got[k].dtype == np.float64 for k in want)
+
+
+def test_models_that_are_not_trained_remember_nothing(packed):
+    clouds = [np.stack([r[c] for c in "xyzrgb"], 1) for r in packed.collect()]
+    _, cls = nets.encode(nets.tokens_of(clouds, CFG), train.fixed(nets.init(CFG)), CFG)
+    assert cls.fixed and not cls.made_from
