@@ -64,3 +64,11 @@ def test_augmentation_equals_the_operators(spark):
 def test_lifted_values_are_normalised():
     cps = np.array([65, 255, 8364, 128_512, 10], np.int32)
     assert all(((v >= 0) & (v <= 1)).all() for v in lift.lifted(cps, lift.BlurTeacher(1)))
+
+
+def test_ablations_probe_all_arms_in_one_pass(spark, monkeypatch):
+    passes, real = [], workloads.train.features_arms
+    monkeypatch.setattr(workloads.train, "features_arms", lambda data, arms, *args: passes.append(len(arms)) or real(data, arms, *args))
+    monkeypatch.setattr(workloads, "fit_arms", lambda data, classes, arms, *args: [0.5] * len(arms))
+    rows = workloads.w08d_corpus_size(spark, SF, steps=1, thousandths=(420, 1000)).collect()
+    assert passes == [2] and len([r for r in rows if r.metric == "lin"]) == 2
