@@ -5,9 +5,12 @@ import math
 import numpy as np
 import pytest
 
+from pointloom import kernels
 from pointloom.functions.fixed import PRIME, draw_of
-from pointloom.operators import augment, lift
+from pointloom.operators import augment, baselines, corpora, lift
+from pointloom.operators.tokenizer import CentreTokenizer, VoxelTokenizer
 from pointloom.plans import workloads
+from pointloom.schema import G32
 
 SF = "/root/testdata/sf0.001"
 ARMS = {
@@ -72,3 +75,48 @@ def test_ablations_probe_all_arms_in_one_pass(spark, monkeypatch):
     monkeypatch.setattr(workloads, "fit_arms", lambda data, classes, arms, *args: [0.5] * len(arms))
     rows = workloads.w08d_corpus_size(spark, SF, steps=1, thousandths=(420, 1000)).collect()
     assert passes == [2] and len([r for r in rows if r.metric == "lin"]) == 2
+
+
+def test_tokeniser_cost_makes_no_long_form_of_documents(spark):
+    rows = workloads.w01_tokenizer_cost(spark, SF, levels=("nation",)).collect()
+    by = {(r.arm, r.metric): r.value for r in rows}
+    texts = {arm for arm, _ in by if "digits" in arm}
+    assert {a.split(",")[0] for a in texts} == {"lift", "voxel", "centre"}
+    assert all(by[a, "exchanges"] == 0 == by[a, "shuffle_mb"] for a in texts)
+    # a cloud's points come together once for centres, neighbours and network
+    assert by["centre, nation", "exchanges"] == 1 and by["centre, nation", "shuffle_mb"] > 0
+
+
+def test_packed_tokens_equal_the_operators(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").where("doc_id % 9 = 0").select("doc_id", "text")
+    docs = docs.unionByName(spark.createDataFrame([(10**6, None), (10**6 + 1, ""), (10**6 + 2, "a"), (10**6 + 3, "a \u2603" * 20)], docs.schema))
+    pts = lift.unpack(lift.lift_packed(corpora.packed_rasters(docs, "doc_id", "text")))
+    level = corpora.lineitem_clouds(spark, SF, "part")
+
+    def by_steps(points, n, k):
+        own = points.dropDuplicates(["sample_id", "point_no"])
+        return baselines.mini_pointnet(baselines.knn_group(own, baselines.fps(own, n), k))
+
+    rows = lambda df, like: sorted(map(tuple, df.select(like.columns).collect()))
+    for got, want in (
+        (CentreTokenizer().transform_texts(docs, "doc_id", "text"), by_steps(pts, 64, 32)),
+        (CentreTokenizer(5, 8).transform(level.unionByName(level.where("x < 0.3"))), by_steps(level, 5, 8)),
+        (VoxelTokenizer(G32).transform_texts(docs, "doc_id", "text"), VoxelTokenizer(G32).transform(pts)),
+    ):
+        assert rows(got, want) == rows(want, want) != []
+
+
+def test_centre_kernels_pick_the_same_points():
+    rng = np.random.default_rng(4)
+    for size in (1, 31, 32, 33, 64, 700, 4200):
+        for steps in (2, 9, 10**6):
+            xyz = rng.integers(0, steps, (size, 3)) / steps
+            for cloud in (xyz, xyz[np.argsort(xyz[:, 2], kind="stable")], xyz[np.argsort(-xyz[:, 2], kind="stable")]):
+                at = baselines.fps_kernel(cloud, 64)
+                near = np.sort(baselines.nearest_kernel(cloud, cloud[at], 32)[0], axis=1)
+                taken, groups = kernels.centre_groups(np.ascontiguousarray(cloud.T), 64, 32)
+                assert (taken == at).all() and (np.sort(groups, axis=1) == near).all()
+                block = np.full((3, 2, size + 5), kernels.NOWHERE)
+                block[:, :, :size] = cloud.T[:, None]
+                taken, groups = kernels.centre_groups_block(block, np.array([size, size]), len(at), 32)
+                assert (taken == at[:, None]).all() and all((np.unique(g) == m).all() for row, m in zip(groups, near, strict=True) for g in row)
