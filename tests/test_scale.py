@@ -1,9 +1,14 @@
 """What lets whole trainings pass over many documents: work that several models share, and work that nothing needs left out."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from pointloom import nets, train
+from pointloom.operators import lift
+from pointloom.plans import workloads
+
+SF = "/root/testdata/sf0.001"
 
 
 def clouds(sizes=(40, 3, 90, 1), seed=0):
@@ -36,3 +41,29 @@ def test_padding_is_for_attention_alone(monkeypatch):
     monkeypatch.setattr(nets, "linear", lambda x, *args: rows.append(x.value.size // x.value.shape[-1]) or real(x, *args))
     nets.encode(t, p, nets.TINY)
     assert max(rows) == len(t.sample) + t.n
+
+
+def documents():
+    texts = [None, "", "a", "Some words\nand äé😀 more of them " * 9, "x" * 300]
+    n = len(texts)
+    return pa.RecordBatch.from_arrays([pa.array(range(n), pa.int64()), pa.array([0] * n, pa.int32()), pa.array([False] * n), pa.array(texts)], ["sample_id", "label", "is_test", "text"])
+
+
+def test_documents_are_lifted_once_for_all_arms():
+    seen, near, moves = [], lift.BlurTeacher(1), ((0.5, 0.5), (1.0, 0.0), (0.5, 0.0))
+    (all_arms,) = workloads.stored_form(lift.KernelTeacher(lambda cps: seen.append(len(cps)) or near(cps)), nets.TINY, moves)([documents()])
+    assert len(seen) == 3
+    for k, move in enumerate(moves):
+        (alone,) = workloads.stored_form(near, nets.TINY, (move,))([documents()])
+        assert all_arms.columns[3 + 6 * k : 9 + 6 * k] == alone.columns[3:]
+
+
+def test_the_augmentation_arms_store_their_documents_once(spark, monkeypatch):
+    made, real = [], workloads.scratch_table
+    monkeypatch.setattr(workloads, "scratch_table", lambda df, *by: made.append(df.columns) or real(df, *by))
+    monkeypatch.setattr(workloads, "pretrained_arms", lambda data, arms, steps: [({}, [float(data.count())])] * len(arms))
+    monkeypatch.setattr(workloads, "fit_arms", lambda data, classes, arms, steps: [0.0] * len(arms))
+    monkeypatch.setattr(workloads, "probe_arms", lambda data, arms: [0.0] * len(arms))
+    n = spark.read.parquet(f"{SF}/documents.parquet").count()
+    rows = workloads.w08b_augmentation(spark, SF, 1).collect()
+    assert len(made) == 1 and [r.value for r in rows if r.metric == "last_loss"] == [n] * 5
