@@ -67,3 +67,53 @@ def test_the_augmentation_arms_store_their_documents_once(spark, monkeypatch):
     n = spark.read.parquet(f"{SF}/documents.parquet").count()
     rows = workloads.w08b_augmentation(spark, SF, 1).collect()
     assert len(made) == 1 and [r.value for r in rows if r.metric == "last_loss"] == [n] * 5
+
+
+def test_a_teacher_looks_at_few_pixels():
+    rng = np.random.default_rng(1)
+    for n in (1, 7, 50):
+        cps, at = rng.integers(30, 400, n).astype(np.int32), np.sort(rng.permutation(n)[:4])
+        for teacher in workloads.TEACHERS.values():
+            assert all(np.array_equal(a[at], b) for a, b in zip(lift.lifted(cps, teacher), lift.lifted(cps, teacher, at), strict=True))
+
+
+def test_models_of_the_cross_table_share_their_passes(spark, monkeypatch):
+    seen, stored = [], []
+    monkeypatch.setattr(workloads, "pretrained", lambda *args: ({}, [1.0, 0.5]))
+    monkeypatch.setattr(workloads, "fit_arms", lambda data, classes, arms, steps: seen.append(len(arms)) or [0.0] * len(arms))
+    monkeypatch.setattr(train, "supervised", lambda data, *args, **options: stored.append(len(data.select("x").inputFiles())) or ({}, []))
+    monkeypatch.setattr(train, "supervised_predict", lambda data, *args: data.select("label", data.label.alias("pred")))
+    monkeypatch.setattr(workloads, "cut_down", lambda data, n: data.where("n_cut is null") if "n_cut" in data.columns else data)
+    rows = workloads.w03_cross_table(spark, SF, 1).collect()
+    assert seen == [3] * 6 and len(stored) == 9 and len(rows) == 38
+
+
+def test_supervised_layers_by_point_are_those_by_edge(monkeypatch):
+    rng, batch = np.random.default_rng(3), clouds((30, 30, 4))
+    p = {k: nets.Var(rng.normal(0, 0.5, s)) for k, s in train.supervised_shapes(train.edge_logits, 4, 8).items()}
+    rows, real = [], nets.matmul
+    monkeypatch.setattr(nets, "matmul", lambda a, b: rows.append(len(a.value)) or real(a, b))
+    got = train.edge_logits(batch, p).value
+    assert rows == [64] * 4
+    value = lambda name: (p[f"{name}.w"].value, p[f"{name}.b"].value)
+    for s, pts in enumerate(batch):
+        h = pts[:, :3]
+        for w, b in (value("p1"), value("p2")):
+            d = ((h[:, None] - h[None]) ** 2).sum(-1)
+            near = d.argsort(1, kind="stable")[:, :9]
+            ends = h[near]
+            own = np.repeat(h[:, None], near.shape[1], 1)
+            h = np.maximum(np.concatenate([own, ends - own], 2) @ w + b, 0).max(1)
+        w, b = value("p3")
+        top = np.maximum(h @ w + b, 0).max(0)
+        assert np.allclose(got[s], top @ value("class")[0] + value("class")[1])
+
+
+def test_small_clouds_are_grouped_side_by_side(monkeypatch):
+    cfg, many = nets.ModelConfig(group=8), [np.round(c, 1) for c in clouds((12, 30, 12, 9, 30, 3), 5)]
+    monkeypatch.setattr(nets, "SMALL_CLOUD", 0)
+    want = nets.group_tokens(many, cfg)
+    monkeypatch.undo()
+    monkeypatch.setattr(nets, "fps_kernel", lambda *args: pytest.fail("one by one"))
+    got = nets.group_tokens(many, cfg)
+    assert all(np.array_equal(getattr(got, k), getattr(want, k)) for k in ("sample", "corner", "owner", "feat", "cell"))
